@@ -33,7 +33,7 @@ def shared_folder(spark: SparkSession) -> str:
     return context.getCheckpointDir()
 
 
-def hot_safe_lookup(rows: DataFrame, groups: DataFrame, key: str, members: str, total: int) -> DataFrame:
+def hot_safe_lookup(rows: DataFrame, groups: DataFrame, key: str, members: str, total: int, salt_by: str = "doc_id") -> DataFrame:
     """Left join of many rows to one row per key, where one key may hold a large share of all rows.
 
     groups has one row per key; members counts the rows of the key. Keys with at least
@@ -42,7 +42,7 @@ def hot_safe_lookup(rows: DataFrame, groups: DataFrame, key: str, members: str,
     """
     hot = F.broadcast(groups.filter(F.col(members) * HOT_SHARE >= F.lit(total)).filter(F.col(members) > 1000).select(F.col(key).alias("_hot")))
     salted = rows.join(hot, rows[key] == hot["_hot"], "left").withColumn(
-        "_salt", F.when(F.col("_hot").isNotNull(), F.pmod(F.xxhash64("doc_id"), F.lit(SALTS))).otherwise(F.lit(0)).cast("int")
+        "_salt", F.when(F.col("_hot").isNotNull(), F.pmod(F.xxhash64(salt_by), F.lit(SALTS))).otherwise(F.lit(0)).cast("int")
     )
     is_hot = (F.col(members) * HOT_SHARE >= F.lit(total)) & (F.col(members) > 1000)
     copies = groups.withColumn("_salt", F.explode(F.when(is_hot, F.sequence(F.lit(0), F.lit(SALTS - 1))).otherwise(F.array(F.lit(0)))))

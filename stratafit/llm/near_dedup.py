@@ -107,6 +107,60 @@ def candidate_keys(classes: DataFrame, slots: int = SLOTS) -> DataFrame:
     return halves.select("node", "n", F.explode("firsts").alias("f"), "seconds").select("node", "n", "f", F.explode("seconds").alias("s")).select("node", "n", F.xxhash64("f", "s").alias("key"))
 
 
+def prefix_candidates(sets: DataFrame, percent: int = PERCENT) -> DataFrame:
+    """Distinct pairs (a, b), a < b, that hold every pair of sets (node, root, shingles) of different roots that reaches the similarity.
+
+    Exact: sets are ordered rarest shingle first, and a pair that reaches it must meet in a prefix. With x the larger, overlap is at most what follows the
+    first common shingle in either, so x offers for each class of smaller sizes, and each set for its own size, only the places where enough follows. A set
+    of a crowd with many shingles of its own thus meets nobody. Any order of shingles is right; rarity comes from counts of 2**20 buckets of hashes.
+    In a place where many sets of one component meet, only the others are paired with all.
+    """
+    slots = 1 << 20
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = np.zeros(slots, np.int64)
+        for batch in batches:
+            total += np.bincount(batch.column("shingles").flatten().to_numpy().view(np.uint64) >> np.uint64(44), minlength=slots)
+        used = np.flatnonzero(total)
+        yield pa.RecordBatch.from_arrays([pa.array(used.astype(np.int32)), pa.array(total[used])], names=["slot", "n"])
+
+    sets = checkpointed(sets)
+    seen = sets.select("shingles").mapInArrow(count, "slot int, n long").groupBy("slot").agg(F.sum("n").alias("n")).toPandas()
+    rarity = np.zeros(slots, np.int64)
+    rarity[seen["slot"].to_numpy(int)] = seen["n"]
+    shared = sets.sparkSession.sparkContext.broadcast(rarity)
+
+    def places(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            nodes, roots, shingles = batch.column("node").to_pylist(), batch.column("root").to_pylist(), batch.column("shingles")
+            for node, root, values in zip(nodes, roots, shingles, strict=True):
+                own = values.values.to_numpy().view(np.uint64)
+                n = len(own)
+                own = own[np.lexsort((own, shared.value[own >> np.uint64(44)]))]
+                smaller = np.arange(-(-percent * n // 100), n + 1)
+                classes, at = np.unique(np.floor(24 * np.log(smaller)).astype(np.int64), return_index=True)
+                keys, pos, probes = [], [], []
+                for kind, least in [*zip(classes.tolist(), smaller[at].tolist(), strict=True), (None, n)]:
+                    # (100 + percent) * overlap >= percent * (n + least), and n - place follow the place, itself included
+                    length = max(0, min(n, n - -(-percent * (n + least) // (100 + percent)) + 1))
+                    tag = scramble(np.array([int(classes[-1]) if kind is None else kind], np.uint64))[0]
+                    keys.append(scramble(own[:length] ^ tag)), pos.append(np.arange(length)), probes.append(np.full(length, kind is not None))
+                key = np.concatenate(keys)
+                yield pa.RecordBatch.from_arrays(
+                    [pa.array(key.view(np.int64)), pa.array(np.concatenate(probes)), pa.array(np.full(len(key), node)), pa.array(np.full(len(key), root)), pa.array(np.full(len(key), n, np.int32)), pa.array(np.concatenate(pos).astype(np.int32))],
+                    names=["key", "probe", "node", "root", "n", "place"],
+                )
+
+    found = sets.select("node", "root", "shingles").mapInArrow(places, "key long, probe boolean, node long, root long, n int, place int")
+    met = found.groupBy("key", "root").agg(F.count(F.lit(1)).alias("c")).groupBy("key").agg(F.max_by("root", F.struct("c", "root")).alias("crowd"), F.count(F.lit(1)).alias("groups")).filter("groups > 1").select("key", "crowd")
+    rows = checkpointed(found.join(met, "key").withColumn("few", F.col("root") != F.col("crowd")))
+    larger = rows.filter("probe").select("key", F.col("node").alias("x"), F.col("root").alias("rx"), F.col("n").alias("nx"), F.col("place").alias("px"), F.col("few").alias("fx"))
+    smaller = rows.filter("not probe").select("key", F.col("node").alias("y"), F.col("root").alias("ry"), F.col("n").alias("ny"), F.col("place").alias("py"), F.col("few").alias("fy"))
+    enough = (F.col("nx") >= F.col("ny")) & (F.lit(100 + percent) * F.least(F.col("nx") - F.col("px"), F.col("ny") - F.col("py")) >= F.lit(percent) * (F.col("nx") + F.col("ny"))) & (F.col("rx") != F.col("ry"))
+    pairs = larger.filter("fx").join(smaller, ["key"]).filter(enough).select("x", "y").union(larger.filter("not fx").join(smaller.filter("fy"), ["key"]).filter(enough).select("x", "y"))
+    return pairs.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct()
+
+
 def near_duplicate_components(docs: DataFrame, percent: int = PERCENT, slots: int = SLOTS, rows: int = ROWS) -> DataFrame:
     """doc_id, n_shingles, component_id, kept, one row per row of docs (doc_id, text).
 
@@ -115,9 +169,9 @@ def near_duplicate_components(docs: DataFrame, percent: int = PERCENT, slots: in
     component_id is the smallest doc_id reachable. Rows that repeat a doc_id share its component. A null doc_id joins no link;
     such a row is kept, with component_id the smallest doc_id that has exactly its set, or null.
 
-    Equal sets make one class, joined by the digest of the set. Per table key each class is paired with the key's smallest class;
-    where that leaves a key's classes in several components, pairs across components that sizes allow are confirmed too, so every pair
-    that shares a key is either confirmed, refused on full sets or already in one component. At similarity 0.75 a pair shares
+    Equal sets make one class, joined by the digest of the set. Per table key each class is paired with the key's smallest class. The classes
+    of keys that this leaves in several components are searched again, exactly, by prefix_candidates; so every pair that shares a key is confirmed, refused
+    on full sets, or already in one component, and the pairs of a large group are not all formed. At similarity 0.75 a pair shares
     a key with probability (1 - (1 - 0.75**3)**16)**2, about 0.9997, and 0.99998 at 0.8.
     """
     total = max(1, docs.count())
@@ -139,13 +193,10 @@ def near_duplicate_components(docs: DataFrame, percent: int = PERCENT, slots: in
     roots = components(links)
 
     # Keys whose classes are still in several components.
-    placed = keyed.filter("c > 2").join(roots, "node", "left").select("key", "node", "n", F.coalesce("root", "node").alias("root"))
+    placed = keyed.filter("c > 2").join(roots, "node", "left").select("key", "node", F.coalesce("root", "node").alias("root"))
     open_keys = placed.groupBy("key").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).filter("lo != hi").select("key")
-    rest = checkpointed(placed.join(open_keys, "key"))
-    one = rest.select("key", F.col("node").alias("a"), F.col("n").alias("na"), F.col("root").alias("ra"))
-    two = rest.select("key", F.col("node").alias("b"), F.col("n").alias("nb"), F.col("root").alias("rb"))
-    fits = F.lit(100) * F.least("na", "nb") >= F.lit(percent) * F.greatest("na", "nb")
-    across = one.join(two, "key").filter((F.col("a") < F.col("b")) & (F.col("ra") != F.col("rb")) & fits).select("a", "b").distinct()
+    rest = checkpointed(placed.join(open_keys, "key", "left_semi").select("node", "root").distinct())
+    across = prefix_candidates(sets.join(rest, "node"), percent)
     more = checkpointed(_confirmed(across.join(star, ["a", "b"], "left_anti"), sets, percent))
     if not more.isEmpty():
         roots = components(links.union(more))
