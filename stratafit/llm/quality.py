@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from stratafit.llm.language_id import fold
-from stratafit.llm.text_arrays import Chunk, text_chunks
+from stratafit.llm.text_arrays import Chunk, text_chunks, word_hashes, words
 
 BITS = 18
 #: Labelled rows that fitting uses at most, those with the smallest hash of the id. The bound keeps the fit on one machine.
@@ -45,20 +45,34 @@ def _codes(chunk: Chunk) -> list[np.ndarray]:
     return found
 
 
+def _repeats(chunk: Chunk) -> tuple[np.ndarray, list[int]]:
+    """For each word, a bucket of the 5-gram there by which of its words equal the one before; and where documents' words begin."""
+    found = words(chunk)
+    hashes = word_hashes(chunk, found)
+    same = (hashes[1:] == hashes[:-1]).astype(np.uint32)
+    n = max(0, len(same) - 3)
+    code = np.full(n, 0x27D4EB2F, np.uint32)
+    for k in range(4):
+        code = (code << np.uint32(1)) ^ same[k : k + n]
+    return (code * np.uint32(0x9E3779B1)) >> np.uint32(32 - BITS), found.first.tolist()
+
+
 def indicators(chunk: Chunk) -> Iterator[tuple[int, np.ndarray]]:
     """(row, distinct buckets of its n-grams). Texts too short for an n-gram have none."""
     three, five = _codes(chunk)
+    repeats, first = _repeats(chunk)
     at = chunk.starts.tolist()
     seen = np.zeros(1 << BITS, bool)
     for k in range(chunk.n):
         i, j = at[k], at[k + 1]
         a, b = three[i : max(i, j - 2)], five[i : max(i, j - 4)]
+        c = repeats[first[k] : max(first[k], first[k + 1] - 4)]
         if len(a) > 20_000:
-            seen[a] = seen[b] = True
+            seen[a] = seen[b] = seen[c] = True
             own = np.flatnonzero(seen)
             seen[own] = False
         else:
-            own = np.unique(np.concatenate([a, b]))
+            own = np.unique(np.concatenate([a, b, c]))
         yield chunk.first + k, own.astype(np.int64)
 
 
