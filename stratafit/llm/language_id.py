@@ -60,10 +60,12 @@ def learn(docs: DataFrame) -> tuple[list[str], np.ndarray]:
             yield pa.RecordBatch.from_arrays([pa.array([lang] * len(used), pa.string()), pa.array(used.astype(np.int32)), pa.array(own[used])], names=["lang", "bucket", "n"])
 
     sums = docs.filter("lang is not null").select(F.col("lang").cast("string").alias("lang"), F.col("text").cast("string").alias("text")).mapInArrow(run, "lang string, bucket int, n long")
-    table = sums.groupBy("lang", "bucket").agg(F.sum("n").alias("n")).toPandas()
-    langs = sorted(table["lang"].unique(), key=lambda x: x.encode())
+    table = sums.groupBy("lang", "bucket").agg(F.sum("n").alias("n")).toArrow()
+    names = table["lang"].combine_chunks().dictionary_encode() if table.num_rows else pa.array([], pa.string()).dictionary_encode()
+    langs = sorted(names.dictionary.to_pylist(), key=lambda x: x.encode())
     counts = np.zeros((len(langs), BUCKETS))
-    counts[table["lang"].map({x: i for i, x in enumerate(langs)}).to_numpy(int), table["bucket"].to_numpy(int)] = table["n"]
+    place = np.array([langs.index(x) for x in names.dictionary.to_pylist()], int)
+    counts[place[names.indices.to_numpy()], table["bucket"].to_numpy()] = table["n"].to_numpy()
     model = np.zeros((len(langs), BUCKETS + 1), np.float32)
     if langs:
         model[:, :BUCKETS] = np.log((counts + SMOOTHING) / (counts.sum(axis=1, keepdims=True) + SMOOTHING * BUCKETS))

@@ -108,8 +108,8 @@ def recurring_lines(docs: DataFrame, min_docs: int = MIN_DOCS, depth: int = DEPT
 
     bits = np.zeros(FILTER_BITS, bool)
     # At most FILTER_BITS rows come to the driver, whatever the number of leaves; the size divides 2**64, so signed and unsigned hashes agree on their remainder.
-    wanted = open_leaves.select((F.pmod(F.col("leaf"), F.lit(FILTER_BITS))).cast("int").alias("b")).distinct().toPandas()
-    bits[wanted["b"].to_numpy(int)] = True
+    wanted = open_leaves.select((F.pmod(F.col("leaf"), F.lit(FILTER_BITS))).cast("int").alias("b")).distinct().toArrow()
+    bits[wanted["b"].to_numpy()] = True
     tokens = _tokens_of(docs, bits, depth, min_tokens).join(open_leaves, "leaf", "left_semi").dropDuplicates(["leaf", "whole"])
     weighed = checkpointed(tokens.join(spread, ["leaf", "whole"]).select("leaf", "whole", "docs", F.posexplode("tokens").alias("at", "token")))
     support = weighed.groupBy("leaf", "at", "token").agg(F.sum("docs").alias("support")).filter(F.col("support") >= min_docs)

@@ -125,9 +125,9 @@ def prefix_candidates(sets: DataFrame, percent: int = PERCENT) -> DataFrame:
         yield pa.RecordBatch.from_arrays([pa.array(used.astype(np.int32)), pa.array(total[used])], names=["slot", "n"])
 
     sets = checkpointed(sets)
-    seen = sets.select("shingles").mapInArrow(count, "slot int, n long").groupBy("slot").agg(F.sum("n").alias("n")).toPandas()
+    seen = sets.select("shingles").mapInArrow(count, "slot int, n long").groupBy("slot").agg(F.sum("n").alias("n")).toArrow()
     rarity = np.zeros(slots, np.int64)
-    rarity[seen["slot"].to_numpy(int)] = seen["n"]
+    rarity[seen["slot"].to_numpy()] = seen["n"].to_numpy()
     shared = sets.sparkSession.sparkContext.broadcast(rarity)
 
     def places(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
