@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import importlib
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -19,13 +20,22 @@ def register(name: str, query: Query, oracle: str | None = None) -> None:
         _ORACLES[name] = oracle
 
 
+def _load() -> None:
+    """Importing a module of queries registers them."""
+    for name in ("series_queries", "training_queries", "operator_queries"):
+        importlib.import_module(f"stratafit.plans.{name}")
+
+
 def queries() -> dict[str, Query]:
+    _load()
     return dict(_QUERIES)
 
 
 def oracle_sql() -> dict[str, str]:
+    _load()
     return dict(_ORACLES)
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
-    raise NotImplementedError("the sampler comparison is not built yet")
+    """The policies' share of gradient variance inside strata, each against random strata of the same sizes."""
+    return queries()["policy_comparison"](spark, sf_dir)
