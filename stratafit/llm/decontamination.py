@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import itertools
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass, field
@@ -14,13 +15,14 @@ from pyspark.sql import functions as F
 from stratafit.llm.text_arrays import SHINGLE, scramble, sequence_hash, shingle_hashes, text_chunks, word_hashes, words
 
 SIMILARITY = 0.75
-#: Fingerprints of 64 bits that differ in at most RADIUS bits are found with certainty: they agree on one of RADIUS + 1 blocks.
+#: Fingerprints of 64 bits that differ in at most RADIUS bits are found with certainty.
 RADIUS = 7
+BLOCKS = 4
 #: A window class is the largest step of this progression that an item has words for.
 STEP = 1.25
 #: Bytes of benchmark text in one pass over the documents; a larger benchmark takes several passes.
 PASS_BYTES = 16 << 20
-_CHUNK = 1 << 17
+_CHUNK = 1 << 15
 _SEED = np.uint64(0x5851F42D4C957F2D)
 
 
@@ -61,43 +63,50 @@ def fingerprints(hashes: np.ndarray, sizes: list[int]) -> dict[int, np.ndarray]:
 
 @dataclass
 class _Index:
-    """Fingerprints of one class, by each of RADIUS + 1 blocks of bits."""
+    """Fingerprints of one class in BLOCKS tables, one for each block of bits.
+
+    Of fingerprints within the radius, some block differs in at most radius // BLOCKS bits; each table lists an entry under every value so near its
+    block, so one look per block finds all.
+    """
 
     prints: np.ndarray
     item: np.ndarray
     offset: np.ndarray
-    blocks: list[tuple[int, int, np.ndarray, np.ndarray, np.ndarray]] = field(default_factory=list)
+    blocks: list[tuple[int, np.ndarray, np.ndarray, np.ndarray]] = field(default_factory=list)
 
     def build(self, radius: int) -> _Index:
-        at = np.linspace(0, 64, radius + 2).astype(int)
-        for lo, hi in zip(at[:-1], at[1:], strict=True):
-            mask = (1 << int(hi - lo)) - 1
-            value = ((self.prints >> np.uint64(lo)) & np.uint64(mask)).astype(np.int64)
+        width = 64 // BLOCKS
+        flips = [sum(1 << k for k in bits) for r in range(radius // BLOCKS + 1) for bits in itertools.combinations(range(width), r)]
+        for block in range(BLOCKS):
+            own = ((self.prints >> np.uint64(block * width)) & np.uint64((1 << width) - 1)).astype(np.int64)
+            value = (own[:, None] ^ np.array(flips)[None, :]).ravel()
             order = np.argsort(value, kind="stable")
-            count = np.bincount(value, minlength=mask + 1)
-            self.blocks.append((int(lo), mask, order, count, np.concatenate([[0], np.cumsum(count)])))
+            count = np.bincount(value, minlength=1 << width)
+            self.blocks.append((block * width, count > 0, order // len(flips), np.concatenate([[0], np.cumsum(count)])))
         return self
 
     def search(self, windows: np.ndarray, radius: int) -> tuple[np.ndarray, np.ndarray]:
         """(window, entry) of all pairs within the radius; a pair may come several times."""
         at, entry = [], []
-        for lo, mask, order, count, start in self.blocks:
-            value = ((windows >> np.uint64(lo)) & np.uint64(mask)).astype(np.int64)
-            n = count[value]
-            hit = np.flatnonzero(n)
-            n = n[hit]
+        width = 64 // BLOCKS
+        parts = windows.view(np.uint16).reshape(-1, BLOCKS) if width == 16 else None
+        for k, (low, used, entries, start) in enumerate(self.blocks):
+            value = parts[:, k] if parts is not None else ((windows >> np.uint64(low)) & np.uint64((1 << width) - 1)).astype(np.int64)
+            hit = np.flatnonzero(used[value])
+            value = value[hit].astype(np.int64)
+            n = start[value + 1] - start[value]
             which = np.repeat(hit, n)
             step = np.arange(len(which)) - np.repeat(np.cumsum(n) - n, n)
-            found = order[start[value[which]] + step]
+            found = entries[np.repeat(start[value], n) + step]
             near = np.bitwise_count(windows[which] ^ self.prints[found]) <= radius
             at.append(which[near]), entry.append(found[near])
         return np.concatenate(at), np.concatenate(entry)
 
 
-def _shingle_counts(hashes: np.ndarray) -> Counter:
+def _shingles(hashes: np.ndarray) -> list[int]:
     if not len(hashes):
-        return Counter()
-    return Counter((shingle_hashes(hashes) if len(hashes) >= SHINGLE else sequence_hash(hashes).reshape(1)).tolist())
+        return []
+    return (shingle_hashes(hashes) if len(hashes) >= SHINGLE else sequence_hash(hashes).reshape(1)).tolist()
 
 
 def weighted_similarity(a: Counter, b: Counter, weight: dict[int, float], other: float) -> float:
@@ -130,7 +139,7 @@ def prepare(items: list[tuple[int, str]], radius: int = RADIUS) -> Benchmark:
         found = words(chunk)
         own = word_hashes(chunk, found)
         hashes += [own[i:j] for i, j in zip(found.first[:-1], found.first[1:], strict=True)]
-    counts = [_shingle_counts(h) for h in hashes]
+    counts = [Counter(_shingles(h)) for h in hashes]
     spread = Counter(s for c in counts for s in c)
     weight = {s: float(np.log1p(len(items) / n)) for s, n in spread.items()}
     classes = _classes(max((len(h) for h in hashes), default=0))
@@ -156,7 +165,10 @@ def _matches(b: Benchmark, hashes: np.ndarray, first: np.ndarray, radius: int, s
         if (doc, item, start) in tried:
             return
         tried.add((doc, item, start))
-        window = _shingle_counts(hashes[start : min(hi, start + len(b.hashes[item]))])
+        window = _shingles(hashes[start : min(hi, start + len(b.hashes[item]))])
+        if b.counts[item].keys().isdisjoint(window):
+            return
+        window = Counter(window)
         s = weighted_similarity(window, b.counts[item], b.weight, b.other)
         if s >= similarity and s > out.get(doc, {}).get(item, (0.0, 0))[0]:
             out.setdefault(doc, {})[item] = (s, start - lo)
