@@ -13,7 +13,7 @@ from stratafit.llm.common import checkpointed
 
 WORD = r"[^\x20\x09-\x0D]+"
 #: Rows that one task rounds together, about.
-BLOCK_ROWS = 20_000
+BLOCK_ROWS = 4_000
 WEIGHTS = (5.0, 2.0, 1.0)
 CAP = 3.0
 
@@ -98,29 +98,26 @@ def balance(cells: DataFrame, constraints: Sequence[str], targets: dict[tuple[in
     return {k: float(multipliers[i]) for k, i in at.items()} | {k: float("-inf") for k, t in targets.items() if t <= 0}
 
 
-def _rounded(pdf: pd.DataFrame) -> pd.DataFrame:
-    """Copies of one block: each rate rounded down or up so that tokens taken follow the rates' sum, largest documents first."""
+def _rounded(pdf: pd.DataFrame, cap: float) -> pd.DataFrame:
+    """Copies of one block: each rate rounded with what longer documents left over or owe, largest documents first, 0 to cap times."""
     pdf = pdf.sort_values(["size", "doc_id"], ascending=[False, True], kind="stable")
-    size, rate = pdf["size"].to_numpy(np.int64), pdf["rate"].to_numpy(np.float64)
-    low = np.floor(rate + 1e-9)
-    owed = (np.maximum(rate - low, 0) * size).tolist()
-    up = np.zeros(len(pdf), np.int64)
-    debt = 0.0
-    for i, (more, n) in enumerate(zip(owed, size.tolist(), strict=True)):
-        debt += more
-        if more > 0 and debt >= n / 2:
-            up[i] = 1
-            debt -= n
-    return pdf.assign(copies=low.astype(np.int64) + up)
+    most = int(cap)
+    copies, debt = [], 0.0
+    for rate, n in zip(pdf["rate"].tolist(), pdf["size"].tolist(), strict=True):
+        debt += rate * n
+        c = min(most, max(0, int(debt / n + 0.5))) if n else min(most, int(rate + 0.5))
+        copies.append(c)
+        debt -= c * n
+    return pdf.assign(copies=np.array(copies, np.int64))
 
 
 def mix_sources(docs: DataFrame, weights: Sequence[float] = WEIGHTS, cap: float = CAP, block_rows: int = BLOCK_ROWS) -> DataFrame:
     """doc_id, source, size, source_size, target, rate, copies, taken; one row per row of docs (doc_id, text, source).
 
     size counts the words of the text, a null has none. Sources in code point order, null last, weigh the given weights, repeating; their targets
-    share all words, at most cap times their own. The rates come from balance(); copies are a rate rounded down or up, so taken = copies * size passes cap * size
-    nowhere. Within blocks of a source, by a hash of the id, rounding errors are carried on from long to short documents, so a source's taken words
-    miss its target by about its shortest documents. An empty table gives no rows.
+    share all words, at most cap times their own. The rates come from balance(); copies are the rates, rounded to at most
+    cap, so taken = copies * size passes cap * size nowhere. Within blocks of a source, by a hash of the id, rounding errors are carried on from long to short documents, so a
+    source's taken words miss its target by about its shortest documents, unless one document is most of a source. An empty table gives no rows.
     """
     sized = checkpointed(docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("source").cast("string").alias("source"), word_count(F.col("text")).alias("size")))
     stats = sized.groupBy("source").agg(F.sum("size").alias("s"), F.count(F.lit(1)).alias("n")).collect()
@@ -133,7 +130,7 @@ def mix_sources(docs: DataFrame, weights: Sequence[float] = WEIGHTS, cap: float
     rated = sized.join(F.broadcast(plan), F.col("source").eqNullSafe(F.col("_source"))).withColumn("block", F.pmod(F.xxhash64("doc_id", "size"), F.col("blocks")).cast("int")).drop("_source", "blocks")
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        return _rounded(pdf).drop(columns="block")
+        return _rounded(pdf, cap).drop(columns="block")
 
     kept = "doc_id long, source string, size long, source_size long, target double, rate double, copies long"
     return rated.groupBy("source", "block").applyInPandas(run, kept).withColumn("taken", F.col("copies") * F.col("size"))
