@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from stratafit.llm.common import checkpointed
+from stratafit.llm.common import checkpointed, hot_safe_lookup
 from stratafit.llm.text_arrays import Chunk, Words, scramble, text_chunks, word_hashes, words
 
 #: Leading tokens that a tree path reads after the token count.
@@ -103,15 +103,17 @@ def recurring_lines(docs: DataFrame, min_docs: int = MIN_DOCS, depth: int = DEPT
     """
     lines = checkpointed(tree_lines(docs, depth, min_tokens))
     spread = checkpointed(lines.select("leaf", "whole", "doc_id").distinct().groupBy("leaf", "whole").agg(F.count(F.lit(1)).alias("docs")))
-    open_leaves = checkpointed(spread.groupBy("leaf").agg(F.sum("docs").alias("docs"), F.count(F.lit(1)).alias("texts")).filter((F.col("docs") >= min_docs) & (F.col("texts") > 1)).select("leaf"))
-    own = spread.join(open_leaves, "leaf", "left_anti").filter(F.col("docs") >= min_docs).select("whole", F.col("whole").alias("template"))
+    open_leaves = checkpointed(spread.groupBy("leaf").agg(F.sum("docs").alias("docs"), F.count(F.lit(1)).alias("texts")).filter((F.col("docs") >= min_docs) & (F.col("texts") > 1)).select("leaf", "texts"))
+    several = checkpointed(hot_safe_lookup(spread, open_leaves, "leaf", "texts", max(1, spread.count()), "whole"))
+    own = several.filter(F.col("texts").isNull() & (F.col("docs") >= min_docs)).select("whole", F.col("whole").alias("template"))
+    several = several.filter("texts is not null").select("leaf", "whole", "docs")
 
     bits = np.zeros(FILTER_BITS, bool)
     # At most FILTER_BITS rows come to the driver, whatever the number of leaves; the size divides 2**64, so signed and unsigned hashes agree on their remainder.
     wanted = open_leaves.select((F.pmod(F.col("leaf"), F.lit(FILTER_BITS))).cast("int").alias("b")).distinct().toArrow()
     bits[wanted["b"].to_numpy()] = True
-    tokens = _tokens_of(docs, bits, depth, min_tokens).join(open_leaves, "leaf", "left_semi").dropDuplicates(["leaf", "whole"])
-    weighed = checkpointed(tokens.join(spread, ["leaf", "whole"]).select("leaf", "whole", "docs", F.posexplode("tokens").alias("at", "token")))
+    tokens = _tokens_of(docs, bits, depth, min_tokens).join(several, ["leaf", "whole"]).dropDuplicates(["leaf", "whole"])
+    weighed = checkpointed(tokens.select("leaf", "whole", "docs", F.posexplode("tokens").alias("at", "token")))
     support = weighed.groupBy("leaf", "at", "token").agg(F.sum("docs").alias("support")).filter(F.col("support") >= min_docs)
     fixed = weighed.join(support, ["leaf", "at", "token"], "left").groupBy("leaf", "whole").agg(
         F.count(F.lit(1)).alias("n"), F.count("support").alias("kept"), F.sum(F.when(F.col("support").isNotNull(), F.xxhash64("at", "token").cast("decimal(38,0)"))).alias("sum")
