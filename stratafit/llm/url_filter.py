@@ -9,6 +9,8 @@ from stratafit.llm.common import checkpointed, hot_safe_lookup
 
 #: Rule tables of at most so many rows are broadcast; larger ones are joined by shuffle.
 BROADCAST_RULES = 100_000
+#: Columns of the result beside those of the pages.
+ADDED = ("host", "path", "rule", "verdict")
 #: Hex digits of a digest on which expressions and rules are first joined: 32 bits.
 SHORT = 8
 
@@ -49,9 +51,9 @@ def judge_urls(pages: DataFrame, rules: DataFrame, url: str = "url", default: st
         .withColumn("full", _digest(F.col("rule_host"), F.col("rule_path"))).withColumn("short", F.substring("full", 1, SHORT))
     )
     shape = listed.agg(F.count(F.lit(1)).alias("n"), F.collect_set(F.size(F.split("rule_host", r"\."))).alias("labels"), F.collect_set(F.length("rule_path")).alias("lengths")).first()
-    base = pages.drop("host", "path", "rule", "verdict").withColumns({"host": host_of(F.col(url)), "path": path_of(F.col(url))})
+    base = pages.select(F.struct(*[pages[c] for c in pages.columns if c not in ADDED]).alias("row"), host_of(F.col(url)).alias("host"), path_of(F.col(url)).alias("path"))
     if not shape["n"]:
-        return base.withColumns({"rule": F.lit(None).cast("string"), "verdict": F.lit(default)})
+        return base.select("row.*", "host", "path", F.lit(None).cast("string").alias("rule"), F.lit(default).alias("verdict"))
     labels, lengths = sorted(shape["labels"]), sorted(shape["lengths"])
 
     suffixes = [F.substring_index("host", ".", -k) for k in labels]
@@ -62,7 +64,7 @@ def judge_urls(pages: DataFrame, rules: DataFrame, url: str = "url", default: st
     right = F.broadcast(listed) if shape["n"] <= BROADCAST_RULES else listed
     hits = sets.select("_key", "_members", F.explode("_digests").alias("_full")).join(right, F.substring("_full", 1, SHORT) == F.col("short")).filter(F.col("_full") == F.col("full"))
     judged = hot_safe_lookup(keyed.drop("_digests"), _best(hits, "_key", "_members"), "_key", "_members", max(1, pages.count()), "_row")
-    return judged.withColumns({"rule": F.col("best.rule"), "verdict": F.coalesce(F.col("best.v"), F.lit(default))}).drop("best", "_key", "_row", "_members")
+    return judged.select("row.*", "host", "path", F.col("best.rule").alias("rule"), F.coalesce(F.col("best.v"), F.lit(default)).alias("verdict"))
 
 
 def _best(hits: DataFrame, *keys: str) -> DataFrame:
