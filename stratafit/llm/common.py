@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 
 from pyspark.sql import DataFrame, SparkSession
@@ -11,6 +12,9 @@ from pyspark.sql import functions as F
 HOT_SHARE = 4096
 #: Rows of a hot key are spread over so many salts.
 SALTS = 64
+#: Rows and bytes of an Arrow batch at most.
+BATCH_ROWS = 1000
+BATCH_BYTES = 8 << 20
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -33,6 +37,21 @@ def shared_folder(spark: SparkSession) -> str:
     return context.getCheckpointDir()
 
 
+def small_batches(spark: SparkSession) -> None:
+    """Keep Arrow batches small where the session would make them large: whole texts travel in them, and an executor holds several at once."""
+    for key, most in (("spark.sql.execution.arrow.maxRecordsPerBatch", BATCH_ROWS), ("spark.sql.execution.arrow.maxBytesPerBatch", BATCH_BYTES)):
+        now = spark.conf.get(key, None)
+        if spark.conf.isModifiable(key) and now is not None and not 0 < _number(now) <= most:
+            spark.conf.set(key, str(most))
+
+
+def _number(text: str) -> int:
+    """A setting that is a number, or a size such as 256MB."""
+    digits = re.match(r"-?\d+", text.strip())
+    unit = {"k": 10, "m": 20, "g": 30, "t": 40}.get(text.strip().lower()[len(digits[0]) :][:1], 0) if digits else 0
+    return int(digits[0]) << unit if digits else -1
+
+
 def hot_safe_lookup(rows: DataFrame, groups: DataFrame, key: str, members: str, total: int, salt_by: str = "doc_id") -> DataFrame:
     """Left join of many rows to one row per key, where one key may hold a large share of all rows.
 

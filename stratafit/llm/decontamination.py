@@ -12,7 +12,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from stratafit.llm.text_arrays import SHINGLE, scramble, sequence_hash, shingle_hashes, text_chunks, word_hashes, words
+from stratafit.llm.common import small_batches
+from stratafit.llm.text_arrays import SHINGLE, row_text, scramble, sequence_hash, shingle_hashes, text_chunks, word_hashes, words
 
 SIMILARITY = 0.75
 #: Fingerprints of 64 bits that differ in at most RADIUS bits are found with certainty.
@@ -199,8 +200,9 @@ def _matches(b: Benchmark, hashes: np.ndarray, first: np.ndarray, radius: int, s
 
 def scan(docs: DataFrame, benchmark: Benchmark, radius: int = RADIUS, similarity: float = SIMILARITY) -> DataFrame:
     """row (all columns of docs) and matches, an array of (item_id, word_start, similarity), for each row of docs."""
+    small_batches(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast(benchmark)
-    rows = docs.select(F.struct(*[docs[c] for c in docs.columns]).alias("row"), F.col("text").cast("string").alias("_text"))
+    rows = docs.select(F.struct(*[docs[c] for c in docs.columns]).alias("row"))
     schema = rows.select("row", F.lit(None).cast("array<struct<item_id:bigint,word_start:bigint,similarity:double>>").alias("matches")).schema
     kind = pa.list_(pa.struct([("item_id", pa.int64()), ("word_start", pa.int64()), ("similarity", pa.float64())]))
 
@@ -208,7 +210,7 @@ def scan(docs: DataFrame, benchmark: Benchmark, radius: int = RADIUS, similarity
         b = shared.value
         for batch in batches:
             found: list[list[dict]] = [[] for _ in range(batch.num_rows)]
-            for chunk in text_chunks(batch.column("_text"), _CHUNK):
+            for chunk in text_chunks(row_text(batch), _CHUNK):
                 seen = words(chunk)
                 for doc, items in _matches(b, word_hashes(chunk, seen), seen.first, radius, similarity).items():
                     found[chunk.first + doc] = [{"item_id": b.ids[k], "word_start": at, "similarity": s} for k, (s, at) in sorted(items.items(), key=lambda x: b.ids[x[0]])]

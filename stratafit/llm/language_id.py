@@ -9,7 +9,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from stratafit.llm.text_arrays import FOLD, Chunk, text_chunks, words
+from stratafit.llm.common import small_batches
+from stratafit.llm.text_arrays import FOLD, Chunk, row_text, text_chunks, words
 
 #: Buckets of letter trigrams, and the one that counts for nothing.
 BUCKETS = 1 << 16
@@ -59,6 +60,7 @@ def learn(docs: DataFrame) -> tuple[list[str], np.ndarray]:
             used = np.flatnonzero(own[:BUCKETS])
             yield pa.RecordBatch.from_arrays([pa.array([lang] * len(used), pa.string()), pa.array(used.astype(np.int32)), pa.array(own[used])], names=["lang", "bucket", "n"])
 
+    small_batches(docs.sparkSession)
     sums = docs.filter("lang is not null").select(F.col("lang").cast("string").alias("lang"), F.col("text").cast("string").alias("text")).mapInArrow(run, "lang string, bucket int, n long")
     table = sums.groupBy("lang", "bucket").agg(F.sum("n").alias("n")).toArrow()
     names = table["lang"].combine_chunks().dictionary_encode() if table.num_rows else pa.array([], pa.string()).dictionary_encode()
@@ -114,9 +116,9 @@ def identify_rows(docs: DataFrame, langs: list[str], model: np.ndarray, penalty:
 
     und and 0 where the text is null or has no letter, or nothing was learned; ties go to the first language in code point order.
     """
+    small_batches(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast(model)
-    text = F.col("text").cast("string")
-    rows = docs.select(F.struct(*[docs[c] for c in docs.columns]).alias("row"), text.alias("_text"), F.coalesce(text.rlike(r"\p{L}"), F.lit(False)).alias("_letters"))
+    rows = docs.select(F.struct(*[docs[c] for c in docs.columns]).alias("row"), F.coalesce(F.col("text").cast("string").rlike(r"\p{L}"), F.lit(False)).alias("_letters"))
     schema = rows.select("row", F.lit("").alias("lang_pred"), F.lit(0.0).alias("score"), F.lit(None).cast("map<string,double>").alias("proportions")).schema
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -124,7 +126,7 @@ def identify_rows(docs: DataFrame, langs: list[str], model: np.ndarray, penalty:
         for batch in batches:
             letters = batch.column("_letters").to_pylist()
             names, scores, shares = [], [], []
-            for chunk in text_chunks(batch.column("_text")):
+            for chunk in text_chunks(row_text(batch)):
                 codes = _grams(chunk)
                 found = words(chunk, _NOT_LETTER)
                 each = np.stack([np.add.reduceat(row[codes], found.begin) for row in table], axis=1) if len(found.begin) and len(langs) else np.zeros((0, len(langs)))

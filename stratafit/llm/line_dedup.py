@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from stratafit.llm.common import checkpointed, hot_safe_lookup
+from stratafit.llm.common import checkpointed, hot_safe_lookup, small_batches
 from stratafit.llm.text_arrays import Chunk, Words, scramble, text_chunks, word_hashes, words
 
 #: Leading tokens that a tree path reads after the token count.
@@ -131,6 +131,7 @@ def drop_recurring_lines(docs: DataFrame, min_docs: int = MIN_DOCS, keep_first:
     empty one has one line. Lines shorter than MIN_TOKENS, blank ones included, stay. Rows that share a doc_id are cleaned by the lines that the id's rows have.
     A null doc_id counts as one document, whose lines stay.
     """
+    small_batches(docs.sparkSession)
     base = docs.withColumn("doc_id", F.col("doc_id").cast("long")).withColumn("text", F.col("text").cast("string"))
     lines, templates = recurring_lines(base, min_docs, **tree)
     hits = checkpointed(lines.filter("doc_id is not null").join(templates, "whole").select("doc_id", "line", "template"))

@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from stratafit.llm.common import checkpointed, components, hot_safe_lookup
+from stratafit.llm.common import checkpointed, components, hot_safe_lookup, small_batches
 from stratafit.llm.text_arrays import document_shingles, scramble, text_chunks
 
 SLOTS = 16
@@ -76,7 +76,7 @@ def shingle_sets(docs: DataFrame) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             ids = batch.column("doc_id")
-            for chunk in text_chunks(batch.column("text"), 1 << 22):
+            for chunk in text_chunks(batch.column("text")):
                 sets = [np.unique(s).view(np.int64) for _, s in document_shingles(chunk)]
                 lengths = np.concatenate([[0], np.cumsum([len(s) for s in sets])])
                 yield pa.RecordBatch.from_arrays([ids.slice(chunk.first, chunk.n), pa.ListArray.from_arrays(pa.array(lengths, pa.int32()), pa.array(np.concatenate(sets)))], names=["node", "shingles"])
@@ -174,6 +174,7 @@ def near_duplicate_components(docs: DataFrame, percent: int = PERCENT, slots: in
     on full sets, or already in one component, and the pairs of a large group are not all formed. At similarity 0.75 a pair shares
     a key with probability (1 - (1 - 0.75**3)**16)**2, about 0.9997, and 0.99998 at 0.8.
     """
+    small_batches(docs.sparkSession)
     total = max(1, docs.count())
     signed = checkpointed(signatures(docs, slots, rows))
     classes = checkpointed(

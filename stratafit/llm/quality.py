@@ -10,6 +10,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from stratafit.llm.common import small_batches
 from stratafit.llm.language_id import fold
 from stratafit.llm.text_arrays import Chunk, text_chunks, word_hashes, words
 
@@ -136,6 +137,7 @@ def fit(labelled: DataFrame, rows: int = FIT_ROWS) -> Model:
                 flat = pa.ListArray.from_arrays(pa.array(lengths, pa.int32()), pa.array(np.concatenate(own).astype(np.int32)))
                 yield pa.RecordBatch.from_arrays([batch.column("doc_id").slice(chunk.first, chunk.n), batch.column("quality").slice(chunk.first, chunk.n), flat], names=["doc_id", "quality", "buckets"])
 
+    small_batches(labelled.sparkSession)
     table = labelled.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), F.col("quality").cast("int").alias("quality")).mapInArrow(run, "doc_id long, quality int, buckets array<int>").toArrow()
     order = np.lexsort((table["quality"].to_numpy(), table["doc_id"].fill_null(-1).to_numpy()))
     labels = np.where(table["quality"].to_numpy() == 1, 1.0, -1.0)[order]
@@ -162,6 +164,7 @@ def fit(labelled: DataFrame, rows: int = FIT_ROWS) -> Model:
 
 def score(docs: DataFrame, model: Model) -> DataFrame:
     """doc_id, held_out, score, predicted for each row of docs (doc_id, text, held_out); a null text is an empty one."""
+    small_batches(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

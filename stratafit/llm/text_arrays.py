@@ -12,6 +12,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 
 CHUNK = 1 << 19
 SHINGLE = 5
@@ -79,6 +80,11 @@ def text_chunks(column: pa.Array | pa.ChunkedArray, limit: int = CHUNK) -> Itera
         i = j
 
 
+def row_text(batch: pa.RecordBatch) -> pa.Array:
+    """The column text inside a batch's column row, so that a text travels once."""
+    return pc.struct_field(batch.column("row"), "text")
+
+
 @dataclass
 class Words:
     begin: np.ndarray  # byte positions

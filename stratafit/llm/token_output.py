@@ -13,13 +13,13 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import window as W
 
-from stratafit.llm.common import shared_folder
+from stratafit.llm.common import shared_folder, small_batches
 from stratafit.llm.token_codec import pack_segment, unpack_segment
 
 END_ID = 2
 #: Ids in a segment, about: whole documents, as many blocks side by side as this holds.
 SEGMENT_IDS = 2_000_000
-_DOCS = 256
+_DOCS = 64
 
 
 def write_tokens(docs: DataFrame, path: str, tokenizer: str, end_id: int = END_ID, segment_ids: int = SEGMENT_IDS) -> None:
@@ -107,6 +107,7 @@ def token_digests(tokens: DataFrame) -> DataFrame:
 def tokens_round_trip(docs: DataFrame, tokenizer: str, path: str | None = None) -> DataFrame:
     """Write docs' tokens under path (a new folder beside the session's checkpoints if none is given), read them back and digest them."""
     spark = docs.sparkSession
+    small_batches(spark)
     path = path or f"{shared_folder(spark).rstrip('/')}/tokens-{uuid.uuid4().hex}"
     write_tokens(docs, path, tokenizer)
     return token_digests(read_tokens(spark, path))
