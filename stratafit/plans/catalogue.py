@@ -22,7 +22,7 @@ def register(name: str, query: Query, oracle: str | None = None) -> None:
 
 def _load() -> None:
     """Importing a module of queries registers them."""
-    for name in ("series_queries", "training_queries", "operator_queries"):
+    for name in ("series_queries", "training_queries", "operator_queries", "workload_queries"):
         importlib.import_module(f"stratafit.plans.{name}")
 
 
