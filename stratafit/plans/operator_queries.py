@@ -36,6 +36,27 @@ for _kind in ("cube", "rollup"):
     register(f"loss_{_kind}", _grouped(_kind), f"WITH {_YEARS} SELECT series_id, year::BIGINT AS year, grouping_id(series_id, year)::BIGINT AS level, count(*) AS n, round(avg(loss), 6) AS loss FROM q GROUP BY {_kind.upper()} (series_id, year)")
 
 
+def loss_grouping_sets(spark, d):
+    sets = _losses(spark, d).groupingSets([["series_id"], ["year"], []], "series_id", "year")
+    return sets.agg(F.grouping_id().alias("level"), F.count(F.lit(1)).alias("n"), F.round(F.avg("loss"), 6).alias("loss"))
+
+
+register("loss_grouping_sets", loss_grouping_sets,
+         f"WITH {_YEARS} SELECT series_id, year::BIGINT AS year, grouping_id(series_id, year)::BIGINT AS level, count(*) AS n, round(avg(loss), 6) AS loss FROM q GROUP BY GROUPING SETS ((series_id), (year), ())")
+
+
+def top_segments_lateral(spark, d):
+    """Each nation's two examples of largest loss, by a lateral subquery."""
+    losses = _losses(spark, d)
+    names = losses.select(F.col("series_id").alias("nation")).distinct()
+    best = losses.filter(F.col("series_id") == F.col("nation").outer()).orderBy(F.col("loss").desc(), "t0").limit(2).select("t0", F.round("loss", 6).alias("worst"))
+    return names.lateralJoin(best).select(F.col("nation").alias("series_id"), "t0", F.col("worst").alias("loss"))
+
+
+register("top_segments_lateral", top_segments_lateral,
+         f"WITH {_S6X}, {P.gradients(THETA, 'ex')}, k AS (SELECT *, row_number() OVER (PARTITION BY series_id ORDER BY loss DESC, t0) AS i FROM grads) SELECT series_id, t0::BIGINT AS t0, round(loss, 6) AS loss FROM k WHERE i <= 2")
+
+
 def worst_strata_topk(spark, d):
     """The three nations of largest mean loss in each quarter of the year."""
     q = _losses(spark, d).withColumn("quarter", F.floor(F.pmod(F.col("bucket"), F.lit(12)) / 3) + 1)

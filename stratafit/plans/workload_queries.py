@@ -63,7 +63,7 @@ def make_model(kind: str, tau_c: int, tau_p: int) -> Forecaster:
     return {"mlp_nll": lambda: MLPModel(tau_c, tau_p, 16, 2), "residual_stack_mape": lambda: ResidualStackModel(tau_c, tau_p, 2, 16, 2), "lstm_mse": lambda: LSTMModel(tau_c, tau_p, 8, 1, mse_loss)}[kind]()
 
 
-def one_fit(data: dict[str, np.ndarray], kind: str, method: str, lr: float, seed: int, grad_evals: int, minibatch: int = 8, curve: bool = False) -> tuple[loop.FitResult, float, float]:
+def one_fit(data: dict[str, np.ndarray], kind: str, method: str, lr: float, seed: int, grad_evals: int | None, minibatch: int = 8, curve: bool = False, updates: int | None = None) -> tuple[loop.FitResult, float, float]:
     """The fit, its training and its test loss over the whole sets."""
     train = data["train"]
     x, y = data["x"][train], data["y"][train]
@@ -72,19 +72,21 @@ def one_fit(data: dict[str, np.ndarray], kind: str, method: str, lr: float, seed
     strata_ids = data["stratum"][train]
     problem = ArrayProblem(lambda i, th: model.loss_grad(th, x[i], y[i])[1], len(x), model.size, strata_ids, minibatch, 1, seed, anchor or "stratified")
     n = len(problem.groups)
-    budget, rule = loop.Budget(grad_evals=grad_evals), make_rule(rule_name, lr)
+    budget, rule = loop.Budget(grad_evals=grad_evals, updates=updates), make_rule(rule_name, lr)
+    most = grad_evals or updates * 100
     evaluate = (lambda th: {"train_loss": model.loss_only(th, x, y)}) if curve else None
     if anchor is None:
-        fit = loop.minibatch_fit(problem, rule, [(0, k) for k in range(grad_evals)], model.start(seed), budget, evaluate, method, str(seed))
+        fit = loop.minibatch_fit(problem, rule, [(0, k) for k in range(updates or grad_evals)], model.start(seed), budget, evaluate, method, str(seed))
     else:
-        lengths = sampling.inner_lengths(grad_evals // n + 1, n, seed)
+        lengths = sampling.inner_lengths(most // n + 1, n, seed)
         fit = loop.anchored_fit(problem, rule, lengths, model.start(seed), budget=budget, evaluate=evaluate, method=method, run=str(seed))
     test = ~train
     return fit, model.loss_only(fit.theta, x, y), model.loss_only(fit.theta, data["x"][test], data["y"][test])
 
 
-def equal_budget_table(spark: SparkSession, d: str, datasets=("shares", "rates", "clients"), models=("mlp_nll", "residual_stack_mape"), runs: int = 5, grad_evals: int = 2000, tuned: bool = True) -> DataFrame:
-    """dataset, model, method, lr, runs, and mean and deviation of training and test loss at an equal number of example gradients.
+def equal_budget_table(spark: SparkSession, d: str, datasets=("shares", "rates", "clients"), models=("mlp_nll", "residual_stack_mape"), runs: int = 5, grad_evals: int | None = 2000, tuned: bool = True, updates: int | None = None, minibatch: int = 8) -> DataFrame:
+    """dataset, model, method, lr, runs, and mean and deviation of training and test loss at an equal number of example gradients,
+    or of updates where that is given instead.
 
     With tuned, each method takes the step size of its grid with the least mean training loss; otherwise the middle one.
     """
@@ -93,7 +95,7 @@ def equal_budget_table(spark: SparkSession, d: str, datasets=("shares", "rates",
 
     def fits(pdf: pd.DataFrame) -> pd.DataFrame:
         r = pdf.iloc[0]
-        fit, train, test = one_fit(data[r["dataset"]].value, r["model"], r["method"], r["lr"], int(r["run"]), grad_evals)
+        fit, train, test = one_fit(data[r["dataset"]].value, r["model"], r["method"], r["lr"], int(r["run"]), grad_evals, minibatch, updates=updates)
         return pdf.assign(grad_evals=fit.trace.grad_evals, train_loss=train, test_loss=test)
 
     keys = ["dataset", "model", "method", "lr", "run"]
@@ -190,6 +192,7 @@ def vector_curves(spark: SparkSession, d: str) -> DataFrame:
 
 
 register("workload_equal_budget", lambda s, d: equal_budget_table(s, d, runs=3, grad_evals=400, tuned=False))
+register("workload_equal_updates", lambda s, d: equal_budget_table(s, d, ("carrier",), ("mlp_nll",), 3, None, True, 400, 1))
 register("workload_carrier_curves", lambda s, d: training_curves(s, dataset(s, d, "carrier"), "mlp_nll", grad_evals=400).drop("seconds"))
 register("workload_families_lstm", lambda s, d: training_curves(s, families(s), "lstm_mse", ("sgd", "batch_anchor", "anchored_stratified"), grad_evals=200).drop("seconds"))
 register("workload_vector_curves", vector_curves)
