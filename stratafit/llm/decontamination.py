@@ -12,7 +12,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from stratafit.llm.common import small_batches
+from stratafit.llm.common import frugal, small_batches
 from stratafit.llm.text_arrays import SHINGLE, row_text, scramble, sequence_hash, shingle_hashes, text_chunks, word_hashes, words
 
 SIMILARITY = 0.75
@@ -216,7 +216,7 @@ def scan(docs: DataFrame, benchmark: Benchmark, radius: int = RADIUS, similarity
                     found[chunk.first + doc] = [{"item_id": b.ids[k], "word_start": at, "similarity": s} for k, (s, at) in sorted(items.items(), key=lambda x: b.ids[x[0]])]
             yield pa.RecordBatch.from_arrays([batch.column("row"), pa.array(found, kind)], names=["row", "matches"])
 
-    return rows.mapInArrow(run, schema)
+    return rows.mapInArrow(frugal(run), schema)
 
 
 def _passes(items: DataFrame) -> list[list[tuple[int, str]]]:

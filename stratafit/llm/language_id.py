@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from stratafit.llm.common import small_batches
+from stratafit.llm.common import frugal, small_batches
 from stratafit.llm.text_arrays import FOLD, Chunk, row_text, text_chunks, words
 
 #: Buckets of letter trigrams, and the one that counts for nothing.
@@ -61,7 +61,7 @@ def learn(docs: DataFrame) -> tuple[list[str], np.ndarray]:
             yield pa.RecordBatch.from_arrays([pa.array([lang] * len(used), pa.string()), pa.array(used.astype(np.int32)), pa.array(own[used])], names=["lang", "bucket", "n"])
 
     small_batches(docs.sparkSession)
-    sums = docs.filter("lang is not null").select(F.col("lang").cast("string").alias("lang"), F.col("text").cast("string").alias("text")).mapInArrow(run, "lang string, bucket int, n long")
+    sums = docs.filter("lang is not null").select(F.col("lang").cast("string").alias("lang"), F.col("text").cast("string").alias("text")).mapInArrow(frugal(run), "lang string, bucket int, n long")
     table = sums.groupBy("lang", "bucket").agg(F.sum("n").alias("n")).toArrow()
     names = table["lang"].combine_chunks().dictionary_encode() if table.num_rows else pa.array([], pa.string()).dictionary_encode()
     langs = sorted(names.dictionary.to_pylist(), key=lambda x: x.encode())
@@ -144,7 +144,7 @@ def identify_rows(docs: DataFrame, langs: list[str], model: np.ndarray, penalty:
                 [batch.column("row"), pa.array(names, pa.string()), pa.array(scores, pa.float64()), pa.array(shares, pa.map_(pa.string(), pa.float64()))], names=["row", "lang_pred", "score", "proportions"]
             )
 
-    return rows.mapInArrow(run, schema)
+    return rows.mapInArrow(frugal(run), schema)
 
 
 def fold(doc_id: str, modulus: int) -> Column:

@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from stratafit.llm.common import checkpointed, hot_safe_lookup, small_batches
+from stratafit.llm.common import checkpointed, frugal, hot_safe_lookup, small_batches
 from stratafit.llm.text_arrays import Chunk, Words, scramble, text_chunks, word_hashes, words
 
 #: Leading tokens that a tree path reads after the token count.
@@ -68,7 +68,7 @@ def tree_lines(docs: DataFrame, depth: int = DEPTH, min_tokens: int = MIN_TOKENS
                     [ids.take(pa.array(doc[keep] + chunk.first)), pa.array(number[keep].astype(np.int32)), pa.array(leaf[keep].view(np.int64)), pa.array(whole[keep].view(np.int64))], names=["doc_id", "line", "leaf", "whole"]
                 )
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, line int, leaf long, whole long")
+    return docs.select("doc_id", "text").mapInArrow(frugal(run), "doc_id long, line int, leaf long, whole long")
 
 
 def _tokens_of(docs: DataFrame, bits: np.ndarray, depth: int, min_tokens: int) -> DataFrame:
@@ -90,7 +90,7 @@ def _tokens_of(docs: DataFrame, bits: np.ndarray, depth: int, min_tokens: int) -
                 flat = hashes[np.repeat(first[:-1][keep] - at[:-1], n) + np.arange(at[-1])]
                 yield pa.RecordBatch.from_arrays([pa.array(leaf[keep].view(np.int64)), pa.array(whole[keep].view(np.int64)), pa.ListArray.from_arrays(pa.array(at, pa.int32()), pa.array(flat.view(np.int64)))], names=["leaf", "whole", "tokens"])
 
-    return docs.select("text").mapInArrow(run, "leaf long, whole long, tokens array<long>")
+    return docs.select("text").mapInArrow(frugal(run), "leaf long, whole long, tokens array<long>")
 
 
 def recurring_lines(docs: DataFrame, min_docs: int = MIN_DOCS, depth: int = DEPTH, constant: float = CONSTANT, min_tokens: int = MIN_TOKENS) -> tuple[DataFrame, DataFrame]:

@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from stratafit.llm.common import checkpointed, components, hot_safe_lookup, small_batches
+from stratafit.llm.common import checkpointed, components, frugal, hot_safe_lookup, small_batches
 from stratafit.llm.text_arrays import document_shingles, scramble, text_chunks
 
 SLOTS = 16
@@ -67,7 +67,7 @@ def signatures(docs: DataFrame, slots: int = SLOTS, rows: int = ROWS) -> DataFra
                 names=["doc_id", "n_shingles", "digest", "subs"],
             )
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, n_shingles long, digest binary, subs array<long>")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(frugal(run), "doc_id long, n_shingles long, digest binary, subs array<long>")
 
 
 def shingle_sets(docs: DataFrame) -> DataFrame:
@@ -81,7 +81,7 @@ def shingle_sets(docs: DataFrame) -> DataFrame:
                 lengths = np.concatenate([[0], np.cumsum([len(s) for s in sets])])
                 yield pa.RecordBatch.from_arrays([ids.slice(chunk.first, chunk.n), pa.ListArray.from_arrays(pa.array(lengths, pa.int32()), pa.array(np.concatenate(sets)))], names=["node", "shingles"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "node long, shingles array<long>")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(frugal(run), "node long, shingles array<long>")
 
 
 def _confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
@@ -125,7 +125,7 @@ def prefix_candidates(sets: DataFrame, percent: int = PERCENT) -> DataFrame:
         yield pa.RecordBatch.from_arrays([pa.array(used.astype(np.int32)), pa.array(total[used])], names=["slot", "n"])
 
     sets = checkpointed(sets)
-    seen = sets.select("shingles").mapInArrow(count, "slot int, n long").groupBy("slot").agg(F.sum("n").alias("n")).toArrow()
+    seen = sets.select("shingles").mapInArrow(frugal(count), "slot int, n long").groupBy("slot").agg(F.sum("n").alias("n")).toArrow()
     rarity = np.zeros(slots, np.int64)
     rarity[seen["slot"].to_numpy()] = seen["n"].to_numpy()
     shared = sets.sparkSession.sparkContext.broadcast(rarity)
@@ -151,7 +151,7 @@ def prefix_candidates(sets: DataFrame, percent: int = PERCENT) -> DataFrame:
                     names=["key", "probe", "node", "root", "n", "place"],
                 )
 
-    found = sets.select("node", "root", "shingles").mapInArrow(places, "key long, probe boolean, node long, root long, n int, place int")
+    found = sets.select("node", "root", "shingles").mapInArrow(frugal(places), "key long, probe boolean, node long, root long, n int, place int")
     met = found.groupBy("key", "root").agg(F.count(F.lit(1)).alias("c")).groupBy("key").agg(F.max_by("root", F.struct("c", "root")).alias("crowd"), F.count(F.lit(1)).alias("groups")).filter("groups > 1").select("key", "crowd")
     rows = checkpointed(found.join(met, "key").withColumn("few", F.col("root") != F.col("crowd")))
     larger = rows.filter("probe").select("key", F.col("node").alias("x"), F.col("root").alias("rx"), F.col("n").alias("nx"), F.col("place").alias("px"), F.col("few").alias("fx"))

@@ -10,7 +10,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from stratafit.llm.common import small_batches
+from stratafit.llm.common import frugal, small_batches
 from stratafit.llm.language_id import fold
 from stratafit.llm.text_arrays import Chunk, text_chunks, word_hashes, words
 
@@ -138,7 +138,7 @@ def fit(labelled: DataFrame, rows: int = FIT_ROWS) -> Model:
                 yield pa.RecordBatch.from_arrays([batch.column("doc_id").slice(chunk.first, chunk.n), batch.column("quality").slice(chunk.first, chunk.n), flat], names=["doc_id", "quality", "buckets"])
 
     small_batches(labelled.sparkSession)
-    table = labelled.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), F.col("quality").cast("int").alias("quality")).mapInArrow(run, "doc_id long, quality int, buckets array<int>").toArrow()
+    table = labelled.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), F.col("quality").cast("int").alias("quality")).mapInArrow(frugal(run), "doc_id long, quality int, buckets array<int>").toArrow()
     order = np.lexsort((table["quality"].to_numpy(), table["doc_id"].fill_null(-1).to_numpy()))
     labels = np.where(table["quality"].to_numpy() == 1, 1.0, -1.0)[order]
     flat = table["buckets"].combine_chunks()
@@ -178,7 +178,7 @@ def score(docs: DataFrame, model: Model) -> DataFrame:
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("held_out"), pa.array(p), pa.array((p >= 0.5).astype(np.int32))], names=["doc_id", "held_out", "score", "predicted"])
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "held_out", F.col("text").cast("string").alias("text"))
-    return rows.mapInArrow(run, "doc_id long, held_out boolean, score double, predicted int")
+    return rows.mapInArrow(frugal(run), "doc_id long, held_out boolean, score double, predicted int")
 
 
 def quality_of(docs: DataFrame, labels: DataFrame, rows: int = FIT_ROWS) -> DataFrame:

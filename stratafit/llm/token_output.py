@@ -13,13 +13,13 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import window as W
 
-from stratafit.llm.common import shared_folder, small_batches
+from stratafit.llm.common import frugal, shared_folder, small_batches
 from stratafit.llm.token_codec import pack_segment, unpack_segment
 
 END_ID = 2
 #: Ids in a segment, about: whole documents, as many blocks side by side as this holds.
-SEGMENT_IDS = 2_000_000
-_DOCS = 64
+SEGMENT_IDS = 1_000_000
+_DOCS = 32
 
 
 def write_tokens(docs: DataFrame, path: str, tokenizer: str, end_id: int = END_ID, segment_ids: int = SEGMENT_IDS) -> None:
@@ -64,7 +64,7 @@ def write_tokens(docs: DataFrame, path: str, tokenizer: str, end_id: int = END_I
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text")).withColumn("_tie", F.xxhash64("text"))
     dealt = rows.repartitionByRange(F.col("doc_id").asc_nulls_first(), "_tie").sortWithinPartitions(F.col("doc_id").asc_nulls_first(), "_tie").select("doc_id", "text")
-    dealt.mapInArrow(run, "part int, start long, n_ids long, segment binary").write.mode("overwrite").parquet(path)
+    dealt.mapInArrow(frugal(run), "part int, start long, n_ids long, segment binary").write.mode("overwrite").parquet(path)
 
 
 def read_tokens(spark: SparkSession, path: str) -> DataFrame:
@@ -88,7 +88,7 @@ def read_tokens(spark: SparkSession, path: str) -> DataFrame:
                     flat = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(own)]), pa.int32()), pa.array(ids[lo:hi].astype(np.int32)))
                     yield pa.RecordBatch.from_arrays([pa.array(names[i : i + _DOCS], pa.int64()), pa.array(base + ends[i : i + _DOCS] - own), pa.array(own), flat], names=["doc_id", "start", "n_tokens", "ids"])
 
-    return placed.mapInArrow(run, "doc_id long, start long, n_tokens long, ids array<int>")
+    return placed.mapInArrow(frugal(run), "doc_id long, start long, n_tokens long, ids array<int>")
 
 
 def token_digests(tokens: DataFrame) -> DataFrame:
@@ -101,7 +101,7 @@ def token_digests(tokens: DataFrame) -> DataFrame:
             crc = [zlib.crc32(flat[i:j].tobytes()) for i, j in zip(at[:-1], at[1:], strict=True)]
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("start"), batch.column("n_tokens"), pa.array(crc, pa.int64())], names=["doc_id", "start", "n_tokens", "ids_crc32"])
 
-    return tokens.mapInArrow(run, "doc_id long, start long, n_tokens long, ids_crc32 long")
+    return tokens.mapInArrow(frugal(run), "doc_id long, start long, n_tokens long, ids_crc32 long")
 
 
 def tokens_round_trip(docs: DataFrame, tokenizer: str, path: str | None = None) -> DataFrame:
