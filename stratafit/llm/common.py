@@ -16,8 +16,8 @@ HOT_SHARE = 4096
 #: Rows of a hot key are spread over so many salts.
 SALTS = 64
 #: Rows and bytes of an Arrow batch at most.
-BATCH_ROWS = 1000
-BATCH_BYTES = 8 << 20
+BATCH_ROWS = 500
+BATCH_BYTES = 4 << 20
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -55,14 +55,18 @@ def frugal(run: Callable) -> Callable:
         try:
             yield from run(batches)
         finally:
-            pa.default_memory_pool().release_unused()
-            libc = ctypes.CDLL(None)
-            if hasattr(libc, "malloc_trim"):
-                libc.malloc_trim(0)
+            release_memory()
 
     return wrapped
 
 
+def release_memory() -> None:
+    pa.default_memory_pool().release_unused()
+    libc = ctypes.CDLL(None)
+    if hasattr(libc, "malloc_trim"):
+        libc.malloc_trim(0)
+
+
 def _number(text: str) -> int:
     """A setting that is a number, or a size such as 256MB."""
     digits = re.match(r"-?\d+", text.strip())

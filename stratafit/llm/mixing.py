@@ -2,10 +2,10 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator, Sequence
+from collections.abc import Sequence
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -98,17 +98,17 @@ def balance(cells: DataFrame, constraints: Sequence[str], targets: dict[tuple[in
     return {k: float(multipliers[i]) for k, i in at.items()} | {k: float("-inf") for k, t in targets.items() if t <= 0}
 
 
-def _rounded(pdf: pd.DataFrame, cap: float) -> pd.DataFrame:
+def _rounded(table: pa.Table, cap: float) -> pa.Table:
     """Copies of one block: each rate rounded with what longer documents left over or owe, largest documents first, 0 to cap times."""
-    pdf = pdf.sort_values(["size", "doc_id"], ascending=[False, True], kind="stable")
+    table = table.sort_by([("size", "descending"), ("doc_id", "ascending")])
     most = int(cap)
     copies, debt = [], 0.0
-    for rate, n in zip(pdf["rate"].tolist(), pdf["size"].tolist(), strict=True):
+    for rate, n in zip(table["rate"].to_pylist(), table["size"].to_pylist(), strict=True):
         debt += rate * n
         c = min(most, max(0, int(debt / n + 0.5))) if n else min(most, int(rate + 0.5))
         copies.append(c)
         debt -= c * n
-    return pdf.assign(copies=np.array(copies, np.int64))
+    return table.append_column("copies", pa.array(copies, pa.int64()))
 
 
 def mix_sources(docs: DataFrame, weights: Sequence[float] = WEIGHTS, cap: float = CAP, block_rows: int = BLOCK_ROWS) -> DataFrame:
@@ -129,11 +129,11 @@ def mix_sources(docs: DataFrame, weights: Sequence[float] = WEIGHTS, cap: float
     plan = docs.sparkSession.createDataFrame(plan, "_source string, source_size long, target double, rate double, blocks int")
     rated = sized.join(F.broadcast(plan), F.col("source").eqNullSafe(F.col("_source"))).withColumn("block", F.pmod(F.xxhash64("doc_id", "size"), F.col("blocks")).cast("int")).drop("_source", "blocks")
 
-    def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        return _rounded(pdf, cap).drop(columns="block")
+    def run(table: pa.Table) -> pa.Table:
+        return _rounded(table, cap).drop_columns(["block"])
 
     kept = "doc_id long, source string, size long, source_size long, target double, rate double, copies long"
-    return rated.groupBy("source", "block").applyInPandas(run, kept).withColumn("taken", F.col("copies") * F.col("size"))
+    return rated.groupBy("source", "block").applyInArrow(run, kept).withColumn("taken", F.col("copies") * F.col("size"))
 
 
 def repeat_rows(docs: DataFrame, mixed: DataFrame) -> DataFrame:

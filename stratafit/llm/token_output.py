@@ -13,7 +13,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import window as W
 
-from stratafit.llm.common import frugal, shared_folder, small_batches
+from stratafit.llm.common import frugal, release_memory, shared_folder, small_batches
 from stratafit.llm.token_codec import pack_segment, unpack_segment
 
 END_ID = 2
@@ -47,6 +47,7 @@ def write_tokens(docs: DataFrame, path: str, tokenizer: str, end_id: int = END_I
             out = pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([start], pa.int64()), pa.array([count], pa.int64()), pa.array([data], pa.binary())], names=["part", "start", "n_ids", "segment"])
             start += count
             names, held, count = [], [], 0
+            release_memory()
             return out
 
         for batch in batches:
