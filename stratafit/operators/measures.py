@@ -31,14 +31,17 @@ def stratum_variance(assigned: DataFrame, theta: Sequence[float], per_stratum: i
 def variance_dependency(assigned: DataFrame, theta: Sequence[float], per_stratum: int = 1) -> DataFrame:
     """One row: strata, total (uniform, one draw), within, between, stratified (sum of w**2 times inside variance), dependency (strata times that),
     mean_inside, within_share; and worse, whether the dependency is above the total, as unequal strata can make it."""
-    inside = stratum_variance(assigned, theta, per_stratum)
+    # One pass over the examples: strata keep their size, inside variance and mean gradient; the total follows from them.
+    p = range(1, len(theta) + 1)
+    inside = with_gradient(assigned, theta).groupBy("stratum").agg(F.count(F.lit(1)).alias("n"), _total(len(theta)).alias("v"), *[F.avg(f"g{j}").alias(f"m{j}") for j in p])
+    n = F.sum("n")
+    between = sum((F.sum(F.col("n") * F.col(f"m{j}") * F.col(f"m{j}")) / n - F.pow(F.sum(F.col("n") * F.col(f"m{j}")) / n, F.lit(2)) for j in p), F.lit(0.0))
     b = inside.agg(
-        F.count(F.lit(1)).alias("strata"), F.sum(F.col("w") * F.col("variance") * per_stratum).alias("within"),
-        F.sum(F.col("w") * F.col("w") * F.col("variance")).alias("stratified"), F.avg("variance").alias("mean_inside"),
+        F.count(F.lit(1)).alias("strata"), (F.sum(F.col("n") * F.col("v")) / n).alias("within"), between.alias("between"),
+        (F.sum(F.col("n") * F.col("n") * F.col("v")) / (n * n) / per_stratum).alias("stratified"), (F.avg("v") / per_stratum).alias("mean_inside"),
     )
-    total = gradient_variance(assigned, theta).select(F.col("variance").alias("total"))
-    return b.join(F.broadcast(total)).select(
-        "strata", "total", "within", (F.col("total") - F.col("within")).alias("between"), "stratified", (F.col("strata") * F.col("stratified")).alias("dependency"), "mean_inside",
+    return b.withColumn("total", F.col("within") + F.col("between")).select(
+        "strata", "total", "within", "between", "stratified", (F.col("strata") * F.col("stratified")).alias("dependency"), "mean_inside",
         (F.col("within") / F.nullif("total", F.lit(0.0))).alias("within_share"), (F.col("strata") * F.col("stratified") > F.col("total")).alias("worse"),
     )
 
