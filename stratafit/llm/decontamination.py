@@ -1,4 +1,4 @@
-"""Benchmark decontamination: SimHash of item-sized windows, multi-index Hamming search, exact weighted-shingle verification."""
+"""Benchmark decontamination: candidates by SimHash of item-sized windows and by the items' rarest shingles, exact weighted-shingle verification of every window."""
 
 from __future__ import annotations
 
@@ -13,7 +13,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from stratafit.llm.common import frugal, small_batches
-from stratafit.llm.text_arrays import SHINGLE, row_text, scramble, sequence_hash, shingle_hashes, text_chunks, word_hashes, words
+from stratafit.llm.text_arrays import SHINGLE, row_text, scramble, sequence_hash, sequence_hashes, shingle_hashes, text_chunks, word_hashes, words
 
 SIMILARITY = 0.75
 #: Fingerprints of 64 bits that differ in at most RADIUS bits are found with certainty.
@@ -23,6 +23,8 @@ BLOCKS = 4
 STEP = 1.25
 #: Bytes of benchmark text in one pass over the documents; a larger benchmark takes several passes.
 PASS_BYTES = 16 << 20
+#: Similarities within this of the bound reach it: sums of weights are rounded.
+_SLACK = 1e-12
 _CHUNK = 1 << 15
 _SEED = np.uint64(0x5851F42D4C957F2D)
 
@@ -120,6 +122,31 @@ def weighted_similarity(a: Counter, b: Counter, weight: dict[int, float], other:
     return low / high if high else 0.0
 
 
+@dataclass
+class _Keys:
+    """Sorted shingle hashes and the items that hold each, behind a filter of their low bits."""
+
+    used: np.ndarray
+    key: np.ndarray
+    item: np.ndarray
+
+    @classmethod
+    def of(cls, pairs: list[tuple[int, int]]) -> _Keys:
+        key, item = np.array([s for s, _ in pairs], np.uint64), np.array([k for _, k in pairs], np.int64)
+        order = np.argsort(key, kind="stable")
+        used = np.zeros(max(1 << 12, 1 << (16 * len(pairs)).bit_length()), bool)
+        used[(key & np.uint64(len(used) - 1)).astype(np.int64)] = True
+        return cls(used, key[order], item[order])
+
+    def search(self, hashes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(position, item) of all hashes that are a key."""
+        hit = np.flatnonzero(self.used[(hashes & np.uint64(len(self.used) - 1)).astype(np.int64)])
+        low = np.searchsorted(self.key, hashes[hit], "left")
+        n = np.searchsorted(self.key, hashes[hit], "right") - low
+        step = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
+        return np.repeat(hit, n), self.item[np.repeat(low, n) + step]
+
+
 @dataclass
 class Benchmark:
     ids: list[int]
@@ -130,10 +157,25 @@ class Benchmark:
     indexes: dict[int, _Index]
     shortest: int
     longest: int
+    #: Rarest shingles of the items of SHINGLE words or more, and by length the only shingle of each shorter one.
+    rare: _Keys
+    brief: dict[int, _Keys]
+
+
+def _rarest(counts: Counter, weight: dict[int, float], similarity: float) -> list[int]:
+    """The heaviest shingles of an item, until the rest weighs less than the given share of it: texts of that similarity hold one of them."""
+    total = sum(weight[s] * n for s, n in counts.items())
+    left, out = total, []
+    for s in sorted(counts, key=lambda s: (-weight[s], s)):
+        if left < (similarity - 1e-9) * total:
+            break
+        out.append(s)
+        left -= weight[s] * counts[s]
+    return out
 
 
-def prepare(items: list[tuple[int, str]], radius: int = RADIUS) -> Benchmark:
-    """Fingerprints of each item's first and last window of its class, and shingle weights: rarer among the items, heavier."""
+def prepare(items: list[tuple[int, str]], radius: int = RADIUS, similarity: float = SIMILARITY) -> Benchmark:
+    """Fingerprints of each item's first and last window of its class, shingle weights (rarer among the items, heavier), and each item's rarest shingles."""
     items = [(k, t) for k, t in items if t is not None and t.strip(" \t\n\x0b\x0c\r")]
     hashes: list[np.ndarray] = []
     for chunk in text_chunks(pa.array([t for _, t in items], pa.string())):
@@ -152,49 +194,78 @@ def prepare(items: list[tuple[int, str]], radius: int = RADIUS) -> Benchmark:
             entries.setdefault(size, []).append((int(all_prints[offset]), k, offset))
     indexes = {size: _Index(np.array([e[0] for e in own], np.uint64), np.array([e[1] for e in own]), np.array([e[2] for e in own])).build(radius) for size, own in entries.items()}
     lengths = [len(h) for h in hashes]
-    return Benchmark([k for k, _ in items], hashes, counts, weight, float(np.log1p(len(items))), indexes, min(lengths, default=0), max(lengths, default=0))
+    rare = _Keys.of([(s, k) for k, c in enumerate(counts) if lengths[k] >= SHINGLE for s in _rarest(c, weight, similarity)])
+    brief = {n: _Keys.of([(s, k) for k, c in enumerate(counts) if lengths[k] == n for s in c]) for n in sorted({n for n in lengths if n < SHINGLE})}
+    return Benchmark([k for k, _ in items], hashes, counts, weight, float(np.log1p(len(items))), indexes, min(lengths, default=0), max(lengths, default=0), rare, brief)
+
+
+def _best_window(b: Benchmark, item: int, shingles: np.ndarray, weights: np.ndarray) -> tuple[float, int]:
+    """The largest similarity of an item of SHINGLE words or more to a window as long as it, or to what a text that ends earlier has, and the first such window.
+
+    shingles and weights are a whole text's. The occurrence of a shingle adds to the common weight of the windows that hold it but not as many occurrences before it as the item has.
+    """
+    counts = b.counts[item]
+    span = len(b.hashes[item]) - SHINGLE + 1
+    low, last = np.zeros(len(shingles) + 1), {}
+    for p, s in enumerate(shingles.tolist()):
+        n = counts.get(s, 0)
+        if n:
+            before = last.setdefault(s, [])
+            begin = max(p - span + 1, 0, before[-n] + 1 if len(before) >= n else 0)
+            before.append(p)
+            low[begin] += weights[p]
+            low[p + 1] -= weights[p]
+    low = np.cumsum(low)[:-1]
+    total = np.concatenate([[0.0], np.cumsum(weights)])
+    at = np.arange(len(shingles))
+    window = total[np.minimum(at + span, len(shingles))] - total[at]
+    own = sum(b.weight[s] * n for s, n in counts.items())
+    score = low / (window + own - low)
+    best = int(np.argmax(score >= score.max() - _SLACK))
+    return weighted_similarity(Counter(shingles[best : best + span].tolist()), counts, b.weight, b.other), best
 
 
 def _matches(b: Benchmark, hashes: np.ndarray, first: np.ndarray, radius: int, similarity: float) -> dict[int, dict[int, tuple[float, int]]]:
     """document -> item -> (similarity, first word) of the best window; first has the documents' word positions."""
     out: dict[int, dict[int, tuple[float, int]]] = {}
-    tried = set()
-
-    def verify(doc: int, item: int, start: int) -> None:
-        lo, hi = int(first[doc]), int(first[doc + 1])
-        start = max(lo, min(start, hi - 1))
-        if (doc, item, start) in tried:
-            return
-        tried.add((doc, item, start))
-        window = _shingles(hashes[start : min(hi, start + len(b.hashes[item]))])
-        if b.counts[item].keys().isdisjoint(window):
-            return
-        window = Counter(window)
-        s = weighted_similarity(window, b.counts[item], b.weight, b.other)
-        if s >= similarity and s > out.get(doc, {}).get(item, (0.0, 0))[0]:
-            out.setdefault(doc, {})[item] = (s, start - lo)
-
+    if not len(hashes) or not b.ids:
+        return out
+    pairs: set[tuple[int, int]] = set()
     ends = np.repeat(first[1:], np.diff(first))
     sizes = sorted(b.indexes)
-    prints = fingerprints(hashes, sizes) if len(hashes) else {}
+    prints = fingerprints(hashes, sizes)
     for size in sizes:
-        if not len(prints.get(size, ())):
+        if not len(prints[size]):
             continue
         inside = np.flatnonzero(ends[: len(prints[size])] - np.arange(len(prints[size])) >= size)
         index = b.indexes[size]
         at, entry = index.search(prints[size][inside], radius)
-        for i, e in zip(inside[at].tolist(), entry.tolist(), strict=True):
-            verify(int(np.searchsorted(first, i, "right")) - 1, int(index.item[e]), i - int(index.offset[e]))
-    # Texts a little shorter than the class of an item: one window, the whole text.
-    lengths = np.diff(first)
-    for doc in np.flatnonzero((lengths > 0) & (lengths >= 0.6 * b.shortest) & (lengths < b.longest)).tolist():
-        own = hashes[first[doc] : first[doc + 1]]
-        whole = fingerprints(own, [len(own)])[len(own)]
-        for size in (s for s in sizes if s > len(own) >= 0.6 * s):
-            index = b.indexes[size]
-            _, entry = index.search(whole, radius)
-            for e in entry.tolist():
-                verify(doc, int(index.item[e]), int(first[doc]))
+        pairs.update(zip((np.searchsorted(first, inside[at], "right") - 1).tolist(), index.item[entry].tolist(), strict=True))
+    all_shingles = shingle_hashes(hashes)
+    inside = np.flatnonzero(ends[: len(all_shingles)] - np.arange(len(all_shingles)) >= SHINGLE)
+    at, item = b.rare.search(all_shingles[inside])
+    pairs.update(zip((np.searchsorted(first, inside[at], "right") - 1).tolist(), item.tolist(), strict=True))
+
+    weighed: dict[int, np.ndarray] = {}
+    for doc, item in sorted(pairs):
+        lo, hi = int(first[doc]), int(first[doc + 1])
+        if len(b.hashes[item]) < SHINGLE or hi - lo < SHINGLE:
+            continue
+        shingles = all_shingles[lo : hi - SHINGLE + 1]
+        if b.counts[item].keys().isdisjoint(shingles.tolist()):
+            continue
+        if doc not in weighed:
+            weighed = {doc: np.array([b.weight.get(s, b.other) for s in shingles.tolist()])}
+        s, start = _best_window(b, item, shingles, weighed[doc])
+        if s >= similarity - _SLACK:
+            out.setdefault(doc, {})[item] = (s, start)
+    # Items of fewer than SHINGLE words are one shingle: the same words or none.
+    for size, keys in b.brief.items():
+        inside = np.flatnonzero(ends - np.arange(len(ends)) >= size)
+        at, item = keys.search(sequence_hashes(hashes, size)[inside])
+        for i, k in zip(inside[at].tolist(), item.tolist(), strict=True):
+            doc = int(np.searchsorted(first, i, "right")) - 1
+            out.setdefault(doc, {}).setdefault(k, (1.0, i - int(first[doc])))
     return out
 
 
@@ -235,11 +306,12 @@ def _passes(items: DataFrame) -> list[list[tuple[int, str]]]:
 def contaminated(docs: DataFrame, items: DataFrame, radius: int = RADIUS, similarity: float = SIMILARITY) -> DataFrame:
     """doc_id, item_id, word_start, similarity of each document and item of which it has a passage; clean documents give no row.
 
-    Every window of as many words as an item's class gets a SimHash of its words (A-Z folded). Fingerprints within radius of an
-    item's are found with certainty; then the window as long as the item is compared with it on multisets of 5-word shingles, weighted by rarity among the items. The best window counts.
+    Every window of as many words as an item's class gets a SimHash of its words (A-Z folded); documents with a fingerprint within radius of an item's are
+    candidates, and so are those with one of the item's rarest 5-word shingles, as every document with a window of the similarity has. All windows as long as the item (shorter where the
+    document ends) are then compared with it on multisets of shingles, weighted by rarity among the items. The best window counts, so nothing that reaches the similarity is missed.
     Null or blank texts match nothing, on either side. Items of fewer than 5 words are one shingle.
     """
-    parts = [scan(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), prepare(p, radius), radius, similarity) for p in _passes(items)]
+    parts = [scan(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), prepare(p, radius, similarity), radius, similarity) for p in _passes(items)]
     found = [p.filter(F.size("matches") > 0).select("row.doc_id", F.explode("matches").alias("m")).select("doc_id", "m.item_id", "m.word_start", "m.similarity") for p in parts]
     out = found[0]
     for more in found[1:]:
@@ -250,5 +322,5 @@ def contaminated(docs: DataFrame, items: DataFrame, radius: int = RADIUS, simila
 def clean_documents(docs: DataFrame, items: DataFrame, radius: int = RADIUS, similarity: float = SIMILARITY) -> DataFrame:
     """The rows of docs without a passage of any item, columns unchanged."""
     for portion in _passes(items):
-        docs = scan(docs, prepare(portion, radius), radius, similarity).filter(F.size("matches") == 0).select("row.*")
+        docs = scan(docs, prepare(portion, radius, similarity), radius, similarity).filter(F.size("matches") == 0).select("row.*")
     return docs

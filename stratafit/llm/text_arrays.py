@@ -124,6 +124,14 @@ def sequence_hash(hashes: np.ndarray) -> np.uint64:
         return scramble((hashes * _PLACE[: len(hashes)]).sum(keepdims=True, dtype=np.uint64) + np.uint64(len(hashes)))[0]
 
 
+def sequence_hashes(hashes: np.ndarray, size: int) -> np.ndarray:
+    """sequence_hash of the size words, fewer than SHINGLE, from each word on, over a whole chunk; the last ones are short and for the caller to leave out."""
+    total = np.full(len(hashes), np.uint64(size))
+    for k in range(size):
+        total[: len(hashes) - k] += hashes[k:] * _PLACE[k]
+    return scramble(total)
+
+
 def shingle_hashes(hashes: np.ndarray) -> np.ndarray:
     """Hash of the SHINGLE words from each word on, over a whole chunk; those that pass a document's end are for the caller to leave out."""
     n = len(hashes) - SHINGLE + 1

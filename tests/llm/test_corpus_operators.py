@@ -2,6 +2,7 @@ import hashlib
 import random
 import re
 import zlib
+from collections import Counter
 
 import numpy as np
 import pytest
@@ -231,3 +232,35 @@ def test_shards(spark, units):
     assert {(zlib.crc32(b"same"), 20), (0, 16)} <= sizes
     assert shard_documents(docs.limit(0), 5).count() == 0
     assert sorted(map(str, got)) == sorted(map(str, shard_documents(docs.repartition(6), 5, units, 20).collect()))
+
+
+def test_decontamination_equals_a_search_of_all_windows(spark):
+    rng = random.Random(11)
+    items = [words(rng, n) for n in (4, 5, 9, 37, 47, 58, 73, 114, 300)] + [["a", "b"] * 20]
+    share = items[6][:30] + words(rng, 40)
+    items.append(share)
+    docs = []
+    for w, edit, cut in ((73, 5, 0), (114, 9, 0), (300, 35, 0), (58, 0, 10), (47, 0, 10), (37, 0, 6), (73, 12, 0), (40, 0, 5), (9, 1, 0), (4, 0, 0), (5, 0, 0), (70, 3, 0)):
+        item = next(i for i in items if len(i) == w)
+        for _ in range(12):
+            piece = item[: len(item) - cut]
+            at = rng.randint(0, len(piece) - edit)
+            piece = piece[:at] + words(rng, edit + rng.choice([0, 0, 1]) * bool(edit)) + piece[at + edit :]
+            docs.append(piece if cut else words(rng, rng.randint(0, 40)) + piece + words(rng, rng.randint(0, 40)))
+    grams = lambda w: [tuple(w[i : i + 5]) for i in range(len(w) - 4)] if len(w) >= 5 else [tuple(w)]
+    bags = [Counter(grams(i)) for i in items]
+    spread = Counter(g for b in bags for g in b)
+    weight = lambda g: np.log1p(len(items) / spread[g]) if g in spread else np.log1p(len(items))
+    want = {}
+    for d, text in enumerate(docs):
+        for k, item in enumerate(items):
+            for at in range(len(text)):
+                bag = Counter(grams(text[at : at + len(item)]))
+                both = bag.keys() | bags[k].keys()
+                s = sum(weight(g) * min(bag[g], bags[k][g]) for g in both) / sum(weight(g) * max(bag[g], bags[k][g]) for g in both)
+                if s >= 0.75 - 1e-12 and s > want.get((d, k), (0, 0))[0] + 1e-12:
+                    want[d, k] = (s, at)
+    rows = contaminated(spark.createDataFrame([(d, " ".join(t)) for d, t in enumerate(docs)], "doc_id long, text string"), spark.createDataFrame([(k, " ".join(i)) for k, i in enumerate(items)], "item_id long, text string")).collect()
+    got = {(r["doc_id"], r["item_id"]): (r["similarity"], r["word_start"]) for r in rows}
+    assert got.keys() == want.keys() and len(want) > 80
+    assert all(abs(got[x][0] - want[x][0]) < 1e-9 and got[x][1] == want[x][1] for x in want)
