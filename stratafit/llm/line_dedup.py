@@ -20,6 +20,8 @@ MIN_DOCS = 3
 MIN_TOKENS = 4
 #: Share of a template's tokens that must be constant.
 CONSTANT = 0.6
+#: A token is constant at shares of its leaf's lines, from the coarsest templates to the finest; MIN_DOCS holds besides.
+SHARES = (0.5, 0.1, 0.02, 0.0)
 _ANY = np.uint64(0x2545F4914F6CDD1D)
 _DIGIT = np.zeros(256, np.int64)
 _DIGIT[48:58] = 1
@@ -96,32 +98,36 @@ def _tokens_of(docs: DataFrame, bits: np.ndarray, depth: int, min_tokens: int) -
 def recurring_lines(docs: DataFrame, min_docs: int = MIN_DOCS, depth: int = DEPTH, constant: float = CONSTANT, min_tokens: int = MIN_TOKENS) -> tuple[DataFrame, DataFrame]:
     """(lines, templates): lines has doc_id, line, whole; templates has whole and template for the lines of templates that recur.
 
-    Lines of one leaf share their token count and leading tokens. In a leaf, a token that lines of at least min_docs documents have at a
+    Lines of one leaf share their token count and leading tokens. In a leaf, a token that at least a share of its lines, and min_docs documents, have at a
     position is constant, any other is a variable field. A line's template is its constant tokens, if they are at least the given share; so lines
-    that differ in variable fields meet in one template, and a line that recurs as it is is its own template.
+    that differ in variable fields meet in one template, and a line that recurs as it is is its own template. As a share of the leaf, a field stays a field
+    however large the corpus; of the SHARES, a line takes the largest whose template recurs.
     Supports are counted per (leaf, position, token), with partial sums, so a leaf that holds a large share of all lines is no single group.
     """
     lines = checkpointed(tree_lines(docs, depth, min_tokens))
     spread = checkpointed(lines.select("leaf", "whole", "doc_id").distinct().groupBy("leaf", "whole").agg(F.count(F.lit(1)).alias("docs")))
-    open_leaves = checkpointed(spread.groupBy("leaf").agg(F.sum("docs").alias("docs"), F.count(F.lit(1)).alias("texts")).filter((F.col("docs") >= min_docs) & (F.col("texts") > 1)).select("leaf", "texts"))
+    open_leaves = checkpointed(spread.groupBy("leaf").agg(F.sum("docs").alias("leaf_docs"), F.count(F.lit(1)).alias("texts")).filter((F.col("leaf_docs") >= min_docs) & (F.col("texts") > 1)))
     several = checkpointed(hot_safe_lookup(spread, open_leaves, "leaf", "texts", max(1, spread.count()), "whole"))
     own = several.filter(F.col("texts").isNull() & (F.col("docs") >= min_docs)).select("whole", F.col("whole").alias("template"))
-    several = several.filter("texts is not null").select("leaf", "whole", "docs")
+    several = several.filter("texts is not null").select("leaf", "whole", "docs", "leaf_docs")
 
     bits = np.zeros(FILTER_BITS, bool)
     # At most FILTER_BITS rows come to the driver, whatever the number of leaves; the size divides 2**64, so signed and unsigned hashes agree on their remainder.
     wanted = open_leaves.select((F.pmod(F.col("leaf"), F.lit(FILTER_BITS))).cast("int").alias("b")).distinct().toArrow()
     bits[wanted["b"].to_numpy()] = True
     tokens = _tokens_of(docs, bits, depth, min_tokens).join(several, ["leaf", "whole"]).dropDuplicates(["leaf", "whole"])
-    weighed = checkpointed(tokens.select("leaf", "whole", "docs", F.posexplode("tokens").alias("at", "token")))
+    weighed = checkpointed(tokens.select("leaf", "whole", "docs", "leaf_docs", F.posexplode("tokens").alias("at", "token")))
     support = weighed.groupBy("leaf", "at", "token").agg(F.sum("docs").alias("support")).filter(F.col("support") >= min_docs)
+    mark = F.xxhash64("at", "token").cast("decimal(38,0)")
+    holds = [F.col("support") >= F.col("leaf_docs") * F.lit(share) for share in SHARES]
     fixed = weighed.join(support, ["leaf", "at", "token"], "left").groupBy("leaf", "whole").agg(
-        F.count(F.lit(1)).alias("n"), F.count("support").alias("kept"), F.sum(F.when(F.col("support").isNotNull(), F.xxhash64("at", "token").cast("decimal(38,0)"))).alias("sum")
+        F.count(F.lit(1)).alias("n"), *[f for k, h in enumerate(holds) for f in (F.count_if(h).alias(f"kept{k}"), F.sum(F.when(h, mark)).alias(f"sum{k}"))]
     )
-    made = fixed.filter(F.col("kept") >= F.lit(constant) * F.col("n")).select("whole", F.xxhash64("leaf", "n", "kept", "sum").alias("template"))
-    found = checkpointed(own.union(made))
+    levels = F.array(*[F.when(F.col(f"kept{k}") >= F.lit(constant) * F.col("n"), F.xxhash64("leaf", "n", f"kept{k}", f"sum{k}")) for k in range(len(SHARES))])
+    made = fixed.select("whole", F.posexplode(F.array_distinct(F.array_compact(levels))).alias("rank", "template"))
+    found = checkpointed(own.select("whole", F.lit(0).alias("rank"), "template").union(made))
     count = lines.select("whole", "doc_id").distinct().join(found, "whole").select("template", "doc_id").distinct().groupBy("template").agg(F.count(F.lit(1)).alias("c")).filter(F.col("c") >= min_docs)
-    return lines, found.join(count, "template", "left_semi").select("whole", "template")
+    return lines, found.join(count, "template", "left_semi").groupBy("whole").agg(F.min_by("template", "rank").alias("template"))
 
 
 def drop_recurring_lines(docs: DataFrame, min_docs: int = MIN_DOCS, keep_first: bool = True, **tree: float) -> DataFrame:

@@ -264,3 +264,13 @@ def test_decontamination_equals_a_search_of_all_windows(spark):
     got = {(r["doc_id"], r["item_id"]): (r["similarity"], r["word_start"]) for r in rows}
     assert got.keys() == want.keys() and len(want) > 80
     assert all(abs(got[x][0] - want[x][0]) < 1e-9 and got[x][1] == want[x][1] for x in want)
+
+
+@pytest.mark.parametrize("n", [60, 1000, 6000])
+def test_fields_stay_fields_however_often_their_values_recur(spark, n):
+    rng = random.Random(n)
+    name = lambda k: "".join("abcdefghijklmnopqrst"[int(d)] for d in str(k))
+    rows = [(k, f"posted by user {name(rng.randrange(40))} from {name(100 + rng.randrange(30))} today\nposted by user request only once today") for k in range(n)]
+    rows += [(n + k, f"posted by user {name(rng.randrange(40))} of the {name(rng.randrange(30))} group since long ago") for k in range(n // 4)]
+    got = drop_recurring_lines(spark.createDataFrame(rows, "doc_id long, text string")).agg(F.sum("n_lines").alias("n"), F.sum("n_dropped").alias("dropped")).first()
+    assert got["n"] - got["dropped"] == 3
