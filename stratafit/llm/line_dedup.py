@@ -10,13 +10,13 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from stratafit.llm.common import checkpointed, frugal, hot_safe_lookup, small_batches
-from stratafit.llm.text_arrays import Chunk, Words, scramble, text_chunks, word_hashes, words
+from stratafit.llm.text_arrays import Chunk, scramble, text_chunks, word_hashes, words
 
 #: Leading tokens that a tree path reads after the token count.
 DEPTH = 3
 #: A template recurs if lines of at least so many documents have it.
 MIN_DOCS = 3
-#: Shorter lines are left alone.
+#: Shorter lines have no templates.
 MIN_TOKENS = 4
 #: Share of a template's tokens that must be constant.
 CONSTANT = 0.6
@@ -29,19 +29,19 @@ _DIGIT[48:58] = 1
 FILTER_BITS = 1 << 21
 
 
-def _lines(chunk: Chunk) -> tuple[Words, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Words, their hashes (tokens with a digit are one wildcard), for each line that has words: the document, its number in it, its first word; last the count of words."""
+def _lines(chunk: Chunk) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Hashes of the words, and with one wildcard for all tokens with a digit; for each line that has words: the document, its number in it, its first word; last the count of words."""
     found = words(chunk)
-    hashes = word_hashes(chunk, found)
+    plain = word_hashes(chunk, found)
     digits = np.concatenate([[0], np.cumsum(_DIGIT[chunk.data])])
-    hashes = np.where(digits[found.end] > digits[found.begin], _ANY, hashes)
+    hashes = np.where(digits[found.end] > digits[found.begin], _ANY, plain)
     breaks = np.concatenate([[0], np.cumsum(chunk.data == 10)])
     doc = np.repeat(np.arange(chunk.n), np.diff(found.first))
     number = breaks[found.begin] - breaks[chunk.starts[doc]]
     new = np.ones(len(doc), bool)
     new[1:] = (doc[1:] != doc[:-1]) | (number[1:] != number[:-1])
     first = np.flatnonzero(new)
-    return found, hashes, doc[first], number[first], np.append(first, len(doc))
+    return plain, hashes, doc[first], number[first], np.append(first, len(doc))
 
 
 def _leaves(hashes: np.ndarray, first: np.ndarray, depth: int) -> tuple[np.ndarray, np.ndarray]:
@@ -56,16 +56,22 @@ def _leaves(hashes: np.ndarray, first: np.ndarray, depth: int) -> tuple[np.ndarr
     return leaf, whole
 
 
-def tree_lines(docs: DataFrame, depth: int = DEPTH, min_tokens: int = MIN_TOKENS) -> DataFrame:
-    """doc_id, line (number in the text), leaf and whole (64-bit hashes) of every line of at least min_tokens tokens."""
+def tree_lines(docs: DataFrame, depth: int = DEPTH, min_tokens: int = MIN_TOKENS, short_tokens: int = MIN_TOKENS) -> DataFrame:
+    """doc_id, line (number in the text), leaf and whole (64-bit hashes) of every line of at least min_tokens tokens, and of those of at least short_tokens, each text of which is a leaf.
+
+    A short line is hashed with its digits: it recurs only as it is.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             ids = batch.column("doc_id")
             for chunk in text_chunks(batch.column("text")):
-                _, hashes, doc, number, first = _lines(chunk)
+                plain, hashes, doc, number, first = _lines(chunk)
                 leaf, whole = _leaves(hashes, first, depth)
-                keep = np.diff(first) >= min_tokens
+                short = np.diff(first) < min_tokens
+                whole[short] = scramble(_leaves(plain, first, depth)[1][short] + _ANY)
+                leaf[short] = scramble(whole[short])
+                keep = np.diff(first) >= min(min_tokens, short_tokens)
                 yield pa.RecordBatch.from_arrays(
                     [ids.take(pa.array(doc[keep] + chunk.first)), pa.array(number[keep].astype(np.int32)), pa.array(leaf[keep].view(np.int64)), pa.array(whole[keep].view(np.int64))], names=["doc_id", "line", "leaf", "whole"]
                 )
@@ -95,7 +101,7 @@ def _tokens_of(docs: DataFrame, bits: np.ndarray, depth: int, min_tokens: int) -
     return docs.select("text").mapInArrow(frugal(run), "leaf long, whole long, tokens array<long>")
 
 
-def recurring_lines(docs: DataFrame, min_docs: int = MIN_DOCS, depth: int = DEPTH, constant: float = CONSTANT, min_tokens: int = MIN_TOKENS) -> tuple[DataFrame, DataFrame]:
+def recurring_lines(docs: DataFrame, min_docs: int = MIN_DOCS, depth: int = DEPTH, constant: float = CONSTANT, min_tokens: int = MIN_TOKENS, short_tokens: int = MIN_TOKENS) -> tuple[DataFrame, DataFrame]:
     """(lines, templates): lines has doc_id, line, whole; templates has whole and template for the lines of templates that recur.
 
     Lines of one leaf share their token count and leading tokens. In a leaf, a token that at least a share of its lines, and min_docs documents, have at a
@@ -104,7 +110,7 @@ def recurring_lines(docs: DataFrame, min_docs: int = MIN_DOCS, depth: int = DEPT
     however large the corpus; of the SHARES, a line takes the largest whose template recurs.
     Supports are counted per (leaf, position, token), with partial sums, so a leaf that holds a large share of all lines is no single group.
     """
-    lines = checkpointed(tree_lines(docs, depth, min_tokens))
+    lines = checkpointed(tree_lines(docs, depth, min_tokens, short_tokens))
     spread = checkpointed(lines.select("leaf", "whole", "doc_id").distinct().groupBy("leaf", "whole").agg(F.count(F.lit(1)).alias("docs")))
     open_leaves = checkpointed(spread.groupBy("leaf").agg(F.sum("docs").alias("leaf_docs"), F.count(F.lit(1)).alias("texts")).filter((F.col("leaf_docs") >= min_docs) & (F.col("texts") > 1)))
     several = checkpointed(hot_safe_lookup(spread, open_leaves, "leaf", "texts", max(1, spread.count()), "whole"))
@@ -134,7 +140,7 @@ def drop_recurring_lines(docs: DataFrame, min_docs: int = MIN_DOCS, keep_first:
     """docs with recurring lines left out of text, and columns n_lines, n_dropped; one row per row of docs.
 
     keep_first leaves each template's first line (smallest doc_id, then line) where it is; otherwise all go. A null text stays null with 0 lines; an
-    empty one has one line. Lines shorter than MIN_TOKENS, blank ones included, stay. Rows that share a doc_id are cleaned by the lines that the id's rows have.
+    empty one has one line. Lines shorter than MIN_TOKENS stay unless short_tokens says from how many tokens on they go where they recur as they are; blank ones stay. Rows that share a doc_id are cleaned by the lines that the id's rows have.
     A null doc_id counts as one document, whose lines stay.
     """
     small_batches(docs.sparkSession)

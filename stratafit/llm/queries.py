@@ -26,7 +26,7 @@ URL_RULES = [("net", "/", "block"), ("example.net", "/en/", "allow"), ("example.
 
 
 def op1_template_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    cleaned = drop_recurring_lines(table(spark, sf_dir, "documents"))
+    cleaned = drop_recurring_lines(table(spark, sf_dir, "documents"), short_tokens=1)
     return cleaned.select("doc_id", "n_lines", "n_dropped", F.sha2(F.coalesce("text", F.lit("")), 256).alias("text_sha256"))
 
 

@@ -8,7 +8,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from stratafit.llm import token_codec
+from stratafit.llm import queries, token_codec
 from stratafit.llm.decontamination import clean_documents, contaminated, fingerprints, prepare
 from stratafit.llm.line_dedup import drop_recurring_lines
 from stratafit.llm.mixing import balance, capped_targets, mix_sources, repeat_rows
@@ -274,3 +274,12 @@ def test_fields_stay_fields_however_often_their_values_recur(spark, n):
     rows += [(n + k, f"posted by user {name(rng.randrange(40))} of the {name(rng.randrange(30))} group since long ago") for k in range(n // 4)]
     got = drop_recurring_lines(spark.createDataFrame(rows, "doc_id long, text string")).agg(F.sum("n_lines").alias("n"), F.sum("n_dropped").alias("dropped")).first()
     assert got["n"] - got["dropped"] == 3
+
+
+def test_short_lines_go_where_they_recur_as_they_are(spark, tmp_path):
+    rows = [(k, f"All rights  reserved.\nPage {k}\nown{'abcdefgh'[k]} line\n\nHome" if k < 5 else "Page 7\nALL rights reserved.\nfew words") for k in range(7)]
+    spark.createDataFrame(rows, "doc_id long, text string").write.parquet(str(tmp_path / "documents.parquet"))
+    got = {r["doc_id"]: r for r in queries.op1_template_line_dedup(spark, str(tmp_path)).collect()}
+    want = {k: t if k == 0 else f"Page {k}\nown{'abcdefgh'[k]} line\n" if k < 5 else "Page 7\nfew words" for k, t in rows}
+    assert {k: r["text_sha256"] for k, r in got.items()} == {k: hashlib.sha256(t.encode()).hexdigest() for k, t in want.items()}
+    assert [got[k]["n_dropped"] for k in range(7)] == [0, 2, 2, 2, 2, 1, 1]
