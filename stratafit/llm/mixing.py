@@ -6,7 +6,7 @@ from collections.abc import Sequence
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from stratafit.llm.common import checkpointed
@@ -137,6 +137,19 @@ def mix_sources(docs: DataFrame, weights: Sequence[float] = WEIGHTS, cap: float
 
 
 def repeat_rows(docs: DataFrame, mixed: DataFrame) -> DataFrame:
-    """docs with each row repeated as often as its copies say, 0 times included."""
-    copies = mixed.select(F.col("doc_id").alias("_id"), "copies").filter("copies > 0")
-    return docs.join(copies, docs["doc_id"] == copies["_id"]).withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("copies").cast("int")))).drop("_id", "copies", "_copy")
+    """docs with each row repeated as often as its copies say, 0 times included.
+
+    Rows of one doc_id, source and size, a null id or source included, are told apart by number: in the order of their text's hash they take
+    the copies of mixed in ascending order, each row one of them.
+    """
+
+    def keys(frame: DataFrame, size: Column) -> list[Column]:
+        doc_id, source = frame["doc_id"].cast("long"), frame["source"].cast("string")
+        return [F.coalesce(doc_id, F.lit(0)).alias("_id"), doc_id.isNull().alias("_no_id"), F.coalesce(source, F.lit("")).alias("_source"), source.isNull().alias("_no_source"), size.alias("_size")]
+
+    names = ["_id", "_no_id", "_source", "_no_source", "_size"]
+    copies = mixed.select(*keys(mixed, mixed["size"]), "copies").groupBy(*names).agg(F.sort_array(F.collect_list("copies")).alias("_copies"))
+    rows = docs.select(F.struct(*[docs[c] for c in docs.columns]).alias("_row"), *keys(docs, word_count(docs["text"])))
+    numbered = rows.join(copies, names).withColumn("_number", F.row_number().over(Window.partitionBy(*names).orderBy(F.xxhash64("_row.text"))))
+    own = F.element_at("_copies", F.col("_number")).cast("int")
+    return numbered.select("_row", own.alias("_n")).filter("_n > 0").select("_row", F.explode(F.sequence(F.lit(1), F.col("_n"))).alias("_copy")).select("_row.*")

@@ -283,3 +283,19 @@ def test_short_lines_go_where_they_recur_as_they_are(spark, tmp_path):
     want = {k: t if k == 0 else f"Page {k}\nown{'abcdefgh'[k]} line\n" if k < 5 else "Page 7\nfew words" for k, t in rows}
     assert {k: r["text_sha256"] for k, r in got.items()} == {k: hashlib.sha256(t.encode()).hexdigest() for k, t in want.items()}
     assert [got[k]["n_dropped"] for k in range(7)] == [0, 2, 2, 2, 2, 1, 1]
+
+
+def test_rows_without_or_with_the_same_id_are_repeated_by_their_own_copies(spark):
+    rng = random.Random(8)
+    rows = [(rng.choice([None, 1, 2, k]), f"t{k} " + "w " * rng.randint(0, 4), rng.choice(["a", "b", "c", None])) for k in range(400)] + [(None, None, "a")] * 3 + [(7, "same text", "b")] * 5
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    mixed = mix_sources(docs)
+    want, got = Counter(), Counter()
+    for r in mixed.collect():
+        want[r["doc_id"], r["source"], r["size"]] += r["copies"]
+    out = repeat_rows(docs, mixed).collect()
+    for r in out:
+        got[r["doc_id"], r["source"], len((r["text"] or "").split())] += 1
+    assert got == +want and any(k[0] is None for k in got) and max(Counter(map(tuple, out)).values()) <= 3 * 5
+    assert all(n <= 3 for r, n in Counter(map(tuple, out)).items() if r[1] not in (None, "same text"))
+    assert sorted(map(str, out)) == sorted(map(str, repeat_rows(docs.repartition(5), mix_sources(docs.repartition(3))).collect()))
