@@ -191,7 +191,7 @@ def vector_curves(spark: SparkSession, d: str) -> DataFrame:
     return spark.createDataFrame(rows, "method string, update int, grad_evals long, train_loss double")
 
 
-register("workload_equal_budget", lambda s, d: equal_budget_table(s, d, runs=3, grad_evals=400, tuned=False))
+register("workload_equal_budget", lambda s, d: equal_budget_table(s, d, grad_evals=5000))
 register("workload_equal_updates", lambda s, d: equal_budget_table(s, d, ("carrier",), ("mlp_nll",), 3, None, True, 400, 1))
 register("workload_carrier_curves", lambda s, d: training_curves(s, dataset(s, d, "carrier"), "mlp_nll", grad_evals=400).drop("seconds"))
 register("workload_families_lstm", lambda s, d: training_curves(s, families(s), "lstm_mse", ("sgd", "batch_anchor", "anchored_stratified"), grad_evals=200).drop("seconds"))

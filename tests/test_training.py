@@ -299,3 +299,16 @@ def test_neural_fits_lower_the_loss(spark, sf, name):
 
     r = catalogue.queries()[name](spark, sf).first()
     assert r["loss_after"] < r["loss_before"] and r["grad_evals"] > 0
+
+
+def test_equal_budget_is_registered_whole(monkeypatch):
+    import inspect
+
+    from stratafit.plans import catalogue, workload_queries
+
+    whole = inspect.signature(workload_queries.equal_budget_table)
+    monkeypatch.setattr(workload_queries, "equal_budget_table", lambda *a, **k: whole.bind(*a, **k))
+    call = catalogue.queries()["workload_equal_budget"](None, "")
+    call.apply_defaults()
+    # An outer step of 49 strata takes 49 example gradients for the anchor and two batches of 8 in each of 49 inner steps on average.
+    assert call.arguments["runs"] == 5 and call.arguments["tuned"] and call.arguments["grad_evals"] >= 5 * (49 + 16 * 49)
