@@ -25,18 +25,22 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def checkpointed(df: DataFrame) -> DataFrame:
-    """Cut lineage in the shared folder that the session names; a folder of our own only where none is set."""
-    context = df.sparkSession.sparkContext
-    if context.getCheckpointDir() is None:
-        context.setCheckpointDir(df.sparkSession.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp("-checkpoints"))
+    """Cut lineage in the shared folder that the session names."""
+    shared_folder(df.sparkSession)
     return df.checkpoint()
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The checkpoint folder as a URI that Spark's readers and writers take."""
+    """The checkpoint folder as a URI that Spark's readers and writers take.
+
+    It is spark.checkpoint.dir. Where that is unset, a local master, whose tasks share this machine's disk, gets a folder of its own; a cluster gets an error.
+    """
     context = spark.sparkContext
     if context.getCheckpointDir() is None:
-        context.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp("-checkpoints"))
+        named = spark.conf.get("spark.checkpoint.dir", None)
+        if not named and not re.match(r"local($|\[)", context.master):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        context.setCheckpointDir(named or tempfile.mkdtemp("-checkpoints"))
     return context.getCheckpointDir()
 
 
@@ -74,47 +78,63 @@ def _number(text: str) -> int:
     return int(digits[0]) << unit if digits else -1
 
 
+def hot_keys(rows: DataFrame, key: str, total: int) -> DataFrame:
+    """The keys (_hot) of at least total / HOT_SHARE and more than 1000 of the rows: HOT_SHARE of them at most, by partial counts."""
+    return rows.groupBy(key).agg(F.count(F.lit(1)).alias("_n")).filter((F.col("_n") * HOT_SHARE >= F.lit(total)) & (F.col("_n") > 1000)).select(F.col(key).alias("_hot"))
+
+
+def salted_join(rows: DataFrame, groups: DataFrame, key: str, hot: DataFrame, salt_by: str, how: str = "left") -> DataFrame:
+    """Join many rows to one row per key; rows of the hot keys, and those without a key, are spread over SALTS salts.
+
+    hot (_hot) has HOT_SHARE rows at most, which bounds its broadcast; the group row of a hot key is repeated once per salt.
+    """
+    hot = F.broadcast(hot.filter("_hot is not null"))
+    salt = F.pmod(F.xxhash64(salt_by), F.lit(SALTS)).cast("int")
+    salted = rows.join(hot, rows[key] == hot["_hot"], "left").withColumn("_salt", F.when(F.col("_hot").isNotNull() | F.col(key).isNull(), salt).otherwise(F.lit(0))).drop("_hot")
+    every = F.when(F.col("_hot").isNotNull(), F.sequence(F.lit(0), F.lit(SALTS - 1))).otherwise(F.array(F.lit(0)))
+    copies = groups.join(hot, groups[key] == hot["_hot"], "left").withColumn("_salt", F.explode(every)).drop("_hot")
+    return salted.join(copies, [key, "_salt"], how).drop("_salt")
+
+
 def hot_safe_lookup(rows: DataFrame, groups: DataFrame, key: str, members: str, total: int, salt_by: str = "doc_id") -> DataFrame:
-    """Left join of many rows to one row per key, where one key may hold a large share of all rows.
+    """Left join of many rows to one row per key, where one key, or none at all, may hold a large share of all rows.
 
-    groups has one row per key; members counts the rows of the key. Keys with at least
-    total / HOT_SHARE rows are HOT_SHARE at most, which bounds the broadcast of their names; their rows are
-    spread over SALTS salts, and their group row is repeated once per salt.
+    groups has one row per key; members counts the rows of the key. Keys with at least total / HOT_SHARE rows are salted.
     """
-    hot = F.broadcast(groups.filter(F.col(members) * HOT_SHARE >= F.lit(total)).filter(F.col(members) > 1000).select(F.col(key).alias("_hot")))
-    salted = rows.join(hot, rows[key] == hot["_hot"], "left").withColumn(
-        "_salt", F.when(F.col("_hot").isNotNull(), F.pmod(F.xxhash64(salt_by), F.lit(SALTS))).otherwise(F.lit(0)).cast("int")
-    )
-    is_hot = (F.col(members) * HOT_SHARE >= F.lit(total)) & (F.col(members) > 1000)
-    copies = groups.withColumn("_salt", F.explode(F.when(is_hot, F.sequence(F.lit(0), F.lit(SALTS - 1))).otherwise(F.array(F.lit(0)))))
-    return salted.join(copies, [key, "_salt"], "left").drop("_hot", "_salt")
+    hot = groups.filter((F.col(members) * HOT_SHARE >= F.lit(total)) & (F.col(members) > 1000)).select(F.col(key).alias("_hot"))
+    return salted_join(rows, groups, key, hot, salt_by)
 
 
 def components(edges: DataFrame) -> DataFrame:
     """(node, root) of every node of the undirected edges (a, b); root is the smallest node reachable.
 
-    Contraction: each node takes the smallest id among itself and its neighbours, parents are followed two
-    steps, edges are renamed and those inside a component vanish. Edges at least halve each round, and each round cuts its lineage.
+    Contraction: each node takes the smallest id among itself and its neighbours, parents are followed, doubling the way each time, to the node that is its
+    own parent, edges are renamed and those inside a component vanish. Such a node has another below it, so the nodes left at least halve each round,
+    also on a chain; each round cuts its lineage.
     Null ends and loops are left out.
     """
     live = checkpointed(edges.select("a", "b").filter("a is not null and b is not null and a != b").distinct())
     roots = None
-    while not live.isEmpty():
+    while total := live.count():
         ends = live.union(live.select("b", "a")).toDF("node", "other")
-        parent = ends.groupBy("node").agg(F.least(F.col("node"), F.min("other")).alias("up"))
-        for _ in range(2):
+        parent = checkpointed(ends.groupBy("node").agg(F.least(F.col("node"), F.min("other")).alias("up")))
+        moving = True
+        while moving:
             above = parent.select(F.col("node").alias("up"), F.col("up").alias("top"))
-            parent = parent.join(above, "up", "left").select("node", F.coalesce("top", "up").alias("up"))
-        parent = checkpointed(parent)
+            stepped = salted_join(parent, above, "up", hot_keys(parent, "up", total), "node", "inner").select("node", F.col("top").alias("up"), (F.col("top") != F.col("up")).alias("moved"))
+            stepped = checkpointed(stepped)
+            moving = not stepped.filter("moved").isEmpty()
+            parent = stepped.select("node", "up")
         if roots is None:
             roots = parent.select("node", F.col("up").alias("root"))
         else:
             step = parent.select(F.col("node").alias("root"), "up")
-            roots = roots.join(step, "root", "left").select("node", F.coalesce("up", "root").alias("root"))
-        roots = checkpointed(roots)
+            roots = checkpointed(salted_join(roots, step, "root", hot_keys(roots, "root", roots.count()), "node").select("node", F.coalesce("up", "root").alias("root")))
         left = parent.select(F.col("node").alias("a"), F.col("up").alias("ua"))
         right = parent.select(F.col("node").alias("b"), F.col("up").alias("ub"))
-        live = checkpointed(live.join(left, "a").join(right, "b").filter("ua != ub").select(F.least("ua", "ub").alias("a"), F.greatest("ua", "ub").alias("b")).distinct())
+        named = salted_join(live, left, "a", hot_keys(live, "a", total), "b")
+        named = salted_join(named, right, "b", hot_keys(live, "b", total), "a")
+        live = checkpointed(named.filter("ua != ub").select(F.least("ua", "ub").alias("a"), F.greatest("ua", "ub").alias("b")).distinct())
     if roots is None:
         return edges.select(F.col("a").alias("node"), F.col("b").alias("root")).limit(0)
     return roots

@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from stratafit.llm.common import checkpointed, components, frugal, hot_safe_lookup, small_batches
+from stratafit.llm.common import checkpointed, components, frugal, hot_keys, hot_safe_lookup, salted_join, small_batches
 from stratafit.llm.text_arrays import document_shingles, scramble, text_chunks
 
 SLOTS = 16
@@ -85,10 +85,10 @@ def shingle_sets(docs: DataFrame) -> DataFrame:
 
 
 def _confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """The pairs (a, b) whose full sets reach the similarity."""
+    """The pairs (a, b) whose full sets reach the similarity; pairs of a that has very many are salted."""
     left = sets.select(F.col("node").alias("a"), F.col("shingles").alias("sa"))
     right = sets.select(F.col("node").alias("b"), F.col("shingles").alias("sb"))
-    both = pairs.join(right, "b").join(left, "a")
+    both = salted_join(pairs.join(right, "b"), left, "a", hot_keys(pairs, "a", max(1, pairs.count())), "b", "inner")
     common = F.size(F.array_intersect("sa", "sb"))
     return both.filter(F.lit(100) * common >= F.lit(percent) * (F.size("sa") + F.size("sb") - common)).select("a", "b")
 
@@ -193,12 +193,19 @@ def near_duplicate_components(docs: DataFrame, percent: int = PERCENT, slots: in
     links = checkpointed(_confirmed(star, sets, percent))
     roots = components(links)
 
-    # Keys whose classes are still in several components.
-    placed = keyed.filter("c > 2").join(roots, "node", "left").select("key", "node", F.coalesce("root", "node").alias("root"))
-    open_keys = placed.groupBy("key").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).filter("lo != hi").select("key")
-    rest = checkpointed(placed.join(open_keys, "key", "left_semi").select("node", "root").distinct())
+    # Keys whose classes are still in several components: one row per key and component; a crowd of a component comes in by its root, not by each member's keys.
+    tied = checkpointed(keyed.filter("c > 2").select("key", "node"))
+    linked = checkpointed(roots.join(tied.select("node").distinct(), "node"))
+    placed = tied.join(linked, "node", "left").groupBy("key", F.coalesce("root", "node").alias("root")).agg(F.min("node").alias("first"), F.max("node").alias("last"), F.count(F.lit(1)).alias("n"))
+    placed = checkpointed(placed)
+    open_keys = placed.groupBy("key").agg(F.count(F.lit(1)).alias("n")).filter("n > 1").select("key")
+    meeting = checkpointed(placed.join(open_keys, "key", "left_semi"))
+    crowds = meeting.filter("n > 2").select("root").distinct()
+    few = meeting.filter("n <= 2").select(F.explode(F.array("first", "last")).alias("node"), "root")
+    members = salted_join(linked.select("node", "root"), crowds, "root", hot_keys(linked, "root", max(1, linked.count())), "node", "inner").select("node", "root")
+    rest = checkpointed(few.union(members).distinct())
     across = prefix_candidates(sets.join(rest, "node"), percent)
-    more = checkpointed(_confirmed(across.join(star, ["a", "b"], "left_anti"), sets, percent))
+    more = checkpointed(_confirmed(checkpointed(across.join(star, ["a", "b"], "left_anti")), sets, percent))
     if not more.isEmpty():
         roots = components(links.union(more))
 

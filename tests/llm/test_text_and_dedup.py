@@ -132,3 +132,13 @@ def test_lookup_spreads_hot_keys(spark):
     groups = rows.groupBy("k").agg(F.count(F.lit(1)).alias("n"))
     got = hot_safe_lookup(rows, groups, "k", "n", 5000)
     assert got.count() == 5000 and got.filter("k = 1 and n = 3000").count() == 3000
+
+
+def test_a_large_group_of_near_copies_is_one_component(spark):
+    """Each copy differs in one word of its own; a copy of a copy and texts that share less than the bound hang on the same keys."""
+    rng = random.Random(4)
+    base = [f"w{rng.randrange(10**6)}" for _ in range(160)]
+    rows = [(k, " ".join([*base[: k % 150], f"own{k}", *base[k % 150 + 1 :]])) for k in range(10, 1510)]
+    rows += [(5, " ".join(base[:60] + [f"x{i}" for i in range(100)])), (6, " ".join(f"x{i}" for i in range(100)))]
+    got = {r["doc_id"]: r["component_id"] for r in near_duplicate_components(frame(spark, rows)).collect()}
+    assert len(got) == 1502 and all(got[k] == 10 for k in range(10, 1510)) and got[5] == 5 and got[6] == 6
