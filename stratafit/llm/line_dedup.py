@@ -57,14 +57,14 @@ def _leaves(hashes: np.ndarray, first: np.ndarray, depth: int) -> tuple[np.ndarr
 
 
 def tree_lines(docs: DataFrame, depth: int = DEPTH, min_tokens: int = MIN_TOKENS, short_tokens: int = MIN_TOKENS) -> DataFrame:
-    """doc_id, line (number in the text), leaf and whole (64-bit hashes) of every line of at least min_tokens tokens, and of those of at least short_tokens, each text of which is a leaf.
+    """doc_id, digest (64-bit hash of the text), line (number in the text), leaf and whole (64-bit hashes) of every line of at least min_tokens tokens, and of those of at least short_tokens, each text of which is a leaf.
 
     A short line is hashed with its digits: it recurs only as it is.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            ids = batch.column("doc_id")
+            ids, digests = batch.column("doc_id"), batch.column("digest")
             for chunk in text_chunks(batch.column("text")):
                 plain, hashes, doc, number, first = _lines(chunk)
                 leaf, whole = _leaves(hashes, first, depth)
@@ -72,11 +72,12 @@ def tree_lines(docs: DataFrame, depth: int = DEPTH, min_tokens: int = MIN_TOKENS
                 whole[short] = scramble(_leaves(plain, first, depth)[1][short] + _ANY)
                 leaf[short] = scramble(whole[short])
                 keep = np.diff(first) >= min(min_tokens, short_tokens)
+                rows = pa.array(doc[keep] + chunk.first)
                 yield pa.RecordBatch.from_arrays(
-                    [ids.take(pa.array(doc[keep] + chunk.first)), pa.array(number[keep].astype(np.int32)), pa.array(leaf[keep].view(np.int64)), pa.array(whole[keep].view(np.int64))], names=["doc_id", "line", "leaf", "whole"]
+                    [ids.take(rows), digests.take(rows), pa.array(number[keep].astype(np.int32)), pa.array(leaf[keep].view(np.int64)), pa.array(whole[keep].view(np.int64))], names=["doc_id", "digest", "line", "leaf", "whole"]
                 )
 
-    return docs.select("doc_id", "text").mapInArrow(frugal(run), "doc_id long, line int, leaf long, whole long")
+    return docs.select("doc_id", F.xxhash64("text").alias("digest"), "text").mapInArrow(frugal(run), "doc_id long, digest long, line int, leaf long, whole long")
 
 
 def _tokens_of(docs: DataFrame, bits: np.ndarray, depth: int, min_tokens: int) -> DataFrame:
@@ -102,12 +103,12 @@ def _tokens_of(docs: DataFrame, bits: np.ndarray, depth: int, min_tokens: int) -
 
 
 def recurring_lines(docs: DataFrame, min_docs: int = MIN_DOCS, depth: int = DEPTH, constant: float = CONSTANT, min_tokens: int = MIN_TOKENS, short_tokens: int = MIN_TOKENS) -> tuple[DataFrame, DataFrame]:
-    """(lines, templates): lines has doc_id, line, whole; templates has whole and template for the lines of templates that recur.
+    """(lines, templates): lines has doc_id, digest, line, whole; templates has whole and template for the lines of templates that recur.
 
-    Lines of one leaf share their token count and leading tokens. In a leaf, a token that at least a share of its lines, and min_docs documents, have at a
-    position is constant, any other is a variable field. A line's template is its constant tokens, if they are at least the given share; so lines
+    Lines of one leaf share their token count and leading tokens. In a leaf, a token that at least a share of its lines, and min_docs of them, have at a
+    position is constant (a line counts once per document that has it), any other is a variable field. A line's template is its constant tokens, if they are at least the given share; so lines
     that differ in variable fields meet in one template, and a line that recurs as it is is its own template. As a share of the leaf, a field stays a field
-    however large the corpus; of the SHARES, a line takes the largest whose template recurs.
+    however large the corpus; of the SHARES, a line takes the largest whose template recurs, that is, is in min_docs documents (distinct doc_ids).
     Supports are counted per (leaf, position, token), with partial sums, so a leaf that holds a large share of all lines is no single group.
     """
     lines = checkpointed(tree_lines(docs, depth, min_tokens, short_tokens))
@@ -139,22 +140,25 @@ def recurring_lines(docs: DataFrame, min_docs: int = MIN_DOCS, depth: int = DEPT
 def drop_recurring_lines(docs: DataFrame, min_docs: int = MIN_DOCS, keep_first: bool = True, **tree: float) -> DataFrame:
     """docs with recurring lines left out of text, and columns n_lines, n_dropped; one row per row of docs.
 
-    keep_first leaves each template's first line (smallest doc_id, then line) where it is; otherwise all go. A null text stays null with 0 lines; an
-    empty one has one line. Lines shorter than MIN_TOKENS stay unless short_tokens says from how many tokens on they go where they recur as they are; blank ones stay. Rows that share a doc_id are cleaned by the lines that the id's rows have.
-    A null doc_id counts as one document, whose lines stay.
+    keep_first leaves each template's first line (smallest doc_id, then hash of the text, then line) where it is; otherwise all go. A null text stays null with 0 lines; an
+    empty one has one line. Lines shorter than MIN_TOKENS stay unless short_tokens says from how many tokens on they go where they recur as they are; blank ones stay.
+    Rows that share a doc_id are one document to the counts, but each text is cleaned by its own lines; rows of equal id and text come back equal. A null doc_id
+    counts as one document, whose lines stay. Columns n_lines and n_dropped of docs are replaced; other columns pass, whatever their names. An empty table gives no rows.
     """
     small_batches(docs.sparkSession)
     base = docs.withColumn("doc_id", F.col("doc_id").cast("long")).withColumn("text", F.col("text").cast("string"))
     lines, templates = recurring_lines(base, min_docs, **tree)
-    hits = checkpointed(lines.filter("doc_id is not null").join(templates, "whole").select("doc_id", "line", "template"))
+    hits = checkpointed(lines.filter("doc_id is not null").join(templates, "whole").select("doc_id", "digest", "line", "template"))
     if keep_first:
-        first = hits.groupBy("template").agg(F.min("doc_id").alias("doc_id"))
-        first = hits.join(first, ["template", "doc_id"]).groupBy("template", "doc_id").agg(F.min("line").alias("line"))
-        hits = hits.join(first, ["template", "doc_id", "line"], "left_anti")
-    gone = hits.groupBy("doc_id").agg(F.collect_set("line").alias("_gone"))
-    rest = F.array_join(F.filter(F.split("text", "\n"), lambda _, i: ~F.array_contains("_gone", i)), "\n")
-    return base.drop("n_lines", "n_dropped").join(gone, "doc_id", "left").select(
-        *[F.when(F.col("_gone").isNull(), F.col("text")).otherwise(rest).alias("text") if c == "text" else F.col(c) for c in docs.columns if c not in ("n_lines", "n_dropped")],
-        F.coalesce(F.size(F.split("text", "\n")), F.lit(0)).alias("n_lines"),
-        F.coalesce(F.size("_gone"), F.lit(0)).alias("n_dropped"),
+        first = hits.groupBy("template").agg(F.min(F.struct("doc_id", "digest", "line")).alias("_first")).select("template", "_first.*")
+        hits = hits.join(first, ["template", "doc_id", "digest", "line"], "left_anti")
+    gone = hits.groupBy("doc_id", "digest").agg(F.collect_set("line").alias("gone")).select(F.col("doc_id").alias("_of"), F.col("digest").alias("_digest"), "gone")
+    kept = [c for c in docs.columns if c not in ("n_lines", "n_dropped")]
+    rows = base.select(F.struct(*[base[c] for c in kept]).alias("_row"), base["doc_id"].alias("_of"), F.xxhash64(base["text"]).alias("_digest")).join(gone, ["_of", "_digest"], "left")
+    text = F.col("_row.text")
+    rest = F.array_join(F.filter(F.split(text, "\n"), lambda _, i: ~F.array_contains("gone", i)), "\n")
+    return rows.select(
+        *[F.when(F.col("gone").isNull(), text).otherwise(rest).alias(c) if c == "text" else F.col("_row").getField(c).alias(c) for c in kept],
+        F.coalesce(F.size(F.split(text, "\n")), F.lit(0)).alias("n_lines"),
+        F.coalesce(F.size("gone"), F.lit(0)).alias("n_dropped"),
     )
