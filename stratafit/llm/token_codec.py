@@ -20,16 +20,17 @@ MAGIC = b"TOKSEG01"
 _SLOTS = 1024
 _U = np.uint64
 _TOP, _BOTTOM, _MASK = _U(1 << 24), _U(1 << 16), _U(0xFFFFFFFF)
-_MAGNITUDES = 17
+#: Magnitudes of ranks up to 65535, and of all 32-bit ranks in a segment with more distinct ids.
+_MAGNITUDES, _WIDE = 17, 33
 
 
 class _Model:
-    def __init__(self, lanes: int) -> None:
+    def __init__(self, lanes: int, magnitudes: int) -> None:
         self.at = np.arange(lanes)
         self.guess = np.full((2, lanes * _SLOTS), -1, np.int32)
         self.trust = np.zeros((2, lanes * _SLOTS), np.int8)
         self.right = np.ones((2, lanes * 5, 3), np.int32)
-        self.size = np.ones((lanes, _MAGNITUDES), np.int32)
+        self.size = np.ones((lanes, magnitudes), np.int32)
         self.last, self.before = np.zeros(lanes, np.int64), np.zeros(lanes, np.int64)
 
     def predict(self) -> None:
@@ -120,10 +121,10 @@ def _blocks(ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return padded.reshape(lanes, BLOCK), np.minimum(BLOCK, np.maximum(0, len(ids) - np.arange(lanes) * BLOCK))
 
 
-def encode_blocks(ranks: np.ndarray) -> list[bytes]:
-    """One payload for each BLOCK values (0 to 65535) of ranks."""
+def encode_blocks(ranks: np.ndarray, wide: bool = False) -> list[bytes]:
+    """One payload for each BLOCK values of ranks: 0 to 65535, or with wide any 32-bit ones, whose bits above 16 are a step of their own."""
     lanes, lengths = _blocks(ranks)
-    model, coder = _Model(len(lanes)), _Encoder(len(lanes))
+    model, coder = _Model(len(lanes), _WIDE if wide else _MAGNITUDES), _Encoder(len(lanes))
     one, none = np.ones(len(lanes), np.int64), np.zeros(len(lanes), np.int64)
     for t in range(int(lengths.max(initial=0))):
         live, ids = lengths > t, lanes[:, t]
@@ -138,16 +139,20 @@ def encode_blocks(ranks: np.ndarray) -> list[bytes]:
         size = model.size[model.at, magnitude]
         coder.step(np.where(literal, ends[model.at, magnitude] - size, none), np.where(literal, size, one), np.where(literal, ends[:, -1], one))
         width = np.where(literal, np.left_shift(1, magnitude), one)
-        coder.step(np.where(literal, ids + 1 - width, none), one, width)
+        low = np.where(literal, ids + 1 - width, none)
+        if wide:
+            coder.step(low >> 16, one, np.maximum(width >> 16, one))
+            low, width = low & 0xFFFF, np.minimum(width, 1 << 16)
+        coder.step(low, one, width)
         model.size[model.at[literal], magnitude[literal]] += GAIN
         model.update(ids, outcome)
     return coder.finish()
 
 
-def decode_blocks(payloads: list[bytes], count: int) -> np.ndarray:
+def decode_blocks(payloads: list[bytes], count: int, wide: bool = False) -> np.ndarray:
     """The count values that encode_blocks was given."""
     lanes, lengths = _blocks(np.zeros(count, np.int64))
-    model, coder = _Model(len(lanes)), _Decoder(payloads)
+    model, coder = _Model(len(lanes), _WIDE if wide else _MAGNITUDES), _Decoder(payloads)
     one, none = np.ones(len(lanes), np.int64), np.zeros(len(lanes), np.int64)
     for t in range(int(lengths.max(initial=0))):
         live = lengths > t
@@ -165,8 +170,13 @@ def decode_blocks(payloads: list[bytes], count: int) -> np.ndarray:
         size = model.size[model.at, magnitude]
         coder.step(np.where(literal, ends[model.at, magnitude] - size, none), np.where(literal, size, one))
         width = np.where(literal, np.left_shift(1, magnitude), one)
-        low = coder.target(width)
+        high = none
+        if wide:
+            high = coder.target(np.maximum(width >> 16, one))
+            coder.step(np.where(literal, high, none), one)
+        low = coder.target(np.minimum(width, 1 << 16))
         coder.step(np.where(literal, low, none), one)
+        low = low + (high << 16)
         ids = np.where(outcome == 0, model.ids[0], np.where(outcome == 1, model.ids[1], low + width - 1))
         ids = np.where(live, ids, 0)
         model.size[model.at[literal], magnitude[literal]] += GAIN
@@ -183,12 +193,10 @@ def pack_segment(doc_ids: list[int | None], lengths: np.ndarray, ids: np.ndarray
     the payloads; last the crc32 of all before.
     """
     used, inverse, counts = np.unique(ids, return_inverse=True, return_counts=True)
-    if len(used) > 65535:
-        raise ValueError("a segment may have 65535 distinct ids")
     order = np.argsort(-counts, kind="stable")
     rank = np.empty(len(used), np.int64)
     rank[order] = np.arange(len(used))
-    payloads = encode_blocks(rank[inverse]) if len(ids) else []
+    payloads = encode_blocks(rank[inverse], len(used) > 65535) if len(ids) else []
     raw = ids.astype("<u4")
     table = np.array([(len(p), zlib.crc32(raw[i * BLOCK : (i + 1) * BLOCK].tobytes())) for i, p in enumerate(payloads)], "<u4")
     body = b"".join(
@@ -213,7 +221,7 @@ def unpack_segment(data: bytes) -> tuple[list[int | None], np.ndarray, np.ndarra
     for size in table[:, 0].tolist():
         payloads.append(data[at : at + size])
         at += size
-    ids = used[decode_blocks(payloads, total)] if total else np.zeros(0, "<u4")
+    ids = used[decode_blocks(payloads, total, distinct > 65535)] if total else np.zeros(0, "<u4")
     for i in range(blocks):
         if zlib.crc32(ids[i * BLOCK : (i + 1) * BLOCK].astype("<u4").tobytes()) != int(table[i, 1]):
             raise ValueError(f"block {i} does not match its checksum")

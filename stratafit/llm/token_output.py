@@ -106,7 +106,11 @@ def token_digests(tokens: DataFrame) -> DataFrame:
 
 
 def tokens_round_trip(docs: DataFrame, tokenizer: str, path: str | None = None) -> DataFrame:
-    """Write docs' tokens under path (a new folder beside the session's checkpoints if none is given), read them back and digest them."""
+    """Write docs' tokens under path (a new folder beside the session's checkpoints if none is given), read them back and digest them.
+
+    One row per row of docs (doc_id, text): null ids stand first, rows of one id together in the order of a hash of their texts. Null and empty texts are the end id
+    alone. An empty table gives no rows. Other columns, whatever their names, are not read.
+    """
     spark = docs.sparkSession
     small_batches(spark)
     path = path or f"{shared_folder(spark).rstrip('/')}/tokens-{uuid.uuid4().hex}"
