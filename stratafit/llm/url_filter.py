@@ -38,7 +38,8 @@ def judge_urls(pages: DataFrame, rules: DataFrame, url: str = "url", default: st
 
     A rule fits its host and every subdomain when the url's path starts with the rule's path. The longest rule (host and path
     together) wins, then block before allow, then the smallest text; no rule: null and the default. Rules with null or empty host fit nothing;
-    repeated rules count once. Columns of pages named host, path, rule or verdict are replaced.
+    repeated rules count once. Columns of pages named host, path, rule or verdict are replaced. A null url has an empty host and fits no rule; repeated
+    rows are judged alike; empty tables of pages give no rows, of rules the default. The plan has one expression whatever the number of rules.
 
     Each url is expanded into the suffixes of its host at label borders (as many labels as rules have) and the prefixes of its path (of
     the lengths that rules have). So a url gives at most labels x lengths expressions, whatever its own length, and no rule can be missed.
@@ -56,19 +57,21 @@ def judge_urls(pages: DataFrame, rules: DataFrame, url: str = "url", default: st
         return base.select("row.*", "host", "path", F.lit(None).cast("string").alias("rule"), F.lit(default).alias("verdict"))
     labels, lengths = sorted(shape["labels"]), sorted(shape["lengths"])
 
-    suffixes = [F.substring_index("host", ".", -k) for k in labels]
-    prefixes = [F.when(F.length("path") >= k, F.substring("path", 1, k)) for k in lengths]
-    digests = F.array_compact(F.array_distinct(F.array(*[F.when(p.isNotNull() & (F.col("host") != ""), _digest(h, p)) for h in suffixes for p in prefixes])))
+    suffixes = F.array_distinct(F.transform(F.lit(labels), lambda k: F.call_function("substring_index", F.col("host"), F.lit("."), -k)))
+    prefixes = F.transform(F.filter(F.lit(lengths), lambda k: k <= F.length("path")), lambda k: F.substring(F.col("path"), 1, k))
+    every = F.flatten(F.transform(suffixes, lambda h: F.transform(F.col("_prefixes"), lambda p: _digest(h, p))))
+    base = base.withColumn("_prefixes", prefixes)
+    digests = F.when(F.col("host") != "", F.array_distinct(every)).otherwise(F.array().cast("array<string>"))
     keyed = base.withColumn("_digests", digests).withColumn("_key", F.sha2(F.concat_ws(",", "_digests"), 256)).withColumn("_row", F.monotonically_increasing_id())
     sets = checkpointed(keyed.groupBy("_key").agg(F.first("_digests").alias("_digests"), F.count(F.lit(1)).alias("_members")))
     right = F.broadcast(listed) if shape["n"] <= BROADCAST_RULES else listed
     hits = sets.select("_key", "_members", F.explode("_digests").alias("_full")).join(right, F.substring("_full", 1, SHORT) == F.col("short")).filter(F.col("_full") == F.col("full"))
-    judged = hot_safe_lookup(keyed.drop("_digests"), _best(hits, "_key", "_members"), "_key", "_members", max(1, pages.count()), "_row")
-    return judged.select("row.*", "host", "path", F.col("best.rule").alias("rule"), F.coalesce(F.col("best.v"), F.lit(default)).alias("verdict"))
+    judged = hot_safe_lookup(keyed.drop("_digests", "_prefixes"), _best(hits, "_key", "_members"), "_key", "_members", max(1, pages.count()), "_row")
+    return judged.select("row.*", "host", "path", "rule", F.coalesce("v", F.lit(default)).alias("verdict"))
 
 
 def _best(hits: DataFrame, *keys: str) -> DataFrame:
     """The winning rule of each key: the largest (length, block first, smallest text)."""
     text = F.concat("rule_host", "rule_path")
     order = F.struct((-F.length(text)).alias("l"), F.when(F.col("rule_verdict") == "block", 0).otherwise(1).alias("a"), text.alias("rule"), F.col("rule_verdict").alias("v"))
-    return hits.groupBy(*keys).agg(F.min(order).alias("best"))
+    return hits.groupBy(*keys).agg(F.min(order).alias("best")).select(*keys, F.col("best.rule").alias("rule"), F.col("best.v").alias("v"))
