@@ -174,17 +174,34 @@ def _rarest(counts: Counter, weight: dict[int, float], similarity: float) -> lis
     return out
 
 
-def prepare(items: list[tuple[int, str]], radius: int = RADIUS, similarity: float = SIMILARITY) -> Benchmark:
-    """Fingerprints of each item's first and last window of its class, shingle weights (rarer among the items, heavier), and each item's rarest shingles."""
+def _spoken(items: list[tuple[int, str]]) -> tuple[list[tuple[int, str]], list[np.ndarray]]:
+    """The items that have words, and their words' hashes."""
     items = [(k, t) for k, t in items if t is not None and t.strip(" \t\n\x0b\x0c\r")]
     hashes: list[np.ndarray] = []
     for chunk in text_chunks(pa.array([t for _, t in items], pa.string())):
         found = words(chunk)
         own = word_hashes(chunk, found)
         hashes += [own[i:j] for i, j in zip(found.first[:-1], found.first[1:], strict=True)]
+    return items, hashes
+
+
+def shingle_spread(portions: list[list[tuple[int, str]]]) -> tuple[Counter, int]:
+    """How many items hold each shingle, and the number of items, over all portions: weights don't depend on how the benchmark is dealt."""
+    spread, total = Counter(), 0
+    for portion in portions:
+        _, hashes = _spoken(portion)
+        total += len(hashes)
+        for h in hashes:
+            spread.update(set(_shingles(h)))
+    return spread, total
+
+
+def prepare(items: list[tuple[int, str]], radius: int = RADIUS, similarity: float = SIMILARITY, spread: tuple[Counter, int] | None = None) -> Benchmark:
+    """Fingerprints of each item's first and last window of its class, shingle weights (rarer among all items, heavier), and each item's rarest shingles."""
+    items, hashes = _spoken(items)
     counts = [Counter(_shingles(h)) for h in hashes]
-    spread = Counter(s for c in counts for s in c)
-    weight = {s: float(np.log1p(len(items) / n)) for s, n in spread.items()}
+    holders, total = spread or (Counter(s for c in counts for s in c), len(items))
+    weight = {s: float(np.log1p(total / holders[s])) for c in counts for s in c}
     classes = _classes(max((len(h) for h in hashes), default=0))
     entries: dict[int, list[tuple[int, int, int]]] = {}
     for k, h in enumerate(hashes):
@@ -196,7 +213,7 @@ def prepare(items: list[tuple[int, str]], radius: int = RADIUS, similarity: floa
     lengths = [len(h) for h in hashes]
     rare = _Keys.of([(s, k) for k, c in enumerate(counts) if lengths[k] >= SHINGLE for s in _rarest(c, weight, similarity)])
     brief = {n: _Keys.of([(s, k) for k, c in enumerate(counts) if lengths[k] == n for s in c]) for n in sorted({n for n in lengths if n < SHINGLE})}
-    return Benchmark([k for k, _ in items], hashes, counts, weight, float(np.log1p(len(items))), indexes, min(lengths, default=0), max(lengths, default=0), rare, brief)
+    return Benchmark([k for k, _ in items], hashes, counts, weight, float(np.log1p(total)), indexes, min(lengths, default=0), max(lengths, default=0), rare, brief)
 
 
 def _best_window(b: Benchmark, item: int, shingles: np.ndarray, weights: np.ndarray) -> tuple[float, int]:
@@ -309,9 +326,13 @@ def contaminated(docs: DataFrame, items: DataFrame, radius: int = RADIUS, simila
     Every window of as many words as an item's class gets a SimHash of its words (A-Z folded); documents with a fingerprint within radius of an item's are
     candidates, and so are those with one of the item's rarest 5-word shingles, as every document with a window of the similarity has. All windows as long as the item (shorter where the
     document ends) are then compared with it on multisets of shingles, weighted by rarity among the items. The best window counts, so nothing that reaches the similarity is missed.
-    Null or blank texts match nothing, on either side. Items of fewer than 5 words are one shingle.
+    Null or blank texts match nothing, on either side. Items of fewer than 5 words are one shingle. Of equally similar windows the first counts. Rows that repeat a
+    doc_id, a null one included, each give their own rows; items that repeat an item_id are compared one by one under that id. Other columns, whatever their names, are
+    not read. An empty table on either side gives no rows.
     """
-    parts = [scan(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), prepare(p, radius, similarity), radius, similarity) for p in _passes(items)]
+    portions = _passes(items)
+    spread = shingle_spread(portions)
+    parts = [scan(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), prepare(p, radius, similarity, spread), radius, similarity) for p in portions]
     found = [p.filter(F.size("matches") > 0).select("row.doc_id", F.explode("matches").alias("m")).select("doc_id", "m.item_id", "m.word_start", "m.similarity") for p in parts]
     out = found[0]
     for more in found[1:]:
@@ -320,7 +341,9 @@ def contaminated(docs: DataFrame, items: DataFrame, radius: int = RADIUS, simila
 
 
 def clean_documents(docs: DataFrame, items: DataFrame, radius: int = RADIUS, similarity: float = SIMILARITY) -> DataFrame:
-    """The rows of docs without a passage of any item, columns unchanged."""
-    for portion in _passes(items):
-        docs = scan(docs, prepare(portion, radius, similarity), radius, similarity).filter(F.size("matches") == 0).select("row.*")
+    """The rows of docs without a passage of any item, columns unchanged; null and blank texts, null and repeated ids stay as they are."""
+    portions = _passes(items)
+    spread = shingle_spread(portions)
+    for portion in portions:
+        docs = scan(docs, prepare(portion, radius, similarity, spread), radius, similarity).filter(F.size("matches") == 0).select("row.*")
     return docs
