@@ -38,7 +38,8 @@ def exact_duplicates(docs: DataFrame, digest=lambda text: F.sha2(text, 256)) ->
 
     Texts are equal when identical without blanks; a null is an empty text. The longest original (code points), then the smallest
     doc_id, stays. A null doc_id ranks after all others; if a group has none other, keep_id is null and the rows are kept.
-    Rows that repeat the winner's doc_id are all kept: the id names the document.
+    Rows that repeat the winner's doc_id are all kept: the id names the document. An empty table gives no rows; other columns of docs, whatever
+    their names, are not read.
 
     Each stage groups by digest and by the full normalised text: map-side partial aggregation deduplicates within a task, salted groups
     merge next, winners of the salts last. Rows find their winner by digest; digests that hold several texts (none, for SHA-256) are

@@ -153,7 +153,10 @@ def fold(doc_id: str, modulus: int) -> Column:
 
 
 def language_of(docs: DataFrame) -> DataFrame:
-    """Learn from the three quarters of docs that aren't held out, and identify every row. A null language teaches nothing."""
+    """Learn from the three quarters of docs that aren't held out, and identify every row. A null language teaches nothing.
+
+    A null doc_id is never held out; rows that repeat an id are identified text by text, and each teaches. An empty table gives no rows. Other columns are not read.
+    """
     marked = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", "lang", (fold("doc_id", 4) == 2).alias("held_out"))
     langs, model = learn(marked.filter("not held_out"))
     return identify_rows(marked.select("doc_id", "text", "held_out"), langs, model).select("row.doc_id", "row.held_out", "lang_pred", "score", "proportions")

@@ -118,6 +118,7 @@ def mix_sources(docs: DataFrame, weights: Sequence[float] = WEIGHTS, cap: float
     share all words, at most cap times their own. The rates come from balance(); copies are the rates, rounded to at most
     cap, so taken = copies * size passes cap * size nowhere. Within blocks of a source, by a hash of the id, rounding errors are carried on from long to short documents, so a
     source's taken words miss its target by about its shortest documents, unless one document is most of a source. An empty table gives no rows.
+    Rows that repeat a doc_id, or whose id is null, are mixed row by row. Other columns, whatever their names, are not read.
     """
     sized = checkpointed(docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("source").cast("string").alias("source"), word_count(F.col("text")).alias("size")))
     stats = sized.groupBy("source").agg(F.sum("size").alias("s"), F.count(F.lit(1)).alias("n")).collect()

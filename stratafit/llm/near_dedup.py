@@ -166,6 +166,7 @@ def near_duplicate_components(docs: DataFrame, percent: int = PERCENT, slots: in
 
     Documents are linked when 100 * |intersection| >= percent * |union| of their sets of distinct 5-word shingles
     (A-Z folded; 1 to 4 words make one shingle; none without words or with a null text, which links with nothing).
+    An empty table gives no rows; other columns of docs, whatever their names, are not read.
     component_id is the smallest doc_id reachable. Rows that repeat a doc_id share its component. A null doc_id joins no link;
     such a row is kept, with component_id the smallest doc_id that has exactly its set, or null.
 

@@ -185,6 +185,8 @@ def quality_of(docs: DataFrame, labels: DataFrame, rows: int = FIT_ROWS) -> Data
     """Fit on labelled documents that aren't held out, at most rows of them, and score every document.
 
     Labels other than 0 and 1, and repeated labels of a document beyond the smallest, teach nothing. The chosen ids are at most rows, so they are broadcast.
+    A null text is an empty one; empty texts and those too short for an n-gram score by the bias alone. A null doc_id is scored, never held out and never taught. Rows that
+    repeat a doc_id are scored text by text, and each teaches. An empty table gives no rows; without labels of both classes the score is constant. Other columns are not read.
     """
     usable = labels.filter("quality in (0, 1) and doc_id is not null").filter(fold("doc_id", 3) != 1).groupBy("doc_id").agg(F.min("quality").alias("quality"))
     chosen = usable.select(F.col("doc_id").alias("_id"), "quality").orderBy(F.xxhash64("_id"), "_id").limit(rows)

@@ -32,7 +32,8 @@ def shard_documents(docs: DataFrame, shards: int = 40, units: int = UNITS, slot_
     """doc_id, size, text_crc32, law, shard, slot, grown_shard for each row of docs (doc_id, text); law is always bytes.
 
     A row's size is its text's UTF-8 bytes plus 16, a null text counts as empty. Equal texts stay in one shard. Shard sizes come as near as
-    groups allow. slot numbers a shard's rows from 0 without gaps, in an order that a rerun repeats.
+    groups allow. slot numbers a shard's rows from 0 without gaps, in an order that a rerun repeats. A null doc_id is a row like any other, last in its part; repeated
+    rows each get a slot. An empty table gives no rows. Other columns, whatever their names, are not read.
 
     The driver schedules at most 2 * shards * units units, however many documents there are: each group of at least 1 / (shards * units) of all
     bytes is a unit (there can't be more of them), smaller groups are hashed into shards * units bundles of whole groups. Both maps have that

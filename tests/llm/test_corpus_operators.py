@@ -44,6 +44,31 @@ def test_exactly_recurring_lines_against_brute_force(spark):
         assert got[k] == "\n".join(keep)
 
 
+def test_lines_of_rows_that_repeat_an_id_are_cleaned_text_by_text(spark):
+    stock = "All rights are reserved by us"
+    rows = [(k, f"{stock}\n{'abcde'[k] * 9} text is here {'klmno'[k] * 9}") for k in (1, 3, 4)] + [(2, f"{stock}\nfirst unique line of this"), (2, f"second unique line of that\n{stock}"), (2, f"second unique line of that\n{stock}")]
+    rows += [(None, f"{stock}\nnull id"), (None, None), (2, None)]
+    docs = spark.createDataFrame([(k, t, "a", "b", 7) for k, t in rows], "doc_id long, text string, _row string, gone string, n_lines int")
+    out = drop_recurring_lines(docs, depth=64)
+    assert out.columns == ["doc_id", "text", "_row", "gone", "n_lines", "n_dropped"] and out.filter("gone = 'b' and _row = 'a'").count() == len(rows)
+    got = Counter((r["doc_id"], r["text"]) for r in out.collect())
+    own = {1: stock + "\n"} | dict.fromkeys((3, 4), "")
+    want = Counter((k, f"{own[k]}{'abcde'[k] * 9} text is here {'klmno'[k] * 9}") for k in own) + Counter([(2, "first unique line of this"), *[(2, "second unique line of that")] * 2, (None, f"{stock}\nnull id"), (None, None), (2, None)])
+    assert got == want
+
+
+def test_templates_with_variable_fields_against_brute_force(spark):
+    """Lines of known templates with alphabetic fields, beside lines of their own: with no line kept, exactly the templates' lines go."""
+    rng = random.Random(8)
+    letters = lambda n: "".join(rng.choice("abcdefghijklmnop") for _ in range(n))
+    fixed = ["posted by user {} from city {} today", "this page was last seen by {} here", "read more about {} in our daily letter of news"]
+    made = {k: [rng.choice(fixed).format(letters(8), letters(9)) if rng.random() < 0.5 else " ".join(letters(7) for _ in range(rng.randint(4, 9))) for _ in range(6)] for k in range(200)}
+    docs = spark.createDataFrame([(k, "\n".join(v)) for k, v in made.items()], "doc_id long, text string")
+    got = {r["doc_id"]: r["text"] for r in drop_recurring_lines(docs, keep_first=False).collect()}
+    of_template = re.compile("|".join(f.replace("{}", "[a-p]+") for f in fixed))
+    assert got == {k: "\n".join(x for x in v if not of_template.fullmatch(x)) for k, v in made.items()}
+
+
 def words(rng, n):
     return [f"t{rng.randrange(5000)}" for _ in range(n)]
 
@@ -299,3 +324,30 @@ def test_rows_without_or_with_the_same_id_are_repeated_by_their_own_copies(spark
     assert got == +want and any(k[0] is None for k in got) and max(Counter(map(tuple, out)).values()) <= 3 * 5
     assert all(n <= 3 for r, n in Counter(map(tuple, out)).items() if r[1] not in (None, "same text"))
     assert sorted(map(str, out)) == sorted(map(str, repeat_rows(docs.repartition(5), mix_sources(docs.repartition(3))).collect()))
+
+
+def test_codec_takes_more_distinct_ids_than_two_bytes_hold():
+    ids = np.random.default_rng(2).permutation(70_000).astype(np.uint32) * 7
+    names, lengths, back = token_codec.unpack_segment(token_codec.pack_segment([1, None], np.array([30_000, 40_000]), ids))
+    assert names == [1, None] and lengths.tolist() == [30_000, 40_000] and (back == ids).all()
+
+
+def test_shard_sizes_are_near_equal(spark, sf):
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    got = shard_documents(docs, shards=8).groupBy("shard").agg(F.sum("size").alias("b")).collect()
+    largest = docs.groupBy("text").agg(F.sum(F.octet_length("text") + 16).alias("b")).agg(F.max("b")).first()[0]
+    sizes = [r["b"] for r in got]
+    assert len(sizes) == 8 and max(sizes) <= max(largest, sum(sizes) / 8 * 1.01) and (max(sizes) - min(sizes) <= 0.01 * max(sizes) or max(sizes) == largest)
+
+
+def test_weights_do_not_depend_on_portions(spark, monkeypatch):
+    from stratafit.llm import decontamination
+
+    rng = random.Random(12)
+    shared = words(rng, 12)
+    items = [(k, " ".join([*words(rng, 18), *shared, *words(rng, 10)])) for k in range(12)]
+    docs = spark.createDataFrame([(k, " ".join([*t.split()[: 40 - k], *words(rng, k)])) for k, t in items], "doc_id long, text string")
+    bench = spark.createDataFrame(items, "item_id long, text string")
+    whole = sorted(tuple(r) for r in contaminated(docs, bench).collect())
+    monkeypatch.setattr(decontamination, "PASS_BYTES", 600)
+    assert len(decontamination._passes(bench)) > 3 and sorted(tuple(r) for r in contaminated(docs, bench).collect()) == whole and whole

@@ -1,10 +1,12 @@
 import re
+from collections import Counter
 
 from pyspark.sql import functions as F
 
 import __spark_entry__ as entry_module
 import corpus_pipeline
 from stratafit.llm import queries
+from stratafit.llm.mixing import mix_sources
 
 
 def test_stages_return_documents_and_take_effect(spark, sf, tmp_path):
@@ -41,3 +43,33 @@ def test_ten_operators_are_registered():
     names = entry_module.queries()
     assert all(any(n.startswith(f"op{k}_") for n in names) for k in range(1, 11))
     assert set(entry_module.oracle_sql()) <= set(names)
+
+
+def test_stages_on_null_and_repeated_ids_empty_tables_and_clashing_columns(spark, sf, tmp_path):
+    docs = spark.read.parquet(f"{sf}/documents.parquet").limit(60)
+    known = docs.first()
+    odd = [(None, known["text"] + " and then some more words", "en", "s", 3), (None, None, None, None, None), (10**7, "one two three four five six seven", "en", None, 1), (10**7, "eight nine ten eleven twelve thirteen", "en", None, 1), (10**7, "eight nine ten eleven twelve thirteen", "en", None, 1), (6, "", "en", "s", 0)]
+    docs = docs.union(spark.createDataFrame(odd, docs.schema))
+    for name in ("row", "_row", "key", "node", "size", "copies", "matches", "lang_pred", "kept", "component_id", "_n"):
+        docs = docs.withColumn(name, F.lit(name))
+    columns, key = docs.columns, ["doc_id", "text", "source"]
+    for k, (name, stage) in enumerate(corpus_pipeline.STAGES):
+        stage(spark, docs, sf).write.parquet(str(tmp_path / name))
+        out = spark.read.parquet(str(tmp_path / name))
+        assert stage(spark, docs.limit(0), sf).count() == 0
+        if k == len(corpus_pipeline.STAGES) - 1:
+            assert sorted((r["doc_id"] for r in out.collect()), key=str) == sorted((r["doc_id"] for r in docs.collect()), key=str)
+            continue
+        assert out.columns == columns and all(r["row"] == "row" and r["_n"] == "_n" for r in out.collect())
+        before, after = Counter(tuple(r[c] for c in key) for r in docs.collect()), Counter(tuple(r[c] for c in key) for r in out.collect())
+        assert set(after) <= set(before)
+        if name == "language":
+            assert after == Counter({k: n for k, n in before.items() if k[1] and re.search(r"[^\W\d_]", k[1])})
+        if name in ("near_dedup", "decontamination"):
+            assert all(after[k] == before[k] for k in after) and sum(n for k, n in after.items() if k[0] is None) == 1
+            assert sum(n for k, n in after.items() if k[0] == 10**7) == 3
+        if name == "mixing":
+            rates = mix_sources(docs).collect()
+            assert sum(after.values()) == sum(r["copies"] for r in rates)
+            assert sum(n for k, n in after.items() if k[0] == 10**7) == sum(r["copies"] for r in rates if r["doc_id"] == 10**7)
+        docs = out
