@@ -10,8 +10,13 @@ from pyspark.sql import window as W
 
 from stratafit.functions import portable
 from stratafit.operators.gradients import with_gradient
+from stratafit.operators.prepared import prepared
+from stratafit.operators.spans import cell_width, span_join
 from stratafit.operators.strata import Policy, layout, stratum_table
 
+#: Ranges of random numbers, as bits, in which examples are ordered at once: their counts are that many rows.
+RANGE_BITS = 12
+
 
 def _total(p: int, f=F.var_pop):
     return sum((f(f"g{j}") for j in range(1, p + 1)), F.lit(0.0))
@@ -47,17 +52,26 @@ def variance_dependency(assigned: DataFrame, theta: Sequence[float], per_stratum
 
 
 def relabelled(assigned: DataFrame, seed: int = 3) -> DataFrame:
-    """The same strata sizes, dealt to examples at random: what any policy is judged against."""
+    """The same strata sizes, dealt to examples at random: what any policy is judged against.
+
+    Examples are ordered by random numbers of 52 bits: within ranges of their first bits, and counts of the ranges place these. Their rank finds its stratum
+    by cells of ranks.
+    """
     strata = stratum_table(assigned)
-    before = W.Window.orderBy("stratum").rowsBetween(W.Window.unboundedPreceding, -1)
-    ends = strata.select("stratum", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("lo"), "n")
-    shuffled = assigned.drop("stratum").withColumn("_r", F.row_number().over(W.Window.orderBy(portable.bits(seed, "relabel", F.col("series_id"), F.col("t0")), "series_id", "t0")) - 1)
-    return shuffled.join(F.broadcast(ends), (F.col("_r") >= F.col("lo")) & (F.col("_r") < F.col("lo") + F.col("n"))).drop("_r", "lo", "n")
+    ends = strata.select("stratum", "n", F.sum("n").over(W.Window.orderBy("stratum")).alias("hi"))
+    total = F.broadcast(strata.agg(cell_width(F.sum("n"), F.count(F.lit(1))).alias("_width")))
+    rows = assigned.drop("stratum").withColumn("_bits", portable.bits(seed, "relabel", F.col("series_id"), F.col("t0"))).withColumn("_range", F.shiftright("_bits", 52 - RANGE_BITS))
+    before = W.Window.orderBy("_range").rowsBetween(W.Window.unboundedPreceding, -1)
+    starts = rows.groupBy("_range").agg(F.count(F.lit(1)).alias("_c")).select("_range", F.coalesce(F.sum("_c").over(before), F.lit(0)).alias("_start"))
+    inside = F.row_number().over(W.Window.partitionBy("_range").orderBy("_bits", "series_id", "t0")) - 1
+    ranked = rows.withColumn("_i", inside).join(F.broadcast(starts), "_range").withColumn("_r", F.col("_i") + F.col("_start")).drop("_bits", "_range", "_i", "_start")
+    spans = ends.select("stratum", (F.col("hi") - F.col("n")).alias("lo"), "hi")
+    return span_join(ranked.join(total), spans.join(total), "_r", "_width").drop("_r")
 
 
 def policy_comparison(examples: DataFrame, policies: dict[str, Policy], theta: Sequence[float], control: bool = True) -> DataFrame:
     """policy, strata, total, within_share, dependency, random_share (of the relabelled control)."""
-    rows = None
+    examples, rows = prepared(examples), None
     for name, policy in policies.items():
         assigned = policy.assign(examples)
         one = variance_dependency(assigned, theta).select(F.lit(name).alias("policy"), "strata", "total", "within_share", "dependency")

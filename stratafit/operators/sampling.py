@@ -10,6 +10,7 @@ from pyspark.sql import window as W
 
 from stratafit.functions import portable
 from stratafit.functions.portable import py_uniform
+from stratafit.operators.spans import CELLS, span_join
 
 
 def _position(u: Column, n: Column) -> Column:
@@ -69,8 +70,9 @@ def weighted_draws(weights: DataFrame, size: int, seed: int) -> DataFrame:
     total = F.sum("mass").over(W.Window.partitionBy())
     running = F.sum("mass").over(W.Window.orderBy("stratum"))
     spans = weights.select("stratum", ((running - F.col("mass")) / total).alias("lo"), (running / total).alias("hi"), (total / (F.count(F.lit(1)).over(W.Window.partitionBy()) * F.col("mass"))).alias("weight"))
+    width = F.broadcast(weights.agg((F.lit(1.0) / F.greatest(F.lit(CELLS), F.count(F.lit(1)))).alias("_width")))
     draws = weights.sparkSession.range(size).select(F.col("id").alias("draw"), portable.uniform(seed, "weighted", F.col("id")).alias("u"))
-    return draws.join(F.broadcast(spans), (F.col("u") >= F.col("lo")) & (F.col("u") < F.col("hi"))).select("draw", "stratum", "weight")
+    return span_join(draws.join(width), spans.join(width), "u", "_width").select("draw", "stratum", "weight")
 
 
 def geometric_length(strata: int, u: float, cap: int | None = None) -> int:

@@ -15,9 +15,14 @@ from pyspark.sql import functions as F
 from pyspark.sql import window as W
 
 from stratafit.functions import portable
+from stratafit.operators.prepared import prepared
 from stratafit.operators.series import calendar
 
 
+#: Runs of series, by which blocks of examples are numbered.
+RUNS = 256
+
+
 class Policy:
     """assign() adds a column stratum, dense from 0; every example is in exactly one."""
 
@@ -159,12 +164,22 @@ class FeatureBins(Policy):
 
 @dataclass
 class Compose(Policy):
-    """The product of policies whose keys are expressions."""
+    """The product of policies, such as clusters of series and then a calendar hash."""
 
     parts: Sequence[Policy]
 
-    def key(self) -> Column:
-        return F.struct(*[p.key().alias(f"k{i}") for i, p in enumerate(self.parts)])
+    def key(self) -> Column | None:
+        keys = [p.key() for p in self.parts]
+        return None if any(k is None for k in keys) else F.struct(*[k.alias(f"k{i}") for i, k in enumerate(keys)])
+
+    def assign(self, examples: DataFrame) -> DataFrame:
+        if self.key() is not None:
+            return super().assign(examples)
+        found, names = examples, [f"_k{i}" for i in range(len(self.parts))]
+        for name, part in zip(names, self.parts, strict=True):
+            key = part.key()
+            found = part.assign(found).withColumnRenamed("stratum", name) if key is None else found.withColumn(name, key)
+        return dense(found.withColumn("_key", F.struct(*names)).drop(*names))
 
 
 @dataclass
@@ -207,17 +222,32 @@ class KMeansPolicy(Policy):
         return dense(model.transform(rows).drop("_v"))
 
 
+def _blocked(examples: DataFrame) -> DataFrame:
+    return examples.withColumn("_block", F.floor(F.col("t0") / (1 << 20)).cast("long"))
+
+
+def _offsets(counts: DataFrame, name: str, by: Sequence[str] = ()) -> DataFrame:
+    """The number of examples before each block (by, series_id, _block; _c examples) within each value of by, in order of (series_id, _block).
+
+    Blocks are added up within runs of series, and runs after that: at most RUNS series, picked by hash, are where runs begin. So no task orders all blocks.
+    """
+    hash_slot = F.pmod(F.xxhash64("series_id"), F.lit(RUNS))
+    picks = counts.groupBy(hash_slot.alias("_slot")).agg(F.min_by("series_id", F.xxhash64("series_id", F.lit("pick"))).alias("_pick")).agg(F.collect_set("_pick").alias("_picks"))
+    run = counts.join(F.broadcast(picks)).withColumn("_run", F.size(F.filter("_picks", lambda x: x <= F.col("series_id")))).drop("_picks")
+    earlier = lambda *within: W.Window.partitionBy(*within).rowsBetween(W.Window.unboundedPreceding, -1)
+    runs = run.groupBy(*by, "_run").agg(F.sum("_c").alias("_rc")).select(*by, "_run", F.coalesce(F.sum("_rc").over(earlier(*by).orderBy("_run")), F.lit(0)).alias("_before"))
+    inner = run.select(*by, "series_id", "_block", "_run", F.coalesce(F.sum("_c").over(earlier(*by, "_run").orderBy("series_id", "_block")), F.lit(0)).alias("_in"))
+    return inner.join(runs, [*by, "_run"]).select(*by, "series_id", "_block", (F.col("_in") + F.col("_before")).alias(name))
+
+
 def numbered(examples: DataFrame, name: str, by: Sequence[str] = ()) -> DataFrame:
     """Number examples from 0 in order of (series_id, t0) within each value of by.
 
     Counts of blocks (a run of ticks of a series) give offsets; rows are numbered inside blocks only. So the work of a task is bounded by a block, and the
     result is that of one global row_number.
     """
-    rows = examples.withColumn("_block", F.floor(F.col("t0") / (1 << 20)).cast("long"))
-    keys = [*by, "series_id", "_block"]
-    counts = rows.groupBy(*keys).agg(F.count(F.lit(1)).alias("_c"))
-    before = (W.Window.partitionBy(*by) if by else W.Window.partitionBy()).orderBy("series_id", "_block").rowsBetween(W.Window.unboundedPreceding, -1)
-    offsets = counts.select(*keys, F.coalesce(F.sum("_c").over(before), F.lit(0)).alias("_start"))
+    rows, keys = _blocked(examples), [*by, "series_id", "_block"]
+    offsets = _offsets(prepared(rows.groupBy(*keys).agg(F.count(F.lit(1)).alias("_c"))), "_start", by)
     inside = F.row_number().over(W.Window.partitionBy(*keys).orderBy("t0")) - 1
     return rows.withColumn("_i", inside).join(offsets, keys).withColumn(name, F.col("_i") + F.col("_start")).drop("_i", "_start", "_block")
 
@@ -230,5 +260,18 @@ def stratum_table(assigned: DataFrame) -> DataFrame:
 
 
 def layout(assigned: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """The examples with pos, dense from 0 in each stratum, and gpos, dense from 0 over all; and the stratum table."""
-    return numbered(numbered(assigned, "pos", ["stratum"]), "gpos"), stratum_table(assigned)
+    """The examples with pos, dense from 0 in each stratum, and gpos, dense from 0 over all, both in order of (series_id, t0); and the stratum table.
+
+    One pass over the examples counts the blocks of strata, another numbers rows inside blocks, for both numbers after one exchange by block.
+    """
+    rows = _blocked(assigned)
+    counts = prepared(rows.groupBy("stratum", "series_id", "_block").agg(F.count(F.lit(1)).alias("_c")))
+    sizes = counts.groupBy("stratum").agg(F.sum("_c").alias("n"))
+    table = sizes.join(F.broadcast(sizes.agg(F.sum("n").alias("_total")))).select("stratum", "n", (F.col("n") / F.col("_total")).alias("w"))
+    whole = _offsets(counts.groupBy("series_id", "_block").agg(F.sum("_c").alias("_c")), "_g0")
+    own = _offsets(counts, "_p0", ["stratum"])
+    within = lambda *keys: F.row_number().over(W.Window.partitionBy(*keys).orderBy("t0")) - 1
+    ranked = rows.withColumns({"_g": within("series_id", "_block"), "_p": within("series_id", "_block", "stratum")})
+    offsets = own.join(whole, ["series_id", "_block"])
+    placed = ranked.join(offsets, ["stratum", "series_id", "_block"]).withColumn("pos", F.col("_p") + F.col("_p0")).withColumn("gpos", F.col("_g") + F.col("_g0"))
+    return placed.drop("_block", "_g", "_p", "_g0", "_p0"), table

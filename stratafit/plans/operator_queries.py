@@ -131,13 +131,17 @@ def train_test_disjoint(spark, d):
 register("train_test_disjoint", train_test_disjoint, "SELECT 0::BIGINT AS shared, 0::BIGINT AS missing")
 
 
+#: All event types of the tables. Fixed values.
+EVENT_TYPES = ("cart", "click", "purchase", "search", "view")
+
+
 def pivot_vector_series(spark, d):
     p = series.hourly_by_type(spark, d)
-    return p.groupBy("t").pivot("series_id", ["click", "view", "purchase"]).agg(F.first("z")).select("t", *[F.col(c).cast("long").alias(c) for c in ("click", "view", "purchase")])
+    return p.groupBy("t").pivot("series_id", list(EVENT_TYPES)).agg(F.first("z")).select("t", *[F.col(c).cast("long").alias(c) for c in EVENT_TYPES])
 
 
 register("pivot_vector_series", pivot_vector_series,
-         f"WITH {P.S1} SELECT t::BIGINT AS t, max(z) FILTER (series_id = 'click')::BIGINT AS click, max(z) FILTER (series_id = 'view')::BIGINT AS view, max(z) FILTER (series_id = 'purchase')::BIGINT AS purchase FROM points GROUP BY 1")
+         f"WITH {P.S1} SELECT t::BIGINT AS t, " + ", ".join(f"max(z) FILTER (series_id = '{c}')::BIGINT AS {c}" for c in EVENT_TYPES) + " FROM points GROUP BY 1")
 
 
 def dynamic_covariate(spark, d):

@@ -24,7 +24,7 @@ for _name, _make, _sql in (
     register(_name, _plain(_make), f"WITH {_sql} SELECT series_id, t::BIGINT AS t, z::BIGINT AS z FROM points")
 register("hourly_share_by_type", lambda s, d: series.hourly_share(s, d).select("series_id", "t", F.round("z", 6).alias("z")), f"WITH {P.S3} SELECT series_id, t::BIGINT AS t, round(z, 6) AS z FROM points")
 register(
-    "daily_series_by_nation8_ffill", lambda s, d: series.daily_by_nation8(s, d).select("series_id", "t", F.round(F.col("z") / 1e6, 6).alias("z")),
+    "daily_series_by_nation_ffill", lambda s, d: series.daily_by_nation(s, d).select("series_id", "t", F.round(F.col("z") / 1e6, 6).alias("z")),
     f"WITH {P.S5} SELECT series_id, t::BIGINT AS t, round(z / 1e6, 6) AS z FROM points",
 )
 
@@ -79,7 +79,7 @@ SELECT series_id, t0::BIGINT AS t0, round(cs / {scale}, 6) AS context_sum, round
 FROM q WHERE i >= {tau_c} AND e IS NOT NULL"""
 
 
-register("segments_8_1", _summary(series.daily_by_nation8, 8, 1, 1e6), _summary_sql(P.S5, 8, 1, 1e6))
+register("segments_8_1", _summary(series.daily_by_nation, 8, 1, 1e6), _summary_sql(P.S5, 8, 1, 1e6))
 register("segments_72_24", _summary(series.hourly_by_type, 72, 24, 1e6), _summary_sql(P.S1, 72, 24, 1e6))
 
 
@@ -90,7 +90,7 @@ def segments_chunked(spark, d):
 
 
 register("segments_chunked_72_24", segments_chunked, f"SELECT series_id, t0, context_sum, target_sum FROM ({_summary_sql(P.S1, 72, 24, 1e6)})")
-_SETS = {"S1": (series.hourly_by_type, P.S1), "S2": (series.hourly_by_bucket, P.S2), "S4": (series.daily_by_region, P.S4), "S5": (series.daily_by_nation8, P.S5), "S6": (series.monthly_by_nation, P.S6), "S7": (series.daily_by_supplier, P.S7)}
+_SETS = {"S1": (series.hourly_by_type, P.S1), "S2": (series.hourly_by_bucket, P.S2), "S4": (series.daily_by_region, P.S4), "S5": (series.daily_by_nation, P.S5), "S6": (series.monthly_by_nation, P.S6), "S7": (series.daily_by_supplier, P.S7)}
 
 
 def example_counts(spark, d):
@@ -149,7 +149,7 @@ for _name, _policy, _make, _sql in (
     ("strata_weekday_ranges10", strata.WeekdaySeason(10), series.daily_by_region, _sizes_sql(_S4X, f"{_WEEKDAY}, {_RANGE.format(10)}")),
     ("strata_month_quarter", strata.CalendarHash(["month", "quarter"], "month"), series.monthly_by_nation, _sizes_sql(_S6X, "bucket % 12, (bucket % 12) // 3")),
     ("strata_weekday_hour", strata.CalendarHash(["weekday", "hour"], "hour"), series.hourly_by_type, _sizes_sql(_S1X, "(bucket // 24 + 3) % 7, bucket % 24")),
-    ("strata_range6_series", strata.RangeThenSeries(6), series.daily_by_nation8, _sizes_sql(_S5X, f"{_RANGE.format(6)}, series_id")),
+    ("strata_range6_series", strata.RangeThenSeries(6), series.daily_by_nation, _sizes_sql(_S5X, f"{_RANGE.format(6)}, series_id")),
     ("strata_per_series", strata.PerSeries(), series.monthly_by_nation, _sizes_sql(_S6X, "series_id")),
     ("strata_random_hash", strata.RandomHash(16), series.hourly_by_type, _sizes_sql(_S1X, f"{_BITS} % 16")),
     ("strata_composed", strata.Compose([strata.ModPeriod(7), strata.PerSeries()]), series.hourly_by_type, _sizes_sql(_S1X, "t0 % 7, series_id")),
@@ -197,6 +197,27 @@ def strata_kmeans_segments(spark, d):
 
 register("strata_kmeans_segments", strata_kmeans_segments)
 
+
+def strata_clusters_then_month(spark, d):
+    """K-Means clusters of nations by the features of their monthly sales, each split by the month of the forecast."""
+    points = series.scaled_by_mean(series.monthly_by_nation(spark, d))
+    f = series.segment_features(series.segments(points, 12, 1), (12,)).join(points.select("series_id", F.col("t").alias("t0"), "bucket"), ["series_id", "t0"])
+    f = f.select("series_id", "t0", "bucket", F.array("mean", "std").alias("features"))
+    return _clusters(strata.Compose([strata.KMeansPolicy(4, level="series"), strata.CalendarHash(["month"], "month")]), f)
+
+
+register("strata_clusters_then_month", strata_clusters_then_month)
+
+
+def strata_groups_then_weekday_ranges(spark, d):
+    """A given clustering of regions (even and odd keys), then weekday by ten ranges of the span: a part without a key of its own."""
+    ex = series.lag_examples(series.daily_by_region(spark, d), 2).withColumn("cluster", F.pmod(F.col("series_id").cast("int"), F.lit(2)))
+    found = strata.Compose([strata.GivenStratum("cluster"), strata.WeekdaySeason(10)]).assign(ex)
+    return strata.stratum_table(found).select(F.col("stratum").cast("long").alias("stratum"), "n", F.round("w", 9).alias("w"))
+
+
+register("strata_groups_then_weekday_ranges", strata_groups_then_weekday_ranges, _sizes_sql(_S4X, f"series_id::INTEGER % 2, {_WEEKDAY}, {_RANGE.format(10)}"))
+
 # Draws, from the hourly series by type with weekday strata.
 
 

@@ -15,6 +15,7 @@ from stratafit.models.forecasters import LSTMModel, MLPModel, ResidualStackModel
 from stratafit.operators import gradients, measures, sampling, series, strata
 from stratafit.optim import loop
 from stratafit.optim.problems import MomentsProblem, SegmentProblem
+from stratafit.operators.prepared import prepared
 from stratafit.optim.rules import make_rule
 from stratafit.plans import sql_parts as P
 from stratafit.plans.catalogue import register
@@ -200,10 +201,11 @@ SEED, LR = 21, {"sgd": 0.003, "momentum": 0.001, "rmsprop": 0.02, "adam": 0.03,
 _GEOMETRIC = sampling.inner_lengths(6, 5, SEED, cap=5)
 _SOURCES = {  # kind: (schedule's anchor, lengths of inner loops)
     "minibatch": ("none", [20]), "stratified": ("stratified", [1] * 12), "anchored": ("stratified", _GEOMETRIC), "anchored_fixed": ("stratified", [4] * 5), "batch": ("batch", _GEOMETRIC), "full": ("full", _GEOMETRIC), "hashed": ("stratified", _GEOMETRIC),
+    "descent": ("full", [1] * 12),
 }
 FITS = {
     "fit_sgd": ("minibatch", "sgd", None), "fit_momentum": ("minibatch", "momentum", None), "fit_rmsprop": ("minibatch", "rmsprop", None), "fit_adam": ("minibatch", "adam", None), "fit_adagrad": ("minibatch", "adagrad", None),
-    "fit_stratified": ("stratified", "sgd", None), "fit_batch_anchor": ("batch", "sgd", None), "fit_hashed_anchor": ("hashed", "sgd", None), "fit_full_anchor": ("full", "sgd", None), "fit_anchored": ("anchored", "sgd", None), "fit_anchored_fixed": ("anchored_fixed", "sgd", None),
+    "fit_stratified": ("stratified", "sgd", None), "fit_batch_anchor": ("batch", "sgd", None), "fit_hashed_anchor": ("hashed", "sgd", None), "fit_full_anchor": ("full", "sgd", None), "fit_full_descent": ("descent", "sgd", None), "fit_anchored": ("anchored", "sgd", None), "fit_anchored_fixed": ("anchored_fixed", "sgd", None),
     "fit_anchored_gamma": ("anchored_fixed", "sgd", 0.7), "fit_anchored_adam": ("anchored", "adam", None), "fit_anchored_adagrad": ("anchored", "adagrad", None),
 }
 _BATCH = 25
@@ -212,11 +214,11 @@ _BATCH = 25
 def run_fit(spark, d, name):
     kind, rule_name, gamma = FITS[name]
     anchor, lengths = _SOURCES[kind]
-    examples = nation_examples(spark, d)
-    placed, table = strata.layout((strata.RandomHash(16, 7) if kind == "hashed" else strata.PerSeries()).assign(examples))
-    full = gradients.moments(examples, [], 2).first().asDict()
+    placed, table = strata.layout((strata.RandomHash(16, 7) if kind == "hashed" else strata.PerSeries()).assign(nation_examples(spark, d)))
+    placed = prepared(placed.select("stratum", "pos", "gpos", "y", "x1", "x2"))
+    full = gradients.moments(placed, [], 2).first().asDict()
     schedule = sampling.build_schedule(spark, lengths, table, full["n"], 1, 2, SEED, anchor, _BATCH)
-    problem = MomentsProblem.collect(placed, table, schedule, 2, full if kind == "full" else None, weighted=anchor == "stratified")
+    problem = MomentsProblem.collect(placed, table, schedule, 2, full if anchor == "full" else None, weighted=anchor == "stratified")
     rule = make_rule(rule_name, LR[rule_name])
     if kind == "minibatch":
         return loop.minibatch_fit(problem, rule, [(0, k) for k in range(lengths[0])], method=name)
@@ -298,12 +300,15 @@ t AS (SELECT (a22 * c1 - a12 * c2) / (a11 * a22 - a12 * a12) AS t1, (a11 * c2 -
 
 
 def counterexample_variance(spark, d):
-    """Gradient variance of the two-series instance at theta = 1/p everywhere, by SQL over the instance, beside 4 delta**4 p."""
-    grid = spark.createDataFrame([(p, float(x)) for p in (1, 4, 16, 64) for x in (1, 2)], "p int, delta double")
-    ex = grid.select("p", "delta", F.explode(F.array(F.lit(1.0), F.lit(-1.0))).alias("sign"))
-    ex = ex.withColumn("r", F.lit(0.5) * F.col("delta") - F.col("sign") * F.col("delta"))  # theta sums to 1/2
-    g = F.lit(2.0) * F.col("delta") * F.col("r")
-    return ex.groupBy("p", "delta").agg(F.round(F.var_pop(g) * F.col("p"), 6).alias("variance")).withColumn("bound", F.round(F.lit(4.0) * F.pow("delta", F.lit(4)) * F.col("p"), 6))
+    """Gradient variance of the two-series instance by the kernel of AR(p), at parameters that sum to 1/2, beside 4 delta**4 p."""
+    out = None
+    for p in (1, 4, 16, 64):
+        grid = spark.createDataFrame([(x, sign) for x in (1.0, 2.0) for sign in (1.0, -1.0)], "delta double, sign double")
+        ex = grid.select("delta", (F.col("sign") * F.col("delta")).alias("y"), *[F.col("delta").alias(f"x{j}") for j in range(1, p + 1)])
+        g = gradients.with_gradient(ex, [0.5 / p] * p).groupBy("delta").agg(F.round(sum((F.var_pop(f"g{j}") for j in range(1, p + 1)), F.lit(0.0)), 6).alias("variance"))
+        one = g.select(F.lit(p).alias("p"), "delta", "variance", F.round(F.lit(4.0 * p) * F.pow("delta", F.lit(4)), 6).alias("bound"))
+        out = one if out is None else out.unionByName(one)
+    return out
 
 
 register("counterexample_variance", counterexample_variance,

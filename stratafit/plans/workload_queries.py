@@ -48,7 +48,7 @@ def dataset(spark: SparkSession, d: str, name: str) -> dict[str, np.ndarray]:
     if name == "shares":
         points, tau, policy = series.hourly_share(spark, d), (72, 24), strata.WeekdaySeason(7, "hour")
     elif name == "rates":
-        points, tau, policy = series.scaled_by_mean(series.daily_by_nation8(spark, d)), (8, 1), strata.RangeThenSeries(6)
+        points, tau, policy = series.scaled_by_mean(series.daily_by_nation(spark, d)), (8, 1), strata.RangeThenSeries(6)
     elif name == "clients":
         points, tau, policy = series.scaled_by_mean(series.hourly_by_bucket(spark, d)), (72, 24), strata.WeekdaySeason(10, "hour")
     elif name == "carrier":
