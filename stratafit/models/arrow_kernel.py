@@ -20,10 +20,11 @@ def _arrays(batch: pa.RecordBatch, name: str) -> np.ndarray:
     return column.flatten().to_numpy(zero_copy_only=False).reshape(batch.num_rows, -1)
 
 
-def gradient_sums(examples: DataFrame, model: Forecaster, theta: np.ndarray, batch: int = 512, squares: bool = False) -> DataFrame:
+def gradient_sums(examples: DataFrame, model: Forecaster, theta: np.ndarray, batch: int = 512, squares: bool = False, weighted: bool = False) -> DataFrame:
     """stratum, piece, n, loss, square, grad: sums over the examples (stratum, context, target) of each stratum.
 
     square sums the squared norms of single examples' gradients (asked for by squares; one pass each), in piece 0.
+    With weighted, examples have a weight instead, and losses and gradients are summed over all times it, in stratum 0.
     A task sends one row per stratum and piece, whatever its number of examples.
     """
     shared = examples.sparkSession.sparkContext.broadcast(theta)
@@ -32,18 +33,19 @@ def gradient_sums(examples: DataFrame, model: Forecaster, theta: np.ndarray, bat
         sums: dict[int, list] = {}
         at = shared.value
         for rows in batches:
-            x, y, s = _arrays(rows, "context"), _arrays(rows, "target"), rows.column("stratum").to_numpy()
+            x, y, s = _arrays(rows, "context"), _arrays(rows, "target"), rows.column("label").to_numpy()
             for k in np.unique(s):
+                key, scale = (0, float(k)) if weighted else (int(k), 1.0)
                 own = np.flatnonzero(s == k)
                 for i in range(0, len(own), batch):
                     part = own[i : i + batch]
                     loss, grad = model.loss_grad(at, x[part], y[part])
                     square = sum(float(g @ g) for g in (model.loss_grad(at, x[j : j + 1], y[j : j + 1])[1] for j in part)) if squares else 0.0
-                    have = sums.setdefault(int(k), [0, 0.0, 0.0, 0.0])
+                    have = sums.setdefault(key, [0, 0.0, 0.0, 0.0])
                     have[0] += len(part)
-                    have[1] += loss * len(part)
+                    have[1] += loss * len(part) * scale
                     have[2] += square
-                    have[3] = have[3] + grad * len(part)
+                    have[3] = have[3] + grad * (len(part) * scale)
         for k, (n, loss, square, grad) in sums.items():
             for piece in range(0, len(grad), PIECE):
                 first = piece == 0
@@ -53,7 +55,8 @@ def gradient_sums(examples: DataFrame, model: Forecaster, theta: np.ndarray, bat
                     names=["stratum", "piece", "n", "loss", "square", "grad"],
                 )
 
-    return examples.select(F.col("stratum").cast("int").alias("stratum"), "context", "target").mapInArrow(run, "stratum int, piece int, n long, loss double, square double, grad array<double>")
+    label = F.col("weight").cast("double") if weighted else F.col("stratum").cast("int")
+    return examples.select(label.alias("label"), "context", "target").mapInArrow(run, "stratum int, piece int, n long, loss double, square double, grad array<double>")
 
 
 def _added(parts: DataFrame, keys: list[str]) -> DataFrame:
@@ -80,6 +83,13 @@ def gradient_by_stratum(examples: DataFrame, model: Forecaster, theta: np.ndarra
     return {k: (n, loss / n, np.concatenate(g) / n, sq / n) for k, (n, loss, g, sq) in out.items()}
 
 
+def weighted_gradient(examples: DataFrame, model: Forecaster, theta: np.ndarray, fan_in: int = 64) -> tuple[np.ndarray, int]:
+    """The sum of the examples' gradients times their weight (context, target, weight), and their number: one vector comes to the driver, whatever the strata."""
+    parts = gradient_sums(examples, model, theta, weighted=True).withColumn("_g", F.pmod(F.spark_partition_id(), F.lit(fan_in)))
+    rows = sorted(_added(_added(parts, ["stratum", "piece", "_g"]), ["stratum", "piece"]).collect(), key=lambda r: r["piece"])
+    return (np.concatenate([r["grad"] for r in rows]), rows[0]["n"]) if rows else (np.zeros(model.size), 0)
+
+
 def evaluate(segments: DataFrame, model: Forecaster, theta: np.ndarray, batch: int = 1024) -> float:
     """Mean loss over all segments."""
     shared = segments.sparkSession.sparkContext.broadcast(theta)

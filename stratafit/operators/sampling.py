@@ -97,12 +97,13 @@ def pick_iterate(step_sizes: list[float], u: float) -> int:
     return len(step_sizes) - 1
 
 
-def build_schedule(spark: SparkSession, lengths: list[int], strata: DataFrame, total: int, per_stratum: int, minibatch: int, seed: int, anchor: str = "stratified", batch: int | None = None) -> DataFrame:
+def build_schedule(spark: SparkSession, lengths: list[int] | dict[int, int], strata: DataFrame, total: int, per_stratum: int, minibatch: int, seed: int, anchor: str = "stratified", batch: int | None = None) -> DataFrame:
     """All draws of a run: outer, inner, role, stratum, draw, pos, gpos. Anchor rows have inner -1.
 
+    lengths are those of outer steps 0, 1, .. or, as a dict, of some of them: a step's draws don't depend on the others.
     anchor: stratified (a row per stratum and draw, pos in the stratum), batch (batch uniform draws, gpos), none, full (no rows: the optimizer reads everything).
     """
-    rounds = spark.createDataFrame([(t, k) for t, k in enumerate(lengths)], "outer int, length int")
+    rounds = spark.createDataFrame(list(lengths.items() if isinstance(lengths, dict) else enumerate(lengths)), "outer int, length int")
     steps = rounds.filter("length > 0").select("outer", F.explode(F.sequence(F.lit(0), F.col("length") - 1)).alias("inner"))
     inner = steps.select("outer", "inner", F.lit("inner").alias("role"), F.lit(None).cast("int").alias("stratum"), F.explode(F.sequence(F.lit(0), F.lit(minibatch - 1))).alias("draw"))
     inner = inner.select("*", F.lit(None).cast("long").alias("pos"), _position(portable.uniform(seed, "inner", F.col("outer"), F.col("inner"), F.col("draw")), F.lit(total)).alias("gpos"))

@@ -6,8 +6,12 @@ from collections.abc import Sequence
 
 import numpy as np
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
+from stratafit.functions.portable import py_uniform
+from stratafit.models.arrow_kernel import weighted_gradient
 from stratafit.operators.gradients import matrices, schedule_moments
+from stratafit.operators.sampling import build_schedule
 
 
 class MomentsProblem:
@@ -42,21 +46,31 @@ class MomentsProblem:
 
 
 class ArrayProblem:
-    """Any model over arrays on the driver, drawn by numpy: for small data and for many seeds."""
+    """Any model over arrays in memory: for small data and for many seeds. Drawn by numpy or, with shared_draws, as build_schedule draws from rows in order of (series_id, t0)."""
 
-    def __init__(self, gradient, n: int, size: int, strata: np.ndarray | None, minibatch: int = 1, per_stratum: int = 1, seed: int = 0, anchor: str = "stratified", batch: int | None = None) -> None:
+    def __init__(self, gradient, n: int, size: int, strata: np.ndarray | None, minibatch: int = 1, per_stratum: int = 1, seed: int = 0, anchor: str = "stratified", batch: int | None = None, shared_draws: bool = False) -> None:
         self.gradient, self.n, self.size, self.minibatch, self.per_stratum, self.kind = gradient, n, size, minibatch, per_stratum, anchor
-        self.seed = seed
+        self.seed, self.shared_draws = seed, shared_draws
         self.groups = [np.flatnonzero(strata == s) for s in np.unique(strata)] if strata is not None else []
         self.batch = batch or max(1, len(self.groups) * per_stratum)
 
+    def _shared(self, n: int, size: int, *tag: object) -> np.ndarray:
+        return np.array([min(int(py_uniform(self.seed, *tag, k) * n), n - 1) for k in range(size)])
+
     def inner(self, outer: int, inner: int, theta: np.ndarray) -> tuple[np.ndarray, int]:
+        if self.shared_draws:
+            return self.gradient(self._shared(self.n, self.minibatch, "inner", outer, inner), theta), self.minibatch
         rng = np.random.default_rng((self.seed, 1, outer, inner))
         return self.gradient(rng.integers(0, self.n, self.minibatch), theta), self.minibatch
 
     def anchor(self, outer: int, theta: np.ndarray) -> tuple[np.ndarray, int]:
         if self.kind == "full":
             return self.gradient(np.arange(self.n), theta), self.n
+        if self.shared_draws and self.kind == "batch":
+            return self.gradient(self._shared(self.n, self.batch, "anchor", outer, 0), theta), self.batch
+        if self.shared_draws:
+            picks = [g[self._shared(len(g), self.per_stratum, "anchor", outer, k)] for k, g in enumerate(self.groups)]
+            return sum(len(g) / self.n * self.gradient(own, theta) for g, own in zip(self.groups, picks, strict=True)), len(self.groups) * self.per_stratum
         rng = np.random.default_rng((self.seed, 2, outer))
         if self.kind == "batch":
             return self.gradient(rng.choice(self.n, min(self.batch, self.n), replace=False), theta), self.batch
@@ -65,35 +79,45 @@ class ArrayProblem:
 
 
 class SegmentProblem:
-    """Any model: minibatches from segments brought to the driver along the schedule, anchors there or by one Spark job."""
+    """Any model over any number of examples: anchors are Spark jobs over the drawn examples or all, an outer step's minibatches come to the driver together.
 
-    def __init__(self, model, drawn: dict[tuple[int, int], tuple[np.ndarray, np.ndarray]], anchors: dict[int, list[tuple[float, np.ndarray, np.ndarray]]]) -> None:
-        self.model, self.drawn, self.anchors, self.size = model, drawn, anchors, model.size
+    positioned has stratum, pos, gpos, context and target. Draws are those of build_schedule, so a run is that of ArrayProblem with shared_draws. The driver holds one
+    outer step's minibatches (its length times minibatch segments) and single gradient vectors.
+    """
 
-    @classmethod
-    def collect(cls, model, positioned: DataFrame, strata: DataFrame, schedule: DataFrame) -> SegmentProblem:
-        """positioned has pos, gpos, stratum, context and target; only scheduled segments come to the driver, in the schedule's order."""
-        weights = {r["stratum"]: r["w"] for r in strata.collect()}
-        keep = ["outer", "inner", "role", "stratum", "draw", "context", "target"]
-        by_pos = schedule.filter("pos is not null").drop("gpos").join(positioned.select("stratum", "pos", "context", "target"), ["stratum", "pos"]).select(keep)
-        by_all = schedule.filter("pos is null").drop("pos").join(positioned.select("gpos", "context", "target"), "gpos").select(keep)
-        drawn: dict = {}
-        anchors: dict = {}
-        for r in by_pos.unionByName(by_all).orderBy("outer", "inner", "stratum", "draw").toLocalIterator(prefetchPartitions=True):
-            if r["role"] == "inner":
-                drawn.setdefault((r["outer"], r["inner"]), []).append((r["context"], r["target"]))
-            else:
-                anchors.setdefault(r["outer"], {}).setdefault(r["stratum"], []).append((r["context"], r["target"]))
-        pack = lambda rows: (np.array([c for c, _ in rows]), np.array([t for _, t in rows]))
-        return cls(model, {k: pack(v) for k, v in drawn.items()}, {t: [(weights.get(s, 1.0), *pack(v)) for s, v in by.items()] for t, by in anchors.items()})
+    def __init__(self, model, positioned: DataFrame, strata: DataFrame, lengths: Sequence[int], minibatch: int = 1, per_stratum: int = 1, seed: int = 0, anchor: str = "stratified", batch: int | None = None) -> None:
+        self.model, self.size, self.positioned, self.strata, self.lengths = model, model.size, positioned, strata, lengths
+        self.minibatch, self.per_stratum, self.seed, self.kind = minibatch, per_stratum, seed, anchor
+        sums = strata.agg(F.sum("n").alias("total"), F.count(F.lit(1)).alias("strata")).first()
+        self.total, self.batch = sums["total"], batch or sums["strata"] * per_stratum
+        self.held: tuple[int, dict[int, tuple[np.ndarray, np.ndarray]]] = (-1, {})
+
+    def _draws(self, outer: int, role: str) -> DataFrame:
+        length = {outer: self.lengths[outer] if outer < len(self.lengths) else 0}
+        kind = self.kind if role == "anchor" else "none"
+        return build_schedule(self.positioned.sparkSession, length, self.strata, self.total, self.per_stratum, self.minibatch, self.seed, kind, self.batch).filter(F.col("role") == role)
 
     def inner(self, outer: int, inner: int, theta: np.ndarray) -> tuple[np.ndarray, int]:
-        x, y = self.drawn[outer, inner]
+        if self.held[0] != outer:
+            drawn: dict[int, list] = {}
+            rows = self._draws(outer, "inner").select("inner", "draw", "gpos").join(self.positioned.select("gpos", "context", "target"), "gpos").collect()
+            for r in sorted(rows, key=lambda r: (r["inner"], r["draw"])):
+                drawn.setdefault(r["inner"], []).append((r["context"], r["target"]))
+            self.held = outer, {k: (np.array([c for c, _ in v]), np.array([t for _, t in v])) for k, v in drawn.items()}
+        x, y = self.held[1][inner]
         return self.model.loss_grad(theta, x, y)[1], len(x)
 
     def anchor(self, outer: int, theta: np.ndarray) -> tuple[np.ndarray, int]:
-        parts = self.anchors[outer]
-        return sum(w * self.model.loss_grad(theta, x, y)[1] for w, x, y in parts), sum(len(p[1]) for p in parts)
+        rows = self.positioned
+        if self.kind == "full":
+            return weighted_gradient(rows.withColumn("weight", F.lit(1.0 / self.total)), self.model, theta)
+        draws = self._draws(outer, "anchor")
+        if self.kind == "batch":
+            examples = draws.select("gpos").join(rows.select("gpos", "context", "target"), "gpos").withColumn("weight", F.lit(1.0 / self.batch))
+        else:
+            weighed = draws.select("stratum", "pos").join(self.strata.select("stratum", (F.col("w") / self.per_stratum).alias("weight")), "stratum")
+            examples = weighed.join(rows.select("stratum", "pos", "context", "target"), ["stratum", "pos"])
+        return weighted_gradient(examples, self.model, theta)
 
 
 def tune(fit, grid: Sequence[float], top: int = 3) -> list[tuple[float, float]]:

@@ -339,11 +339,11 @@ def fit_segments(spark, points, model, policy, tau_c, tau_p, rule="adam", lr=0.0
     """method, outer, grad_evals, train_loss before and after a short anchored run of any forecaster."""
     segs = series.segments(points, tau_c, tau_p).join(points.select("series_id", F.col("t").alias("t0"), "bucket"), ["series_id", "t0"])
     placed, table = strata.layout(policy.assign(segs))
-    schedule = sampling.build_schedule(spark, [inner] * outer, table, placed.count(), 1, minibatch, SEED)
-    problem = SegmentProblem.collect(model, placed, table, schedule)
+    placed = prepared(placed.select("stratum", "pos", "gpos", "context", "target"))
+    problem = SegmentProblem(model, placed, prepared(table), [inner] * outer, minibatch, 1, SEED)
     start = model.start(3)
     fit = loop.anchored_fit(problem, make_rule(rule, lr), [inner] * outer, start, method=method)
-    before, after = evaluate(segs, model, start), evaluate(segs, model, fit.theta)
+    before, after = evaluate(placed, model, start), evaluate(placed, model, fit.theta)
     return spark.createDataFrame([(method, len(fit.trace.rows), fit.trace.grad_evals, before, after)], "method string, updates int, grad_evals long, loss_before double, loss_after double")
 
 

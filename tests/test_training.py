@@ -312,3 +312,38 @@ def test_equal_budget_is_registered_whole(monkeypatch):
     call.apply_defaults()
     # An outer step of 49 strata takes 49 example gradients for the anchor and two batches of 8 in each of 49 inner steps on average.
     assert call.arguments["runs"] == 5 and call.arguments["tuned"] and call.arguments["grad_evals"] >= 5 * (49 + 16 * 49)
+
+
+@pytest.mark.parametrize("kind", ["stratified", "batch", "full"])
+def test_spark_anchors_and_streamed_minibatches_equal_arrays(spark, sf, kind):
+    """Jobs over placed examples against arrays in memory, a whole anchored run of a network."""
+    from pyspark.sql import functions as F
+
+    from stratafit.operators import series
+    from stratafit.optim.problems import SegmentProblem
+
+    segs = series.segments(series.scaled_by_mean(series.monthly_by_nation(spark, sf)), 6, 2)
+    placed, table = strata.layout(strata.PerSeries().assign(segs))
+    placed = placed.select("stratum", "pos", "gpos", "context", "target").checkpoint()
+    pdf = placed.orderBy("gpos").toPandas()
+    x, y, model = np.array(pdf["context"].tolist()), np.array(pdf["target"].tolist()), MLPModel(6, 2, 5, 2)
+    arrays = ArrayProblem(lambda i, th: model.loss_grad(th, x[i], y[i])[1], len(x), model.size, pdf["stratum"].to_numpy(), 4, 2, 5, kind, shared_draws=True)
+    jobs = SegmentProblem(model, placed, table, [3, 2], 4, 2, 5, kind)
+    runs = [loop.anchored_fit(p, make_rule("sgd", 0.01), [3, 2], model.start(1)) for p in (arrays, jobs)]
+    assert np.abs(runs[0].theta - runs[1].theta).max() < 1e-9 and runs[0].trace.grad_evals == runs[1].trace.grad_evals
+    assert placed.agg(F.max("gpos")).first()[0] == len(x) - 1
+
+
+def test_composed_policies_without_keys(spark, sf):
+    from pyspark.sql import functions as F
+
+    from stratafit.operators import series
+
+    ex = Q.nation_examples(spark, sf).withColumn("features", F.array("x1", "x2"))
+    found = strata.Compose([strata.KMeansPolicy(3, level="series"), strata.CalendarHash(["month"], "month")]).assign(ex)
+    month = strata.CalendarHash(["month"], "month").key()
+    parts = found.groupBy("stratum").agg(F.countDistinct(month).alias("months"), F.min(month).alias("m")).collect()
+    assert found.count() == ex.count() and all(r["months"] == 1 for r in parts) and sorted(r["stratum"] for r in parts) == list(range(len(parts)))
+    assert found.groupBy("series_id", month.alias("m")).agg(F.countDistinct("stratum").alias("n")).filter("n > 1").count() == 0
+    both = strata.Compose([strata.WeekdaySeason(3), strata.PerSeries()]).assign(series.lag_examples(series.daily_by_region(spark, sf), 2))
+    assert both.groupBy("series_id").agg(F.countDistinct("stratum").alias("n")).filter("n != 21").count() == 0
