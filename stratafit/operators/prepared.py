@@ -5,18 +5,21 @@ from __future__ import annotations
 import re
 import tempfile
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 
 
 def prepared(df: DataFrame) -> DataFrame:
-    """df, computed once and kept in the folder that spark.checkpoint.dir names, so lost executors lose none of it.
+    """df, computed once and kept in the folder that spark.checkpoint.dir names, so lost executors lose none of it."""
+    checkpoint_folder(df.sparkSession)
+    return df.checkpoint()
+
 
-    Where that is unset, a local master gets a folder of its own; a cluster gets an error.
-    """
-    context = df.sparkSession.sparkContext
+def checkpoint_folder(spark: SparkSession) -> str:
+    """The folder that spark.checkpoint.dir names, as a URI. Where that is unset, a local master gets a folder of its own; a cluster gets an error."""
+    context = spark.sparkContext
     if context.getCheckpointDir() is None:
-        named = df.sparkSession.conf.get("spark.checkpoint.dir", None)
+        named = spark.conf.get("spark.checkpoint.dir", None)
         if not named and not re.match(r"local($|\[)", context.master):
             raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         context.setCheckpointDir(named or tempfile.mkdtemp("-checkpoints"))
-    return df.checkpoint()
+    return context.getCheckpointDir()

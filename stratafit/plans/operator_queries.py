@@ -200,3 +200,44 @@ def stream_segments(spark, d):
 register("stream_segments", stream_segments,
          f"""WITH p AS (SELECT event_type AS series_id, event_id AS t, {P.cents('value')} AS z FROM events), q AS (SELECT series_id, t - 1 AS t0, sum(z) OVER (PARTITION BY series_id ORDER BY t ROWS BETWEEN 3 PRECEDING AND 1 PRECEDING) AS c, z,
  row_number() OVER (PARTITION BY series_id ORDER BY t) AS i FROM p) SELECT series_id, t0::BIGINT AS t0, c::BIGINT AS context_sum, z::BIGINT AS target FROM q WHERE i >= 4""")
+
+
+def stream_reservoirs(spark, d):
+    """Ten events a weekday, sampled while they stream; the stratum is the key of the batch policy."""
+    stratum = strata.CalendarHash(["weekday"], "hour").key().getField("weekday")
+    events = feeds.events_stream(spark, d).withColumn("bucket", hour_number(F.col("ts")))
+    rows = feeds.run_once(feeds.reservoirs(events, stratum, 10, "event_id"), _name("reservoirs"))
+    first = F.row_number().over(W.Window.partitionBy("stratum").orderBy("u"))
+    return rows.withColumn("place", first).filter(F.col("place") <= 10).select("stratum", "place", "key")
+
+
+_PICK = "(('0x' || substr(md5(concat_ws('|', '3', 'reservoir', event_id)), 1, 13))::BIGINT)"
+register("stream_reservoirs", stream_reservoirs,
+         f"SELECT * FROM (SELECT (isodow(ts) - 1)::INTEGER AS stratum, row_number() OVER (PARTITION BY isodow(ts) ORDER BY {_PICK})::INTEGER AS place, event_id AS key FROM events) WHERE place <= 10")
+
+
+def statistics_by_nation(spark, d):
+    """Covariance, correlation and regression of a month's sales on the month before, by nation."""
+    ex = nation_examples(spark, d)
+    stats = {"covariance": F.covar_pop("y", "x1"), "spread": F.covar_samp("y", "x1"), "correlation": F.corr("y", "x1"), "slope": F.regr_slope("y", "x1"), "intercept": F.regr_intercept("y", "x1"), "fit": F.regr_r2("y", "x1"), "middle": F.percentile("y", F.lit(0.5))}
+    return ex.groupBy("series_id").agg(*[F.round(f, 6).alias(name) for name, f in stats.items()], F.count_if(F.col("y") > F.col("x1")).alias("rises"))
+
+
+register("statistics_by_nation", statistics_by_nation,
+         f"""WITH {_S6X} SELECT series_id, round(covar_pop(y, x1), 6) AS covariance, round(covar_samp(y, x1), 6) AS spread, round(corr(y, x1), 6) AS correlation, round(regr_slope(y, x1), 6) AS slope, round(regr_intercept(y, x1), 6) AS intercept,
+ round(regr_r2(y, x1), 6) AS fit, round(quantile_cont(y, 0.5), 6) AS middle, count(*) FILTER (y > x1) AS rises FROM ex GROUP BY 1""")
+
+
+def join_strategies(spark, d):
+    """Revenue by nation through each physical join: the hint changes the plan, not the rows."""
+    li = table(spark, d, "lineitem").select("l_suppkey", cents(F.col("l_extendedprice")).alias("z"))
+    suppliers = table(spark, d, "supplier").select(F.col("s_suppkey").alias("l_suppkey"), "s_nationkey")
+    out = None
+    for hint in ("broadcast", "merge", "shuffle_hash"):
+        one = li.join(suppliers.hint(hint), "l_suppkey").groupBy(F.lit(hint).alias("strategy"), "s_nationkey").agg(F.count(F.lit(1)).alias("n"), F.sum("z").alias("cents"))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+register("join_strategies", join_strategies,
+         f"SELECT strategy, s_nationkey, count(*) AS n, sum({P.cents('l_extendedprice')})::BIGINT AS cents FROM lineitem JOIN supplier ON s_suppkey = l_suppkey, (VALUES ('broadcast'), ('merge'), ('shuffle_hash')) v(strategy) GROUP BY 1, 2")

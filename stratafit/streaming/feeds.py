@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Iterator
 
 import pandas as pd
@@ -9,6 +10,9 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
+from stratafit.functions import portable
+from stratafit.operators.prepared import checkpoint_folder
+
 
 def events_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The events table as a file stream; event time becomes a timestamp, which watermarks ask for."""
@@ -60,11 +64,12 @@ def segment_stream(points: DataFrame, tau_c: int, tau_p: int) -> DataFrame:
         last, ring = state.get if state.exists else (-1, [])
         ring = list(ring)
         rows = []
-        for _, row in pd.concat(list(frames)).sort_values("t").iterrows():
-            if row["t"] <= last:
+        batch = pd.concat(list(frames)).sort_values("t")
+        for t, z in zip(batch["t"].tolist(), batch["z"].tolist(), strict=True):
+            if t <= last:
                 continue
-            last = int(row["t"])
-            ring = [*ring, float(row["z"])][-length:]
+            last = t
+            ring = [*ring, z][-length:]
             if len(ring) == length:
                 rows.append((key[0], last - tau_p, ring[:tau_c], ring[tau_c:]))
         state.update((last, ring))
@@ -74,10 +79,38 @@ def segment_stream(points: DataFrame, tau_c: int, tau_p: int) -> DataFrame:
 
 
 def run_once(result: DataFrame, name: str, mode: str = "append") -> DataFrame:
-    """Run a stream over what there is and return the rows."""
-    query = result.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start()
+    """Run a stream over what there is and return the rows, which executors write as Parquet beside the checkpoints: a folder per micro-batch, written again if
+    a batch is repeated; in complete mode the last batch's."""
+    spark, folder = result.sparkSession, f"{checkpoint_folder(result.sparkSession).rstrip('/')}/{name}-{uuid.uuid4().hex}"
+    done: list[str] = []
+
+    def write(batch: DataFrame, number: int) -> None:
+        path = f"{folder}/rows/{number}"
+        batch.write.mode("overwrite").parquet(path)
+        done[:] = [path] if mode == "complete" else [*(p for p in done if p != path), path]
+
+    query = result.writeStream.foreachBatch(write).outputMode(mode).option("checkpointLocation", f"{folder}/state").trigger(availableNow=True).start()
     query.awaitTermination()
-    return result.sparkSession.table(name)
+    return spark.read.schema(result.schema).parquet(*done) if done else spark.createDataFrame([], result.schema)
+
+
+def reservoirs(stream: DataFrame, stratum: Column, size: int, key: str, seed: int = 3) -> DataFrame:
+    """stratum, u, key: after each micro-batch, those of a uniform sample without replacement of at most size keys a stratum that are new to it.
+
+    The sample holds the keys of the smallest random numbers, which come from the key alone, so it is the same however events are cut into micro-batches: among all rows
+    given out, the first size of each stratum. State is size numbers a stratum.
+    """
+
+    def step(label: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        held = list(state.get[0]) if state.exists else []
+        batch = pd.concat(list(frames)).drop_duplicates("u").sort_values("u").head(size)
+        new = batch[~batch["u"].isin(held)]
+        held = sorted([*held, *new["u"].tolist()])[:size]
+        state.update((held,))
+        yield new[new["u"] <= held[-1]].assign(stratum=label[0])[["stratum", "u", "key"]]
+
+    rows = stream.select(stratum.cast("int").alias("stratum"), portable.bits(seed, "reservoir", F.col(key)).alias("u"), F.col(key).cast("long").alias("key"))
+    return rows.groupBy("stratum").applyInPandasWithState(step, "stratum int, u long, key long", "held array<long>", "append", GroupStateTimeout.NoTimeout)
 
 
 def refresh_anchor(stream: DataFrame, anchor, checkpoint: str | None = None):

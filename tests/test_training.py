@@ -347,3 +347,39 @@ def test_composed_policies_without_keys(spark, sf):
     assert found.groupBy("series_id", month.alias("m")).agg(F.countDistinct("stratum").alias("n")).filter("n > 1").count() == 0
     both = strata.Compose([strata.WeekdaySeason(3), strata.PerSeries()]).assign(series.lag_examples(series.daily_by_region(spark, sf), 2))
     assert both.groupBy("series_id").agg(F.countDistinct("stratum").alias("n")).filter("n != 21").count() == 0
+
+
+def test_workloads_behave_alike_on_arrays_and_by_jobs(spark, sf):
+    from stratafit.plans import workload_queries as V
+
+    data = V.families(spark, 3, 120)
+    for method in ("sgd", "batch_anchor", "anchored_stratified"):
+        task = V.Task("mlp_nll", method, 0.01, 2, updates=6, minibatch=2)
+        here, there = V.array_fit(data.arrays, task), V.spark_fit(data, task)
+        assert np.abs(here[0].theta - there[0].theta).max() < 1e-9 and abs(here[1] - there[1]) < 1e-9 and abs(here[2] - there[2]) < 1e-9
+    assert V.split_dataset is not None and V.families(spark, 3, 120).train.count() == len(data.arrays["x"])
+
+
+def test_curves_keep_the_best_step_sizes_with_test_loss_and_time(spark, sf):
+    from stratafit.plans import workload_queries as V
+
+    curves = V.training_curves(spark, V.family_vectors(spark), "var_mse", ("sgd", "anchored_stratified"), {"sgd": 2}, 200, 4).toPandas()
+    assert curves.groupby("method")["lr"].nunique().to_dict() == {"sgd": 2, "anchored_stratified": 1}
+    for _, c in curves.sort_values("update").groupby(["method", "lr"]):
+        assert c["train_loss"].iloc[-1] < c["train_loss"].iloc[0] and c["test_loss"].notna().all() and c["seconds"].is_monotonic_increasing and c["grad_evals"].iloc[-1] >= 200
+
+
+def test_strata_lower_the_variance_of_networks_gradients(spark, sf):
+    from stratafit.plans import workload_queries as V
+
+    rows = V.variance_along_models(spark, sf, ("mlp_nll",), 2, 30, 20).collect()
+    spread = {(r["step"], r["sampler"]): r["empirical"] for r in rows}
+    assert len(rows) == 4 and all(spread[k, "stratified"] < 0.7 * spread[k, "uniform"] for k in {r["step"] for r in rows})
+
+
+def test_first_hits_on_the_toy(spark, sf):
+    from stratafit.plans import workload_queries as V
+
+    got = {(r["method"], r["epsilon"]): r for r in V.toy_first_hits(spark, sf, (1.0, 0.5), 4000, 2).collect()}
+    assert all(got[m, 1.0]["grad_evals"] <= got[m, 0.5]["grad_evals"] for m, e in got if e == 0.5)
+    assert got["anchored_stratified", 1.0]["runs"] == 2
