@@ -14,6 +14,8 @@ from stratafit.llm.common import checkpointed
 WORD = r"[^\x20\x09-\x0D]+"
 #: Rows that one task rounds together, about.
 BLOCK_ROWS = 4_000
+#: Rows alike in id, source and text that go to one block together at most.
+ALIKE_ROWS = 1_000
 WEIGHTS = (5.0, 2.0, 1.0)
 CAP = 3.0
 
@@ -99,8 +101,9 @@ def balance(cells: DataFrame, constraints: Sequence[str], targets: dict[tuple[in
 
 
 def _rounded(table: pa.Table, cap: float) -> pa.Table:
-    """Copies of one block: each rate rounded with what longer documents left over or owe, largest documents first, 0 to cap times."""
-    table = table.sort_by([("size", "descending"), ("doc_id", "ascending")])
+    """Copies of one block: each rate rounded with what longer documents left over or owe, largest documents first, 0 to cap times. Each row stands for as many as alike says."""
+    table = table.sort_by([("size", "descending"), ("doc_id", "ascending"), ("text_hash", "ascending")])
+    table = table.take(np.repeat(np.arange(len(table)), table["alike"].to_numpy())).drop_columns(["alike"])
     most = int(cap)
     copies, debt = [], 0.0
     for rate, n in zip(table["rate"].to_pylist(), table["size"].to_pylist(), strict=True):
@@ -112,15 +115,16 @@ def _rounded(table: pa.Table, cap: float) -> pa.Table:
 
 
 def mix_sources(docs: DataFrame, weights: Sequence[float] = WEIGHTS, cap: float = CAP, block_rows: int = BLOCK_ROWS) -> DataFrame:
-    """doc_id, source, size, source_size, target, rate, copies, taken; one row per row of docs (doc_id, text, source).
+    """doc_id, source, size, text_hash, source_size, target, rate, copies, taken; one row per row of docs (doc_id, text, source).
 
     size counts the words of the text, a null has none. Sources in code point order, null last, weigh the given weights, repeating; their targets
     share all words, at most cap times their own. The rates come from balance(); copies are the rates, rounded to at most
-    cap, so taken = copies * size passes cap * size nowhere. Within blocks of a source, by a hash of the id, rounding errors are carried on from long to short documents, so a
+    cap, so taken = copies * size passes cap * size nowhere. Within blocks of a source, by a hash of id and text, rounding errors are carried on from long to short documents, so a
     source's taken words miss its target by about its shortest documents, unless one document is most of a source. An empty table gives no rows.
-    Rows that repeat a doc_id, or whose id is null, are mixed row by row. Other columns, whatever their names, are not read.
+    Rows that repeat a doc_id, or whose id is null, are mixed row by row; rows alike in id and text are counted first and spread over blocks, ALIKE_ROWS together, so no
+    group of copies is one task's. Other columns, whatever their names, are not read.
     """
-    sized = checkpointed(docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("source").cast("string").alias("source"), word_count(F.col("text")).alias("size")))
+    sized = checkpointed(docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("source").cast("string").alias("source"), word_count(F.col("text")).alias("size"), F.xxhash64(F.col("text").cast("string")).alias("text_hash")))
     stats = sized.groupBy("source").agg(F.sum("size").alias("s"), F.count(F.lit(1)).alias("n")).collect()
     order = sorted(stats, key=lambda r: (r["source"] is None, (r["source"] or "").encode()))
     sizes = {r["source"]: int(r["s"]) for r in order}
@@ -128,29 +132,35 @@ def mix_sources(docs: DataFrame, weights: Sequence[float] = WEIGHTS, cap: float
     found = balance(sized.withColumn("tokens", F.col("size")), ["source"], {(0, k): t for k, t in targets.items()})
     plan = [(k, sizes[k], float(targets[k]), min(cap, float(np.exp(found[(0, k)]))) if targets[k] > 0 else 0.0, max(1, -(-int(r["n"]) // block_rows))) for r in order for k in [r["source"]]]
     plan = docs.sparkSession.createDataFrame(plan, "_source string, source_size long, target double, rate double, blocks int")
-    rated = sized.join(F.broadcast(plan), F.col("source").eqNullSafe(F.col("_source"))).withColumn("block", F.pmod(F.xxhash64("doc_id", "size"), F.col("blocks")).cast("int")).drop("_source", "blocks")
+    counted = sized.groupBy("doc_id", "source", "size", "text_hash").agg(F.count(F.lit(1)).alias("n"))
+    spread = counted.withColumn("part", F.explode(F.sequence(F.lit(0), F.floor((F.col("n") - 1) / ALIKE_ROWS).cast("int")))).withColumn("alike", F.least(F.lit(ALIKE_ROWS), F.col("n") - F.col("part") * ALIKE_ROWS)).drop("n")
+    block = F.pmod(F.xxhash64("doc_id", "text_hash", "part"), F.col("blocks")).cast("int")
+    rated = spread.join(F.broadcast(plan), F.col("source").eqNullSafe(F.col("_source"))).withColumn("block", block).drop("_source", "blocks", "part")
 
     def run(table: pa.Table) -> pa.Table:
         return _rounded(table, cap).drop_columns(["block"])
 
-    kept = "doc_id long, source string, size long, source_size long, target double, rate double, copies long"
+    kept = "doc_id long, source string, size long, text_hash long, source_size long, target double, rate double, copies long"
     return rated.groupBy("source", "block").applyInArrow(run, kept).withColumn("taken", F.col("copies") * F.col("size"))
 
 
 def repeat_rows(docs: DataFrame, mixed: DataFrame) -> DataFrame:
     """docs with each row repeated as often as its copies say, 0 times included.
 
-    Rows of one doc_id, source and size, a null id or source included, are told apart by number: in the order of their text's hash they take
-    the copies of mixed in ascending order, each row one of them.
+    Rows are met by doc_id, source and a hash of the text, nulls included. Those alike in all three are numbered, in the order of a hash of their other columns, and
+    take the copies of mixed in ascending order, each row one of them; what they meet is how many rows take each number of copies, cap + 1 counts at most.
     """
 
-    def keys(frame: DataFrame, size: Column) -> list[Column]:
+    def keys(frame: DataFrame, text_hash: Column) -> list[Column]:
         doc_id, source = frame["doc_id"].cast("long"), frame["source"].cast("string")
-        return [F.coalesce(doc_id, F.lit(0)).alias("_id"), doc_id.isNull().alias("_no_id"), F.coalesce(source, F.lit("")).alias("_source"), source.isNull().alias("_no_source"), size.alias("_size")]
-
-    names = ["_id", "_no_id", "_source", "_no_source", "_size"]
-    copies = mixed.select(*keys(mixed, mixed["size"]), "copies").groupBy(*names).agg(F.sort_array(F.collect_list("copies")).alias("_copies"))
-    rows = docs.select(F.struct(*[docs[c] for c in docs.columns]).alias("_row"), *keys(docs, word_count(docs["text"])))
-    numbered = rows.join(copies, names).withColumn("_number", F.row_number().over(Window.partitionBy(*names).orderBy(F.xxhash64("_row.text"))))
-    own = F.element_at("_copies", F.col("_number")).cast("int")
+        return [F.coalesce(doc_id, F.lit(0)).alias("_id"), doc_id.isNull().alias("_no_id"), F.coalesce(source, F.lit("")).alias("_source"), source.isNull().alias("_no_source"), text_hash.alias("_text")]
+
+    names = ["_id", "_no_id", "_source", "_no_source", "_text"]
+    counts = mixed.select(*keys(mixed, mixed["text_hash"]), "copies").groupBy(*names, "copies").agg(F.count(F.lit(1)).alias("_rows"))
+    steps = counts.groupBy(*names).agg(F.sort_array(F.collect_list(F.struct("copies", "_rows"))).alias("_steps"))
+    hashable = [docs[f.name] for f in docs.schema if f.name != "text" and not any(kind in f.dataType.simpleString() for kind in ("map<", "variant"))]
+    rows = docs.select(F.struct(*[docs[c] for c in docs.columns]).alias("_row"), *keys(docs, F.xxhash64(docs["text"].cast("string"))), F.xxhash64(F.lit(0), *hashable).alias("_rest"))
+    numbered = rows.join(steps, names).withColumn("_number", F.row_number().over(Window.partitionBy(*names).orderBy("_rest")).cast("long"))
+    passed = F.aggregate("_steps", F.struct(F.col("_number").alias("left"), F.lit(0).cast("long").alias("own")), lambda a, s: F.when(a["left"] > 0, F.struct((a["left"] - s["_rows"]).alias("left"), s["copies"].alias("own"))).otherwise(a))
+    own = passed["own"].cast("int")
     return numbered.select("_row", own.alias("_n")).filter("_n > 0").select("_row", F.explode(F.sequence(F.lit(1), F.col("_n"))).alias("_copy")).select("_row.*")

@@ -8,7 +8,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from stratafit.llm import queries, token_codec
+from stratafit.llm import mixing, queries, token_codec
 from stratafit.llm.decontamination import clean_documents, contaminated, fingerprints, prepare
 from stratafit.llm.line_dedup import drop_recurring_lines
 from stratafit.llm.mixing import balance, capped_targets, mix_sources, repeat_rows
@@ -326,6 +326,19 @@ def test_rows_without_or_with_the_same_id_are_repeated_by_their_own_copies(spark
     assert sorted(map(str, out)) == sorted(map(str, repeat_rows(docs.repartition(5), mix_sources(docs.repartition(3))).collect()))
 
 
+def test_copies_that_share_an_id_are_spread_over_blocks(spark):
+    n = 3 * mixing.ALIKE_ROWS + 7
+    docs = spark.createDataFrame([(None, "same few words", "a", k) for k in range(n)] + [(k, f"one {k}", "b", k) for k in range(4000)], "doc_id long, text string, source string, nr int")
+    mixed = mix_sources(docs, block_rows=500)
+    rows = mixed.collect()
+    assert len(rows) == n + 4000 and sum(r["doc_id"] is None for r in rows) == n
+    own = [r for r in rows if r["source"] == "a"]
+    assert abs(sum(r["taken"] for r in own) - own[0]["target"]) <= 0.01 * own[0]["target"]
+    out = repeat_rows(docs, mixed).collect()
+    assert Counter(Counter(r["nr"] for r in out if r["doc_id"] is None).values()) == Counter(r["copies"] for r in rows if r["doc_id"] is None and r["copies"])
+    assert sorted(map(str, out)) == sorted(map(str, repeat_rows(docs.repartition(6), mix_sources(docs.repartition(3), block_rows=500)).collect()))
+
+
 def test_codec_takes_more_distinct_ids_than_two_bytes_hold():
     ids = np.random.default_rng(2).permutation(70_000).astype(np.uint32) * 7
     names, lengths, back = token_codec.unpack_segment(token_codec.pack_segment([1, None], np.array([30_000, 40_000]), ids))
