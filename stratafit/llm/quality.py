@@ -7,16 +7,18 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from stratafit.llm.common import frugal, small_batches
+from stratafit.llm.common import checkpointed, frugal, small_batches
 from stratafit.llm.language_id import fold
 from stratafit.llm.text_arrays import Chunk, text_chunks, word_hashes, words
 
 BITS = 18
 #: Labelled rows that fitting uses at most, those with the smallest hash of the id. The bound keeps the fit on one machine.
 FIT_ROWS = 6000
+#: Distinct n-gram buckets that those rows hold together at most, which bounds the fit's memory to about 400 MB however long the texts are.
+FIT_BUCKETS = 1 << 25
 EPOCHS = 15
 COST = 1.0
 SMOOTHING = 1.0
@@ -126,8 +128,9 @@ def _platt(margins: np.ndarray, labels: np.ndarray) -> tuple[float, float]:
     return max(a, 1e-6), b
 
 
-def fit(labelled: DataFrame, rows: int = FIT_ROWS) -> Model:
-    """Class log-count ratios and support vectors from at most rows rows of labelled (doc_id, text, quality 0 or 1)."""
+def fit(labelled: DataFrame, rows: int = FIT_ROWS, buckets: int = FIT_BUCKETS) -> Model:
+    """Class log-count ratios and support vectors from labelled (doc_id, text, quality 0 or 1): the first rows in the order of hashes of id and text, at most rows rows and
+    buckets n-gram buckets of them. Rows alike in id and text teach once."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -135,11 +138,20 @@ def fit(labelled: DataFrame, rows: int = FIT_ROWS) -> Model:
                 own = [x for _, x in indicators(chunk)]
                 lengths = np.concatenate([[0], np.cumsum([len(x) for x in own])])
                 flat = pa.ListArray.from_arrays(pa.array(lengths, pa.int32()), pa.array(np.concatenate(own).astype(np.int32)))
-                yield pa.RecordBatch.from_arrays([batch.column("doc_id").slice(chunk.first, chunk.n), batch.column("quality").slice(chunk.first, chunk.n), flat], names=["doc_id", "quality", "buckets"])
+                named = [batch.column(c).slice(chunk.first, chunk.n) for c in ("doc_id", "text_hash", "quality")]
+                yield pa.RecordBatch.from_arrays([*named, flat], names=["doc_id", "text_hash", "quality", "buckets"])
 
     small_batches(labelled.sparkSession)
-    table = labelled.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), F.col("quality").cast("int").alias("quality")).mapInArrow(frugal(run), "doc_id long, quality int, buckets array<int>").toArrow()
-    order = np.lexsort((table["quality"].to_numpy(), table["doc_id"].fill_null(-1).to_numpy()))
+    text = F.col("text").cast("string")
+    coded = labelled.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64(text).alias("text_hash"), F.col("quality").cast("int").alias("quality"), text.alias("text")).mapInArrow(
+        frugal(run), "doc_id long, text_hash long, quality int, buckets array<int>"
+    )
+    coded = checkpointed(coded.dropDuplicates(["doc_id", "text_hash"]).withColumn("rank", F.struct(F.xxhash64("doc_id").alias("h"), "doc_id", "text_hash")))
+    first = coded.select("rank", F.size("buckets").cast("long").alias("n")).orderBy("rank").limit(rows + 1)
+    so_far = Window.orderBy("rank").rowsBetween(Window.unboundedPreceding, 0)
+    beyond = first.select("rank", F.count(F.lit(1)).over(so_far).alias("r"), F.sum("n").over(so_far).alias("n")).filter((F.col("r") > rows) | (F.col("n") > buckets)).orderBy("rank").limit(1)
+    table = coded.join(F.broadcast(beyond.select(F.col("rank").alias("stop"))), F.col("rank") >= F.col("stop"), "left_anti").select("doc_id", "text_hash", "quality", "buckets").toArrow()
+    order = np.lexsort((table["text_hash"].to_numpy(), table["doc_id"].fill_null(-1).to_numpy()))
     labels = np.where(table["quality"].to_numpy() == 1, 1.0, -1.0)[order]
     flat = table["buckets"].combine_chunks()
     at, all_buckets = flat.offsets.to_numpy(), flat.values.to_numpy()
@@ -184,9 +196,10 @@ def score(docs: DataFrame, model: Model) -> DataFrame:
 def quality_of(docs: DataFrame, labels: DataFrame, rows: int = FIT_ROWS) -> DataFrame:
     """Fit on labelled documents that aren't held out, at most rows of them, and score every document.
 
-    Labels other than 0 and 1, and repeated labels of a document beyond the smallest, teach nothing. The chosen ids are at most rows, so they are broadcast.
+    Labels other than 0 and 1, and repeated labels of a document beyond the smallest, teach nothing. The chosen ids are at most rows, so they are broadcast; fit() bounds
+    the rows that have them, and their n-grams.
     A null text is an empty one; empty texts and those too short for an n-gram score by the bias alone. A null doc_id is scored, never held out and never taught. Rows that
-    repeat a doc_id are scored text by text, and each teaches. An empty table gives no rows; without labels of both classes the score is constant. Other columns are not read.
+    repeat a doc_id are scored text by text, and each text teaches once. An empty table gives no rows; without labels of both classes the score is constant. Other columns are not read.
     """
     usable = labels.filter("quality in (0, 1) and doc_id is not null").filter(fold("doc_id", 3) != 1).groupBy("doc_id").agg(F.min("quality").alias("quality"))
     chosen = usable.select(F.col("doc_id").alias("_id"), "quality").orderBy(F.xxhash64("_id"), "_id").limit(rows)

@@ -5,7 +5,7 @@ import numpy as np
 from pyspark.sql import functions as F
 
 from stratafit.llm.language_id import language_of, mixture
-from stratafit.llm.quality import dual_coordinate_descent, quality_of
+from stratafit.llm.quality import dual_coordinate_descent, fit, quality_of
 
 
 def test_mixture_finds_shares_and_drops_languages():
@@ -67,6 +67,19 @@ def test_quality_edges(spark):
     assert {r["predicted"] for r in quality_of(docs, labels.filter("quality = 1")).collect()} == {1}
 
 
+def test_the_fit_takes_rows_in_order_until_rows_or_buckets_are_full(spark):
+    rows = [(k, f"good fine {k}" if k % 2 else f"spam buy$$ {k}", k % 2) for k in range(40)]
+    labelled = spark.createDataFrame(rows, "doc_id long, text string, quality int")
+    order = [r[0] for r in labelled.orderBy(F.xxhash64("doc_id")).select("doc_id").collect()]
+    model = fit(labelled)
+    ten = labelled.filter(F.col("doc_id").isin(order[:10]))
+    assert np.array_equal(fit(labelled, rows=10).weights, fit(ten).weights) and not np.array_equal(fit(ten).weights, model.weights)
+    assert np.array_equal(fit(labelled.union(labelled).repartition(5)).weights, model.weights)
+    few = fit(labelled, buckets=100)
+    assert any(np.array_equal(few.weights, fit(labelled, rows=n).weights) for n in range(1, 10))
+    assert fit(labelled, buckets=0).bias == 0
+
+
 def test_dual_coordinate_descent_reaches_the_primal_optimum():
     rng = np.random.default_rng(4)
     x = rng.normal(size=(80, 5))
