@@ -2,7 +2,8 @@
 
 A block is coded on its own from a fresh state. Two predictors, of order 1 and 2, name the id that last followed the context; how often each was
 right at its present confidence, counted in both and added up, mixes them into one distribution over {order-2 id, order-1 id, other}.
-Other ids are coded by rank among the segment's ids: the rank's magnitude under adaptive order-0 counts, its low bits evenly. Blocks are lanes of
+Other ids are predicted at order 0, by rank among the segment's ids: each of the most frequent ids, and each quarter of an octave of the others, has a count
+of its own, which starts from the segment's shares (stored once) and adapts inside the block; where in its quarter a rank lies is coded evenly. Blocks are lanes of
 numpy arrays: one step codes one id of every block. A 32-bit carry-less range coder does the arithmetic.
 """
 
@@ -16,21 +17,38 @@ import numpy as np
 #: Ids in a block. Counts grow by GAIN a step and must stay below 2**16 in sum.
 BLOCK = 1024
 GAIN = 12
-MAGIC = b"TOKSEG01"
+MAGIC = b"TOKSEG02"
 _SLOTS = 1024
 _U = np.uint64
 _TOP, _BOTTOM, _MASK = _U(1 << 24), _U(1 << 16), _U(0xFFFFFFFF)
-#: Magnitudes of ranks up to 65535, and of all 32-bit ranks in a segment with more distinct ids.
-_MAGNITUDES, _WIDE = 17, 33
+#: Sum of the order-0 counts that a block starts from, beside the 1 that each span's count has at least.
+_PRIOR = 2048
+
+
+class _Spans:
+    """Spans of ranks: ranks 0 to 15 one by one, then quarters of octaves, up to 65535 or, with wide, to all 32-bit ranks."""
+
+    def __init__(self, wide: bool) -> None:
+        self.width = np.array([1] * 16 + [1 << (octave - 2) for octave in range(4, 32 if wide else 16) for _ in range(4)], np.int64)
+        self.base = self.width.cumsum() - self.width
+        self.n = len(self.width)
+
+    def of(self, ranks: np.ndarray) -> np.ndarray:
+        return (np.searchsorted(self.base, ranks, "right") - 1).astype(np.uint8)
+
+    def prior(self, ranks: np.ndarray) -> np.ndarray:
+        """Order-0 counts that every block of these ranks starts from."""
+        return (1 + np.bincount(self.of(ranks), minlength=self.n) * _PRIOR // max(1, len(ranks))).astype(np.uint16)
 
 
 class _Model:
-    def __init__(self, lanes: int, magnitudes: int) -> None:
+    def __init__(self, lanes: int, prior: np.ndarray) -> None:
         self.at = np.arange(lanes)
         self.guess = np.full((2, lanes * _SLOTS), -1, np.int32)
         self.trust = np.zeros((2, lanes * _SLOTS), np.int8)
         self.right = np.ones((2, lanes * 5, 3), np.int32)
-        self.size = np.ones((lanes, magnitudes), np.int32)
+        self.ends = np.tile(prior.cumsum().astype(np.uint16), (lanes, 1))
+        self.gains = np.vstack([np.triu(np.full((len(prior), len(prior)), GAIN, np.uint16)), np.zeros((1, len(prior)), np.uint16)])
         self.last, self.before = np.zeros(lanes, np.int64), np.zeros(lanes, np.int64)
 
     def predict(self) -> None:
@@ -42,7 +60,14 @@ class _Model:
         self.row = [self.at * 5 + self.sure[k] for k in (0, 1)]
         self.weights = self.right[0][self.row[0]] + self.right[1][self.row[1]]
 
-    def update(self, ids: np.ndarray, outcome: np.ndarray) -> None:
+    def span(self, span: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Where the span's order-0 counts start, and how many they are."""
+        end = self.ends[self.at, span].astype(np.int64)
+        start = np.where(span > 0, self.ends[self.at, np.maximum(span, 1) - 1], 0).astype(np.int64)
+        return start, end - start
+
+    def update(self, ids: np.ndarray, outcome: np.ndarray, span: np.ndarray, literal: np.ndarray) -> None:
+        self.ends += self.gains[np.where(literal, span, len(self.gains) - 1)]
         for k in (0, 1):
             self.right[k][self.row[k], outcome] += GAIN
             same = self.ids[k] == ids
@@ -121,10 +146,12 @@ def _blocks(ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return padded.reshape(lanes, BLOCK), np.minimum(BLOCK, np.maximum(0, len(ids) - np.arange(lanes) * BLOCK))
 
 
-def encode_blocks(ranks: np.ndarray, wide: bool = False) -> list[bytes]:
-    """One payload for each BLOCK values of ranks: 0 to 65535, or with wide any 32-bit ones, whose bits above 16 are a step of their own."""
+def encode_blocks(ranks: np.ndarray, wide: bool = False, prior: np.ndarray | None = None) -> list[bytes]:
+    """One payload for each BLOCK values of ranks: 0 to 65535, or with wide any 32-bit ones, whose bits above 16 are a step of their own. Order 0 starts from prior, else from equal counts."""
     lanes, lengths = _blocks(ranks)
-    model, coder = _Model(len(lanes), _WIDE if wide else _MAGNITUDES), _Encoder(len(lanes))
+    spans = _Spans(wide)
+    every = spans.of(lanes)
+    model, coder = _Model(len(lanes), np.ones(spans.n, np.uint16) if prior is None else prior), _Encoder(len(lanes))
     one, none = np.ones(len(lanes), np.int64), np.zeros(len(lanes), np.int64)
     for t in range(int(lengths.max(initial=0))):
         live, ids = lengths > t, lanes[:, t]
@@ -134,25 +161,24 @@ def encode_blocks(ranks: np.ndarray, wide: bool = False) -> list[bytes]:
         size = model.weights[model.at, outcome]
         coder.step(np.where(live, ends[model.at, outcome] - size, none), np.where(live, size, one), np.where(live, ends[:, 2], one))
         literal = live & (outcome == 2)
-        magnitude = np.frexp((ids + 1).astype(np.float64))[1] - 1
-        ends = model.size.cumsum(axis=1)
-        size = model.size[model.at, magnitude]
-        coder.step(np.where(literal, ends[model.at, magnitude] - size, none), np.where(literal, size, one), np.where(literal, ends[:, -1], one))
-        width = np.where(literal, np.left_shift(1, magnitude), one)
-        low = np.where(literal, ids + 1 - width, none)
+        span = every[:, t].astype(np.int64)
+        start, size = model.span(span)
+        coder.step(np.where(literal, start, none), np.where(literal, size, one), np.where(literal, model.ends[:, -1], one))
+        width = np.where(literal, spans.width[span], one)
+        low = np.where(literal, ids - spans.base[span], none)
         if wide:
             coder.step(low >> 16, one, np.maximum(width >> 16, one))
             low, width = low & 0xFFFF, np.minimum(width, 1 << 16)
         coder.step(low, one, width)
-        model.size[model.at[literal], magnitude[literal]] += GAIN
-        model.update(ids, outcome)
+        model.update(ids, outcome, span, literal)
     return coder.finish()
 
 
-def decode_blocks(payloads: list[bytes], count: int, wide: bool = False) -> np.ndarray:
+def decode_blocks(payloads: list[bytes], count: int, wide: bool = False, prior: np.ndarray | None = None) -> np.ndarray:
     """The count values that encode_blocks was given."""
     lanes, lengths = _blocks(np.zeros(count, np.int64))
-    model, coder = _Model(len(lanes), _WIDE if wide else _MAGNITUDES), _Decoder(payloads)
+    spans = _Spans(wide)
+    model, coder = _Model(len(lanes), np.ones(spans.n, np.uint16) if prior is None else prior), _Decoder(payloads)
     one, none = np.ones(len(lanes), np.int64), np.zeros(len(lanes), np.int64)
     for t in range(int(lengths.max(initial=0))):
         live = lengths > t
@@ -164,12 +190,11 @@ def decode_blocks(payloads: list[bytes], count: int, wide: bool = False) -> np.n
         size = model.weights[model.at, outcome]
         coder.step(np.where(live, ends[model.at, outcome] - size, none), np.where(live, size, one))
         literal = live & (outcome == 2)
-        ends = model.size.cumsum(axis=1)
-        target = coder.target(np.where(literal, ends[:, -1], one))
-        magnitude = np.where(literal, (target[:, None] >= ends).sum(axis=1), 0)
-        size = model.size[model.at, magnitude]
-        coder.step(np.where(literal, ends[model.at, magnitude] - size, none), np.where(literal, size, one))
-        width = np.where(literal, np.left_shift(1, magnitude), one)
+        target = coder.target(np.where(literal, model.ends[:, -1], one))
+        span = np.count_nonzero(model.ends <= target.astype(np.uint16)[:, None], axis=1)
+        start, size = model.span(span)
+        coder.step(np.where(literal, start, none), np.where(literal, size, one))
+        width = np.where(literal, spans.width[span], one)
         high = none
         if wide:
             high = coder.target(np.maximum(width >> 16, one))
@@ -177,11 +202,10 @@ def decode_blocks(payloads: list[bytes], count: int, wide: bool = False) -> np.n
         low = coder.target(np.minimum(width, 1 << 16))
         coder.step(np.where(literal, low, none), one)
         low = low + (high << 16)
-        ids = np.where(outcome == 0, model.ids[0], np.where(outcome == 1, model.ids[1], low + width - 1))
+        ids = np.where(outcome == 0, model.ids[0], np.where(outcome == 1, model.ids[1], spans.base[span] + low))
         ids = np.where(live, ids, 0)
-        model.size[model.at[literal], magnitude[literal]] += GAIN
         lanes[:, t] = ids
-        model.update(ids, outcome)
+        model.update(ids, outcome, span, literal)
     return lanes.reshape(-1)[:count]
 
 
@@ -189,18 +213,20 @@ def pack_segment(doc_ids: list[int | None], lengths: np.ndarray, ids: np.ndarray
     """A self-contained segment of whole documents.
 
     MAGIC, then little-endian: documents n, ids, distinct ids, blocks (4 x u32); n signed 64-bit doc ids; n bytes that are 1 for a null
-    doc id; n u32 lengths; the distinct ids, most frequent first (u32 each); for each block the size of its payload and the crc32 of its ids as u32 (2 x u32);
+    doc id; n u32 lengths; the distinct ids, most frequent first (u32 each); the order-0 counts that blocks start from (u16 each); for each block the size of its payload and the crc32 of its ids as u32 (2 x u32);
     the payloads; last the crc32 of all before.
     """
     used, inverse, counts = np.unique(ids, return_inverse=True, return_counts=True)
     order = np.argsort(-counts, kind="stable")
     rank = np.empty(len(used), np.int64)
     rank[order] = np.arange(len(used))
-    payloads = encode_blocks(rank[inverse], len(used) > 65535) if len(ids) else []
+    wide, ranks = len(used) > 65535, rank[inverse]
+    prior = _Spans(wide).prior(ranks)
+    payloads = encode_blocks(ranks, wide, prior) if len(ids) else []
     raw = ids.astype("<u4")
     table = np.array([(len(p), zlib.crc32(raw[i * BLOCK : (i + 1) * BLOCK].tobytes())) for i, p in enumerate(payloads)], "<u4")
     body = b"".join(
-        [MAGIC, struct.pack("<4I", len(doc_ids), len(ids), len(used), len(payloads)), np.array([d or 0 for d in doc_ids], "<i8").tobytes(), bytes(d is None for d in doc_ids), lengths.astype("<u4").tobytes(), used[order].astype("<u4").tobytes(), table.tobytes(), *payloads]
+        [MAGIC, struct.pack("<4I", len(doc_ids), len(ids), len(used), len(payloads)), np.array([d or 0 for d in doc_ids], "<i8").tobytes(), bytes(d is None for d in doc_ids), lengths.astype("<u4").tobytes(), used[order].astype("<u4").tobytes(), prior.astype("<u2").tobytes(), table.tobytes(), *payloads]
     )
     return body + struct.pack("<I", zlib.crc32(body))
 
@@ -215,13 +241,15 @@ def unpack_segment(data: bytes) -> tuple[list[int | None], np.ndarray, np.ndarra
     nulls = np.frombuffer(data, np.uint8, n, at := at + 8 * n)
     lengths = np.frombuffer(data, "<u4", n, at := at + n)
     used = np.frombuffer(data, "<u4", distinct, at := at + 4 * n)
-    table = np.frombuffer(data, "<u4", 2 * blocks, at := at + 4 * distinct).reshape(blocks, 2)
+    wide = distinct > 65535
+    prior = np.frombuffer(data, "<u2", _Spans(wide).n, at := at + 4 * distinct)
+    table = np.frombuffer(data, "<u4", 2 * blocks, at := at + prior.nbytes).reshape(blocks, 2)
     at += 8 * blocks
     payloads = []
     for size in table[:, 0].tolist():
         payloads.append(data[at : at + size])
         at += size
-    ids = used[decode_blocks(payloads, total, distinct > 65535)] if total else np.zeros(0, "<u4")
+    ids = used[decode_blocks(payloads, total, wide, prior)] if total else np.zeros(0, "<u4")
     for i in range(blocks):
         if zlib.crc32(ids[i * BLOCK : (i + 1) * BLOCK].astype("<u4").tobytes()) != int(table[i, 1]):
             raise ValueError(f"block {i} does not match its checksum")

@@ -185,6 +185,26 @@ def test_codec_uses_context():
     assert len(b"".join(token_codec.encode_blocks(pattern))) < 0.25 * len(b"".join(token_codec.encode_blocks(noise)))
 
 
+def test_order_zero_predicts_ids():
+    """Independent ids cost about their entropy: frequent ids have counts of their own, and blocks start from the segment's shares."""
+    share = 1 / np.arange(1, 3001) ** 1.3
+    share /= share.sum()
+    ids = np.random.default_rng(3).choice(3000, 60_000, p=share).astype(np.uint32) * 17
+    data = token_codec.pack_segment([1], np.array([len(ids)]), ids)
+    table = 4 * len(np.unique(ids))
+    assert np.array_equal(token_codec.unpack_segment(data)[2], ids)
+    assert 8 * (len(data) - table) < 1.08 * len(ids) * -(share * np.log2(share)).sum()
+
+
+def test_spans_cover_all_ranks():
+    for wide, end in ((False, 1 << 16), (True, 1 << 32)):
+        spans = token_codec._Spans(wide)
+        assert spans.base[0] == 0 and (spans.base[1:] == (spans.base + spans.width)[:-1]).all() and spans.base[-1] + spans.width[-1] == end
+        ranks = np.unique(np.concatenate([spans.base, spans.base + spans.width - 1]))
+        at = spans.of(ranks)
+        assert ((ranks >= spans.base[at]) & (ranks < spans.base[at] + spans.width[at])).all()
+
+
 def test_tokens_round_trip_against_the_tokenizer(spark, sf):
     import public_tokenizers
     from tokenizers import Tokenizer
