@@ -383,3 +383,42 @@ def test_first_hits_on_the_toy(spark, sf):
     got = {(r["method"], r["epsilon"]): r for r in V.toy_first_hits(spark, sf, (1.0, 0.5), 4000, 2).collect()}
     assert all(got[m, 1.0]["grad_evals"] <= got[m, 0.5]["grad_evals"] for m, e in got if e == 0.5)
     assert got["anchored_stratified", 1.0]["runs"] == 2
+
+
+def test_large_datasets_write_places_and_points_but_no_examples(spark, sf):
+    from pathlib import Path
+
+    from pyspark.sql import functions as F
+
+    from stratafit.operators import series
+    from stratafit.plans import workload_queries as V
+
+    folder = Path(spark.sparkContext.getCheckpointDir().removeprefix("file:"))
+    size = lambda: sum(f.stat().st_size for f in folder.rglob("*") if f.is_file())
+    before = size()
+    data = V.dataset(spark, sf, "suppliers", 0)
+    points = series.scaled_by_mean(series.daily_by_supplier(spark, sf)).checkpoint()
+    whole = {(tuple(r["context"]), tuple(r["target"])) for r in series.segments(points, 72, 24).collect()}
+    assert data.arrays is None and size() - before < len(whole) * 96 * 8
+    train, test = ([(tuple(r["context"]), tuple(r["target"])) for r in x.collect()] for x in (data.train, data.test))
+    assert len(train) + len(test) == len(whole) and set(train) | set(test) == whole and train and test
+    # Places give the values of the same examples, in order of series and tick.
+    placed = [(tuple(r["context"]), tuple(r["target"])) for r in data.segments(data.index, True).orderBy("gpos").collect()]
+    assert set(placed) == set(train) and len(placed) == len(train) == data.strata.agg(F.sum("n")).first()[0]
+    ticks = points.select("series_id", "t", F.row_number().over(series.in_order()).alias("i")).filter("i >= 72")
+    last = points.agg(F.max("t")).first()[0]
+    known = ticks.filter(F.col("t") + 24 < int(0.8 * last)).join(data.index.select("series_id", (F.col("t0") + 1).cast("int").alias("i")), ["series_id", "i"], "full")
+    assert known.filter("t is null or i is null").count() == 0
+
+
+def test_chunks_of_many_cuts_hold_each_example_once(spark, monkeypatch):
+    from stratafit.operators import series
+    from stratafit.plans import workload_queries as V
+
+    monkeypatch.setattr(V, "CHUNK", 7)
+    points = spark.createDataFrame([(s, t * 3, float(t + at)) for s, n, at in (("a", 60, 0), ("b", 9, 100), ("c", 8, 200)) for t in range(n)], "series_id string, t long, z double")
+    data = V.split_dataset(points, strata.PerSeries(), 5, 3, 80)
+    whole = {(tuple(r["context"]), tuple(r["target"])): r["t0"] + 3 < 80 for r in series.segments(points, 5, 3).collect()}
+    for found, own in ((data.train, True), (data.test, False), (data.segments(data.index, False), True)):
+        rows = [(tuple(r["context"]), tuple(r["target"])) for r in found.collect()]
+        assert sorted(rows) == sorted(k for k, v in whole.items() if v == own)
