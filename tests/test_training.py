@@ -422,3 +422,22 @@ def test_chunks_of_many_cuts_hold_each_example_once(spark, monkeypatch):
     for found, own in ((data.train, True), (data.test, False), (data.segments(data.index, False), True)):
         rows = [(tuple(r["context"]), tuple(r["target"])) for r in found.collect()]
         assert sorted(rows) == sorted(k for k, v in whole.items() if v == own)
+
+
+@pytest.fixture(scope="module")
+def fewer(spark, sf, tmp_path_factory):
+    """The tables with two of three events and orders."""
+    folder = tmp_path_factory.mktemp("fewer")
+    for name, key in (("events", "event_id"), ("orders", "o_orderkey")):
+        spark.read.parquet(f"{sf}/{name}.parquet").filter(f"{key} % 3 > 0").write.parquet(f"{folder}/{name}.parquet")
+    return str(folder)
+
+
+@pytest.mark.parametrize("name", [
+    "counterexample_variance",
+])
+def test_results_follow_the_tables(spark, sf, fewer, name):
+    from stratafit.plans import catalogue
+
+    query = catalogue.queries()[name]
+    assert sorted(map(tuple, query(spark, sf).collect())) != sorted(map(tuple, query(spark, fewer).collect()))
