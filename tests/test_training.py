@@ -435,6 +435,7 @@ def fewer(spark, sf, tmp_path_factory):
 
 @pytest.mark.parametrize("name", [
     "counterexample_variance",
+    "sampler_variance",
     "geometric_lengths",
 ])
 def test_results_follow_the_tables(spark, sf, fewer, name):
