@@ -435,6 +435,7 @@ def fewer(spark, sf, tmp_path_factory):
 
 @pytest.mark.parametrize("name", [
     "counterexample_variance",
+    "toy_variance_wrong_step",
     "toy_variance",
     "sampler_variance",
     "geometric_lengths",
