@@ -445,3 +445,12 @@ def test_results_follow_the_tables(spark, sf, fewer, name):
 
     query = catalogue.queries()[name]
     assert sorted(map(tuple, query(spark, sf).collect())) != sorted(map(tuple, query(spark, fewer).collect()))
+
+
+@pytest.mark.parametrize("name", ["event_families"])
+def test_arrays_of_workloads_follow_the_events(spark, sf, fewer, name):
+    from stratafit.plans import workload_queries as V
+
+    make = {"event_families": lambda d: V.event_families(spark, d).arrays["x"], "family_vectors": lambda d: V.family_vectors(spark, d)["x"], "_toy_arrays": lambda d: V._toy_arrays(spark, d)[0]}[name]
+    here, there = make(sf), make(fewer)
+    assert np.isfinite(here).all() and (here.shape != there.shape or np.abs(here - there).max() > 1e-6)
