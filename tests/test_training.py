@@ -363,7 +363,7 @@ def test_workloads_behave_alike_on_arrays_and_by_jobs(spark, sf):
 def test_curves_keep_the_best_step_sizes_with_test_loss_and_time(spark, sf):
     from stratafit.plans import workload_queries as V
 
-    curves = V.training_curves(spark, V.family_vectors(spark), "var_mse", ("sgd", "anchored_stratified"), {"sgd": 2}, 200, 4).toPandas()
+    curves = V.training_curves(spark, V.family_vectors(spark, sf), "var_mse", ("sgd", "anchored_stratified"), {"sgd": 2}, 200, 4).toPandas()
     assert curves.groupby("method")["lr"].nunique().to_dict() == {"sgd": 2, "anchored_stratified": 1}
     for _, c in curves.sort_values("update").groupby(["method", "lr"]):
         assert c["train_loss"].iloc[-1] < c["train_loss"].iloc[0] and c["test_loss"].notna().all() and c["seconds"].is_monotonic_increasing and c["grad_evals"].iloc[-1] >= 200
@@ -447,7 +447,7 @@ def test_results_follow_the_tables(spark, sf, fewer, name):
     assert sorted(map(tuple, query(spark, sf).collect())) != sorted(map(tuple, query(spark, fewer).collect()))
 
 
-@pytest.mark.parametrize("name", ["event_families"])
+@pytest.mark.parametrize("name", ["event_families", "family_vectors"])
 def test_arrays_of_workloads_follow_the_events(spark, sf, fewer, name):
     from stratafit.plans import workload_queries as V
 
