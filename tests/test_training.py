@@ -447,7 +447,7 @@ def test_results_follow_the_tables(spark, sf, fewer, name):
     assert sorted(map(tuple, query(spark, sf).collect())) != sorted(map(tuple, query(spark, fewer).collect()))
 
 
-@pytest.mark.parametrize("name", ["event_families", "family_vectors"])
+@pytest.mark.parametrize("name", ["event_families", "family_vectors", "_toy_arrays"])
 def test_arrays_of_workloads_follow_the_events(spark, sf, fewer, name):
     from stratafit.plans import workload_queries as V
 
