@@ -454,3 +454,10 @@ def test_arrays_of_workloads_follow_the_events(spark, sf, fewer, name):
     make = {"event_families": lambda d: V.event_families(spark, d).arrays["x"], "family_vectors": lambda d: V.family_vectors(spark, d)["x"], "_toy_arrays": lambda d: V._toy_arrays(spark, d)[0]}[name]
     here, there = make(sf), make(fewer)
     assert np.isfinite(here).all() and (here.shape != there.shape or np.abs(here - there).max() > 1e-6)
+
+
+def test_stationarity_and_spread_follow_the_events(spark, sf, fewer):
+    from stratafit.plans import workload_queries as V
+
+    for make in (lambda d: V.toy_stationarity(spark, d, (0.01,), 400, 1), lambda d: V.variance_along_training(spark, d, 1)):
+        assert sorted(map(tuple, make(sf).collect())) != sorted(map(tuple, make(fewer).collect()))
