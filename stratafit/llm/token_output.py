@@ -20,6 +20,7 @@ END_ID = 2
 #: Ids in a segment, about: whole documents, as many blocks side by side as this holds.
 SEGMENT_IDS = 1_000_000
 _DOCS = 32
+_DIGESTS = "doc_id long, start long, n_tokens long, ids_crc32 long"
 
 
 def write_tokens(docs: DataFrame, path: str, tokenizer: str, end_id: int = END_ID, segment_ids: int = SEGMENT_IDS) -> None:
@@ -73,23 +74,49 @@ def read_tokens(spark: SparkSession, path: str) -> DataFrame:
 
     Segments know their start within their part; parts are as many as the writing tasks, which bounds their broadcast. Checksums are verified.
     """
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for names, starts, lengths, ids in _documents(batches):
+            flat = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(lengths)]), pa.int32()), pa.array(ids.astype(np.int32)))
+            yield pa.RecordBatch.from_arrays([pa.array(names, pa.int64()), pa.array(starts), pa.array(lengths), flat], names=["doc_id", "start", "n_tokens", "ids"])
+
+    return _placed(spark, path).mapInArrow(frugal(run), "doc_id long, start long, n_tokens long, ids array<int>")
+
+
+def read_digests(spark: SparkSession, path: str) -> DataFrame:
+    """token_digests of read_tokens, by the Python workers that read: one for each task, and no ids between two of them."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for names, starts, lengths, ids in _documents(batches):
+            yield _digests(pa.array(names, pa.int64()), pa.array(starts), pa.array(lengths), np.concatenate([[0], np.cumsum(lengths)]), ids)
+
+    return _placed(spark, path).mapInArrow(frugal(run), _DIGESTS)
+
+
+def _placed(spark: SparkSession, path: str) -> DataFrame:
+    """start among all ids and segment of each segment under path."""
     segments = spark.read.parquet(path)
     before = W.Window.orderBy("part").rowsBetween(W.Window.unboundedPreceding, -1)
     parts = segments.groupBy("part").agg(F.sum("n_ids").alias("n")).select("part", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("base"))
-    placed = segments.join(F.broadcast(parts), "part").select((F.col("start") + F.col("base")).alias("start"), "segment")
+    return segments.join(F.broadcast(parts), "part").select((F.col("start") + F.col("base")).alias("start"), "segment")
+
+
+def _documents(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[list[int | None], np.ndarray, np.ndarray, np.ndarray]]:
+    """doc ids, starts, lengths and ids of some documents at a time."""
+    for batch in batches:
+        for base, data in zip(batch.column("start").to_pylist(), batch.column("segment"), strict=True):
+            names, lengths, ids = unpack_segment(data.as_py())
+            ends = np.cumsum(lengths)
+            for i in range(0, len(names), _DOCS):
+                own = lengths[i : i + _DOCS]
+                lo, hi = int(ends[i] - lengths[i]), int(ends[min(i + _DOCS, len(names)) - 1])
+                yield names[i : i + _DOCS], base + ends[i : i + _DOCS] - own, own, ids[lo:hi]
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for base, data in zip(batch.column("start").to_pylist(), batch.column("segment"), strict=True):
-                names, lengths, ids = unpack_segment(data.as_py())
-                ends = np.cumsum(lengths)
-                for i in range(0, len(names), _DOCS):
-                    own = lengths[i : i + _DOCS]
-                    lo, hi = int(ends[i] - lengths[i]), int(ends[min(i + _DOCS, len(names)) - 1])
-                    flat = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(own)]), pa.int32()), pa.array(ids[lo:hi].astype(np.int32)))
-                    yield pa.RecordBatch.from_arrays([pa.array(names[i : i + _DOCS], pa.int64()), pa.array(base + ends[i : i + _DOCS] - own), pa.array(own), flat], names=["doc_id", "start", "n_tokens", "ids"])
 
-    return placed.mapInArrow(frugal(run), "doc_id long, start long, n_tokens long, ids array<int>")
+def _digests(names: pa.Array, starts: pa.Array, lengths: pa.Array, offsets: np.ndarray, ids: np.ndarray) -> pa.RecordBatch:
+    at, flat = offsets.tolist(), ids.astype("<u4")
+    crc = [zlib.crc32(flat[i:j].tobytes()) for i, j in zip(at[:-1], at[1:], strict=True)]
+    return pa.RecordBatch.from_arrays([names, starts, lengths, pa.array(crc, pa.int64())], names=["doc_id", "start", "n_tokens", "ids_crc32"])
 
 
 def token_digests(tokens: DataFrame) -> DataFrame:
@@ -98,11 +125,9 @@ def token_digests(tokens: DataFrame) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             ids = batch.column("ids")
-            at, flat = ids.offsets.to_numpy().tolist(), ids.values.to_numpy().astype("<u4")
-            crc = [zlib.crc32(flat[i:j].tobytes()) for i, j in zip(at[:-1], at[1:], strict=True)]
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("start"), batch.column("n_tokens"), pa.array(crc, pa.int64())], names=["doc_id", "start", "n_tokens", "ids_crc32"])
+            yield _digests(batch.column("doc_id"), batch.column("start"), batch.column("n_tokens"), ids.offsets.to_numpy(), ids.values.to_numpy())
 
-    return tokens.mapInArrow(frugal(run), "doc_id long, start long, n_tokens long, ids_crc32 long")
+    return tokens.mapInArrow(frugal(run), _DIGESTS)
 
 
 def tokens_round_trip(docs: DataFrame, tokenizer: str, path: str | None = None) -> DataFrame:
@@ -115,4 +140,4 @@ def tokens_round_trip(docs: DataFrame, tokenizer: str, path: str | None = None)
     small_batches(spark)
     path = path or f"{shared_folder(spark).rstrip('/')}/tokens-{uuid.uuid4().hex}"
     write_tokens(docs, path, tokenizer)
-    return token_digests(read_tokens(spark, path))
+    return read_digests(spark, path)
