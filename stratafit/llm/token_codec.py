@@ -19,8 +19,8 @@ BLOCK = 1024
 GAIN = 12
 MAGIC = b"TOKSEG02"
 _SLOTS = 1024
-_U = np.uint64
-_TOP, _BOTTOM, _MASK = _U(1 << 24), _U(1 << 16), _U(0xFFFFFFFF)
+_U = np.uint32
+_TOP, _BOTTOM, _MASK, _EIGHT = _U(1 << 24), _U(1 << 16), _U(0xFFFFFFFF), _U(8)
 #: Sum of the order-0 counts that a block starts from, beside the 1 that each span's count has at least.
 _PRIOR = 2048
 
@@ -32,10 +32,14 @@ class _Spans:
         self.width = np.array([1] * 16 + [1 << (octave - 2) for octave in range(4, 32 if wide else 16) for _ in range(4)], np.int64)
         self.base = self.width.cumsum() - self.width
         self.n = len(self.width)
+        self.low = self._search(np.arange(1 << 16))
 
-    def of(self, ranks: np.ndarray) -> np.ndarray:
+    def _search(self, ranks: np.ndarray) -> np.ndarray:
         return (np.searchsorted(self.base, ranks, "right") - 1).astype(np.uint8)
 
+    def of(self, ranks: np.ndarray) -> np.ndarray:
+        return self.low[ranks] if int(ranks.max(initial=0)) < 1 << 16 else self._search(ranks)
+
     def prior(self, ranks: np.ndarray) -> np.ndarray:
         """Order-0 counts that every block of these ranks starts from."""
         return (1 + np.bincount(self.of(ranks), minlength=self.n) * _PRIOR // max(1, len(ranks))).astype(np.uint16)
@@ -44,66 +48,92 @@ class _Spans:
 class _Model:
     def __init__(self, lanes: int, prior: np.ndarray) -> None:
         self.at = np.arange(lanes)
+        self.slots, self.rows = self.at * _SLOTS, self.at * 5
         self.guess = np.full((2, lanes * _SLOTS), -1, np.int32)
         self.trust = np.zeros((2, lanes * _SLOTS), np.int8)
-        self.right = np.ones((2, lanes * 5, 3), np.int32)
+        self.right = np.ones((2, lanes * 5, 3), np.uint32)
+        self.spans = len(prior)
         self.ends = np.tile(prior.cumsum().astype(np.uint16), (lanes, 1))
         self.gains = np.vstack([np.triu(np.full((len(prior), len(prior)), GAIN, np.uint16)), np.zeros((1, len(prior)), np.uint16)])
-        self.last, self.before = np.zeros(lanes, np.int64), np.zeros(lanes, np.int64)
+        self.last, self.before = np.zeros(lanes, np.uint32), np.zeros(lanes, np.uint32)
 
     def predict(self) -> None:
-        one = (self.last * 2654435761 >> 7) & (_SLOTS - 1)
-        two = ((self.last * 2654435761 + self.before * 40503 * 65537) >> 9) & (_SLOTS - 1)
-        self.slot = (self.at * _SLOTS + two, self.at * _SLOTS + one)
-        self.ids = [self.guess[k][self.slot[k]] for k in (0, 1)]
-        self.sure = [self.trust[k][self.slot[k]] for k in (0, 1)]
-        self.row = [self.at * 5 + self.sure[k] for k in (0, 1)]
-        self.weights = self.right[0][self.row[0]] + self.right[1][self.row[1]]
-
-    def span(self, span: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Where the span's order-0 counts start, and how many they are."""
-        end = self.ends[self.at, span].astype(np.int64)
-        start = np.where(span > 0, self.ends[self.at, np.maximum(span, 1) - 1], 0).astype(np.int64)
-        return start, end - start
-
-    def update(self, ids: np.ndarray, outcome: np.ndarray, span: np.ndarray, literal: np.ndarray) -> None:
-        self.ends += self.gains[np.where(literal, span, len(self.gains) - 1)]
+        """ids and trust of both predictors, and where the counts of the three outcomes end."""
+        last = self.last * _U(2654435761)
+        self.slot = (self.slots + ((last + self.before * _U(40503 * 65537)) >> 9 & (_SLOTS - 1)), self.slots + (last >> 7 & (_SLOTS - 1)))
+        self.ids = [self.guess[k].take(self.slot[k]) for k in (0, 1)]
+        self.sure = [self.trust[k].take(self.slot[k]) for k in (0, 1)]
+        self.row = [self.rows + self.sure[k] for k in (0, 1)]
+        weights = self.right[0].take(self.row[0], axis=0) + self.right[1].take(self.row[1], axis=0)
+        self.first = weights[:, 0].copy()
+        self.second = self.first + weights[:, 1]
+        self.total = self.second + weights[:, 2]
+
+    def outcome(self, outcome: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Where the outcome's counts start, and how many they are."""
+        start = np.where(outcome == 0, _U(0), np.where(outcome == 1, self.first, self.second))
+        return start, np.where(outcome == 0, self.first, np.where(outcome == 1, self.second, self.total)) - start
+
+    def span(self, lanes: np.ndarray, span: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Where the span's order-0 counts start in these lanes, and how many they are."""
+        flat, place = self.ends.reshape(-1), lanes * self.spans + span
+        start = np.where(span > 0, flat.take(np.maximum(place - 1, 0)), 0).astype(_U)
+        return start, flat.take(place) - start
+
+    def update(self, ids: np.ndarray, outcome: np.ndarray, span: np.ndarray) -> None:
+        """span: of the lanes with outcome 2; of the others their number, for which no count grows."""
+        self.ends += self.gains.take(span, axis=0)
         for k in (0, 1):
-            self.right[k][self.row[k], outcome] += GAIN
-            same = self.ids[k] == ids
-            self.trust[k][self.slot[k]] = np.where(same, np.minimum(self.sure[k] + 1, 4), 1)
+            self.right[k].reshape(-1)[self.row[k] * 3 + outcome] += _U(GAIN)
+            self.trust[k][self.slot[k]] = np.where(self.ids[k] == ids, np.minimum(self.sure[k] + 1, 4), 1)
             self.guess[k][self.slot[k]] = ids
-        self.before, self.last = self.last, ids.astype(np.int64)
+        self.before, self.last = self.last, ids.astype(_U)
+
+
+def _ready(low: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """Whose first byte is settled, or whose range is too small."""
+    return ((low ^ (low + size)) < _TOP) | (size < _BOTTOM)
+
+
+def _cut(low: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """The ranges of those that are ready, cut where the first byte is not settled."""
+    return np.where((low ^ (low + size)) < _TOP, size, (~low + _U(1)) & (_BOTTOM - _U(1)))
 
 
 class _Encoder:
     def __init__(self, lanes: int) -> None:
         self.low, self.range = np.zeros(lanes, _U), np.full(lanes, _MASK)
         self.out = np.zeros((lanes, BLOCK * 6 + 16), np.uint8)
-        self.pos = np.zeros(lanes, np.int64)
-
-    def step(self, start: np.ndarray, size: np.ndarray, total: np.ndarray) -> None:
-        part = self.range // total.astype(_U)
-        self.low += start.astype(_U) * part
-        self.range = size.astype(_U) * part
-        while True:
-            same = (self.low ^ (self.low + self.range)) < _TOP
-            small = self.range < _BOTTOM
-            go = np.flatnonzero(same | small)
-            if not len(go):
-                return
-            low, rng = self.low[go], self.range[go]
-            rng = np.where(same[go], rng, (~low + _U(1)) & (_BOTTOM - _U(1)))
-            self.out[go, self.pos[go]] = (low >> _U(24)).astype(np.uint8)
-            self.pos[go] += 1
-            self.low[go], self.range[go] = (low << _U(8)) & _MASK, (rng << _U(8)) & _MASK
+        self.pos = np.arange(lanes) * self.out.shape[1]
+
+    def step(self, start: np.ndarray, size: np.ndarray, total: np.ndarray, lanes: np.ndarray | None = None) -> None:
+        """Narrow the ranges of lanes, all if not given, to size after start of total."""
+        low, rng = (self.low, self.range) if lanes is None else (self.low.take(lanes), self.range.take(lanes))
+        part = rng // total
+        low = low + start * part
+        rng = size * part
+        go, out = np.flatnonzero(_ready(low, rng)), self.out.reshape(-1)
+        while len(go):
+            some, cut = low.take(go), rng.take(go)
+            cut = _cut(some, cut) << _EIGHT
+            who = go if lanes is None else lanes.take(go)
+            place = self.pos.take(who)
+            out[place] = some >> _U(24)
+            self.pos[who] = place + 1
+            some = some << _EIGHT
+            low[go], rng[go] = some, cut
+            go = go[_ready(some, cut)]
+        if lanes is None:
+            self.low, self.range = low, rng
+        else:
+            self.low[lanes], self.range[lanes] = low, rng
 
     def finish(self) -> list[bytes]:
         for _ in range(4):
-            self.out[np.arange(len(self.pos)), self.pos] = (self.low >> _U(24)).astype(np.uint8)
+            self.out.reshape(-1)[self.pos] = self.low >> _U(24)
             self.pos += 1
-            self.low = (self.low << _U(8)) & _MASK
-        return [self.out[i, :n].tobytes() for i, n in enumerate(self.pos.tolist())]
+            self.low = self.low << _EIGHT
+        return [self.out[i, :n].tobytes() for i, n in enumerate((self.pos - np.arange(len(self.pos)) * self.out.shape[1]).tolist())]
 
 
 class _Decoder:
@@ -112,101 +142,107 @@ class _Decoder:
         self.data = np.zeros((lanes, max(map(len, payloads)) + 8), np.uint8)
         for i, p in enumerate(payloads):
             self.data[i, : len(p)] = np.frombuffer(p, np.uint8)
-        self.lanes = np.arange(lanes)
         self.low, self.range, self.code = np.zeros(lanes, _U), np.full(lanes, _MASK), np.zeros(lanes, _U)
         for k in range(4):
-            self.code = (self.code << _U(8)) | self.data[:, k].astype(_U)
-        self.pos = np.full(lanes, 4)
-
-    def target(self, total: np.ndarray) -> np.ndarray:
-        """Where in 0 .. total - 1 the code points; step() must follow."""
-        self.part = self.range // total.astype(_U)
-        return np.minimum(((self.code - self.low) & _MASK) // self.part, total.astype(_U) - _U(1)).astype(np.int64)
-
-    def step(self, start: np.ndarray, size: np.ndarray) -> None:
-        self.low += start.astype(_U) * self.part
-        self.range = size.astype(_U) * self.part
-        while True:
-            same = (self.low ^ (self.low + self.range)) < _TOP
-            small = self.range < _BOTTOM
-            go = np.flatnonzero(same | small)
-            if not len(go):
-                return
-            low, rng = self.low[go], self.range[go]
-            rng = np.where(same[go], rng, (~low + _U(1)) & (_BOTTOM - _U(1)))
-            self.code[go] = ((self.code[go] << _U(8)) | self.data[go, np.minimum(self.pos[go], self.data.shape[1] - 1)].astype(_U)) & _MASK
-            self.pos[go] += 1
-            self.low[go], self.range[go] = (low << _U(8)) & _MASK, (rng << _U(8)) & _MASK
+            self.code = (self.code << _EIGHT) | self.data[:, k]
+        self.pos = np.arange(lanes) * self.data.shape[1] + 4
+        self.most = np.arange(1, lanes + 1) * self.data.shape[1] - 1
+
+    def target(self, total: np.ndarray, lanes: np.ndarray | None = None) -> np.ndarray:
+        """Where in 0 .. total - 1 the code of lanes, all if not given, points; step() of the same lanes must follow."""
+        self.at = (self.low, self.range, self.code) if lanes is None else (self.low.take(lanes), self.range.take(lanes), self.code.take(lanes))
+        self.part = self.at[1] // total
+        return np.minimum((self.at[2] - self.at[0]) // self.part, total - _U(1))
+
+    def step(self, start: np.ndarray, size: np.ndarray, lanes: np.ndarray | None = None) -> None:
+        low = self.at[0] + start * self.part
+        rng = size * self.part
+        code = self.at[2]
+        go, data = np.flatnonzero(_ready(low, rng)), self.data.reshape(-1)
+        while len(go):
+            some, cut = low.take(go), rng.take(go)
+            cut = _cut(some, cut) << _EIGHT
+            who = go if lanes is None else lanes.take(go)
+            place = self.pos.take(who)
+            code[go] = (code.take(go) << _EIGHT) | data.take(np.minimum(place, self.most.take(who)))
+            self.pos[who] = place + 1
+            some = some << _EIGHT
+            low[go], rng[go] = some, cut
+            go = go[_ready(some, cut)]
+        if lanes is None:
+            self.low, self.range = low, rng
+        else:
+            self.low[lanes], self.range[lanes], self.code[lanes] = low, rng, code
 
 
 def _blocks(ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     lanes = max(1, -(-len(ids) // BLOCK))
-    padded = np.zeros(lanes * BLOCK, np.int64)
+    padded = np.zeros(lanes * BLOCK, np.uint32)
     padded[: len(ids)] = ids
     return padded.reshape(lanes, BLOCK), np.minimum(BLOCK, np.maximum(0, len(ids) - np.arange(lanes) * BLOCK))
 
 
 def encode_blocks(ranks: np.ndarray, wide: bool = False, prior: np.ndarray | None = None) -> list[bytes]:
-    """One payload for each BLOCK values of ranks: 0 to 65535, or with wide any 32-bit ones, whose bits above 16 are a step of their own. Order 0 starts from prior, else from equal counts."""
+    """One payload for each BLOCK values of ranks: 0 to 65535, or with wide any 32-bit ones, whose bits above 16 are a step of their own. Order 0 starts from prior, else from equal counts.
+
+    A short last block is filled with zeros, which its reader drops.
+    """
     lanes, lengths = _blocks(ranks)
     spans = _Spans(wide)
-    every = spans.of(lanes)
+    every = np.ascontiguousarray(spans.of(lanes).T)
+    columns = np.ascontiguousarray(lanes.T)
     model, coder = _Model(len(lanes), np.ones(spans.n, np.uint16) if prior is None else prior), _Encoder(len(lanes))
-    one, none = np.ones(len(lanes), np.int64), np.zeros(len(lanes), np.int64)
     for t in range(int(lengths.max(initial=0))):
-        live, ids = lengths > t, lanes[:, t]
+        ids = columns[t].view(np.int32)
         model.predict()
         outcome = np.where(model.ids[0] == ids, 0, np.where(model.ids[1] == ids, 1, 2))
-        ends = model.weights.cumsum(axis=1)
-        size = model.weights[model.at, outcome]
-        coder.step(np.where(live, ends[model.at, outcome] - size, none), np.where(live, size, one), np.where(live, ends[:, 2], one))
-        literal = live & (outcome == 2)
-        span = every[:, t].astype(np.int64)
-        start, size = model.span(span)
-        coder.step(np.where(literal, start, none), np.where(literal, size, one), np.where(literal, model.ends[:, -1], one))
-        width = np.where(literal, spans.width[span], one)
-        low = np.where(literal, ids - spans.base[span], none)
+        coder.step(*model.outcome(outcome), model.total)
+        literal = np.flatnonzero(outcome == 2)
+        span = every[t].take(literal).astype(np.int64)
+        coder.step(*model.span(literal, span), model.ends[:, -1].take(literal), literal)
+        width, low = spans.width.take(span), columns[t].take(literal) - spans.base.take(span).astype(_U)
+        one = np.ones(len(literal), _U)
         if wide:
-            coder.step(low >> 16, one, np.maximum(width >> 16, one))
-            low, width = low & 0xFFFF, np.minimum(width, 1 << 16)
-        coder.step(low, one, width)
-        model.update(ids, outcome, span, literal)
+            coder.step(low >> _U(16), one, np.maximum(width >> 16, 1).astype(_U), literal)
+            low, width = low & _U(0xFFFF), np.minimum(width, 1 << 16)
+        coder.step(low, one, width.astype(_U), literal)
+        counted = np.full(len(lanes), spans.n)
+        counted[literal] = span
+        model.update(ids, outcome, counted)
     return coder.finish()
 
 
 def decode_blocks(payloads: list[bytes], count: int, wide: bool = False, prior: np.ndarray | None = None) -> np.ndarray:
     """The count values that encode_blocks was given."""
-    lanes, lengths = _blocks(np.zeros(count, np.int64))
+    blocks, steps = max(1, -(-count // BLOCK)), min(BLOCK, count)
+    columns = np.zeros((steps, blocks), np.uint32)
     spans = _Spans(wide)
-    model, coder = _Model(len(lanes), np.ones(spans.n, np.uint16) if prior is None else prior), _Decoder(payloads)
-    one, none = np.ones(len(lanes), np.int64), np.zeros(len(lanes), np.int64)
-    for t in range(int(lengths.max(initial=0))):
-        live = lengths > t
+    model, coder = _Model(blocks, np.ones(spans.n, np.uint16) if prior is None else prior), _Decoder(payloads)
+    for t in range(steps):
         model.predict()
-        ends = model.weights.cumsum(axis=1)
-        target = coder.target(np.where(live, ends[:, 2], one))
-        outcome = (target >= ends[:, 0]).astype(np.int64) + (target >= ends[:, 1])
-        outcome = np.where(live, outcome, 0)
-        size = model.weights[model.at, outcome]
-        coder.step(np.where(live, ends[model.at, outcome] - size, none), np.where(live, size, one))
-        literal = live & (outcome == 2)
-        target = coder.target(np.where(literal, model.ends[:, -1], one))
-        span = np.count_nonzero(model.ends <= target.astype(np.uint16)[:, None], axis=1)
-        start, size = model.span(span)
-        coder.step(np.where(literal, start, none), np.where(literal, size, one))
-        width = np.where(literal, spans.width[span], one)
-        high = none
+        target = coder.target(model.total)
+        outcome = (target >= model.first).astype(np.int64) + (target >= model.second)
+        coder.step(*model.outcome(outcome))
+        literal = np.flatnonzero(outcome == 2)
+        ends = model.ends.take(literal, axis=0)
+        target = coder.target(ends[:, -1].astype(_U), literal)
+        span = (ends <= target.astype(np.uint16)[:, None]).sum(axis=1)
+        coder.step(*model.span(literal, span), literal)
+        width = spans.width.take(span)
+        one, high = np.ones(len(literal), _U), 0
         if wide:
-            high = coder.target(np.maximum(width >> 16, one))
-            coder.step(np.where(literal, high, none), one)
-        low = coder.target(np.minimum(width, 1 << 16))
-        coder.step(np.where(literal, low, none), one)
-        low = low + (high << 16)
-        ids = np.where(outcome == 0, model.ids[0], np.where(outcome == 1, model.ids[1], spans.base[span] + low))
-        ids = np.where(live, ids, 0)
-        lanes[:, t] = ids
-        model.update(ids, outcome, span, literal)
-    return lanes.reshape(-1)[:count]
+            high = coder.target(np.maximum(width >> 16, 1).astype(_U), literal)
+            coder.step(high, one, literal)
+            high = high << _U(16)
+        low = coder.target(np.minimum(width, 1 << 16).astype(_U), literal)
+        coder.step(low, one, literal)
+        ids = np.where(outcome == 0, model.ids[0], model.ids[1]).view(_U)
+        ids[literal] = spans.base.take(span).astype(_U) + low + high
+        columns[t] = ids
+        counted = np.full(blocks, spans.n)
+        counted[literal] = span
+        model.update(ids.view(np.int32), outcome, counted)
+    return columns.T.reshape(-1)[:count]
 
 
 def pack_segment(doc_ids: list[int | None], lengths: np.ndarray, ids: np.ndarray) -> bytes:
@@ -216,11 +252,17 @@ def pack_segment(doc_ids: list[int | None], lengths: np.ndarray, ids: np.ndarray
     doc id; n u32 lengths; the distinct ids, most frequent first (u32 each); the order-0 counts that blocks start from (u16 each); for each block the size of its payload and the crc32 of its ids as u32 (2 x u32);
     the payloads; last the crc32 of all before.
     """
-    used, inverse, counts = np.unique(ids, return_inverse=True, return_counts=True)
+    if int(ids.max(initial=0)) < 1 << 20:
+        every = np.bincount(ids)
+        used, at = np.flatnonzero(every), ids
+        counts = every[used]
+    else:
+        used, at, counts = np.unique(ids, return_inverse=True, return_counts=True)
+        every = used
     order = np.argsort(-counts, kind="stable")
-    rank = np.empty(len(used), np.int64)
-    rank[order] = np.arange(len(used))
-    wide, ranks = len(used) > 65535, rank[inverse]
+    rank = np.empty(len(every), np.uint32)
+    rank[used[order] if every is not used else order] = np.arange(len(used), dtype=np.uint32)
+    wide, ranks = len(used) > 65535, rank[at]
     prior = _Spans(wide).prior(ranks)
     payloads = encode_blocks(ranks, wide, prior) if len(ids) else []
     raw = ids.astype("<u4")

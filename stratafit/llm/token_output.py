@@ -15,6 +15,7 @@ from pyspark.sql import window as W
 
 from stratafit.llm.common import frugal, release_memory, shared_folder, small_batches
 from stratafit.llm.token_codec import pack_segment, unpack_segment
+from stratafit.llm.token_pieces import PieceEncoder
 
 END_ID = 2
 #: Ids in a segment, about: whole documents, as many blocks side by side as this holds.
@@ -34,9 +35,7 @@ def write_tokens(docs: DataFrame, path: str, tokenizer: str, end_id: int = END_I
         import os
 
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
-        from tokenizers import Tokenizer
-
-        encoder = Tokenizer.from_file(tokenizer)
+        encoder = PieceEncoder(tokenizer)
         part, start = TaskContext.get().partitionId(), 0
         names: list[int | None] = []
         held: list[np.ndarray] = []
@@ -44,6 +43,7 @@ def write_tokens(docs: DataFrame, path: str, tokenizer: str, end_id: int = END_I
 
         def flush() -> pa.RecordBatch:
             nonlocal names, held, count, start
+            release_memory()
             data = pack_segment(names, np.array([len(x) for x in held]), np.concatenate(held))
             out = pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([start], pa.int64()), pa.array([count], pa.int64()), pa.array([data], pa.binary())], names=["part", "start", "n_ids", "segment"])
             start += count
@@ -52,13 +52,11 @@ def write_tokens(docs: DataFrame, path: str, tokenizer: str, end_id: int = END_I
             return out
 
         for batch in batches:
-            for i in range(0, batch.num_rows, _DOCS):
-                some = batch.slice(i, _DOCS)
-                texts = [t or "" for t in some.column("text").to_pylist()]
-                for doc_id, found in zip(some.column("doc_id").to_pylist(), encoder.encode_batch_fast(texts, add_special_tokens=False), strict=True):
-                    ids = np.array(found.ids + [end_id], np.uint32)
-                    names.append(doc_id), held.append(ids)
-                    count += len(ids)
+            lengths, flat = encoder.encode(batch.column("text"))
+            ends = lengths.cumsum()
+            for doc_id, lo, hi in zip(batch.column("doc_id").to_pylist(), (ends - lengths).tolist(), ends.tolist(), strict=True):
+                names.append(doc_id), held.append(np.append(flat[lo:hi], np.uint32(end_id)))
+                count += hi - lo + 1
                 if count >= segment_ids:
                     yield flush()
         if names:
