@@ -10,7 +10,7 @@ import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
-from stratafit.llm.common import shared_folder
+from stratafit.llm.common import checkpointed, collect_garbage, shared_folder
 from stratafit.llm.decontamination import clean_documents
 from stratafit.llm.language_id import fold, identify_rows, learn
 from stratafit.llm.mixing import mix_sources, repeat_rows
@@ -26,7 +26,8 @@ def language_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 def near_dedup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group of near duplicates: the one with the smallest doc_id. Texts without words, and rows with a null doc_id, link with nothing and stay; rows that share an id share its fate."""
-    dropped = near_duplicate_components(docs).filter("not kept").select("doc_id").distinct()
+    dropped = checkpointed(near_duplicate_components(docs).filter("not kept").select("doc_id").distinct())
+    collect_garbage(spark)
     return docs.join(dropped, "doc_id", "left_anti").select(docs.columns)
 
 

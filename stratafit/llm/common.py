@@ -7,6 +7,7 @@ import re
 import tempfile
 from collections.abc import Callable, Iterator
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -15,6 +16,8 @@ from pyspark.sql import functions as F
 HOT_SHARE = 4096
 #: Rows of a hot key are spread over so many salts.
 SALTS = 64
+#: Edges of a graph, at 16 bytes each, whose components the driver finds; larger graphs are contracted by jobs.
+DRIVER_EDGES = 200_000
 #: Rows and bytes of an Arrow batch at most.
 BATCH_ROWS = 500
 BATCH_BYTES = 4 << 20
@@ -44,6 +47,11 @@ def shared_folder(spark: SparkSession) -> str:
     return context.getCheckpointDir()
 
 
+def collect_garbage(spark: SparkSession) -> None:
+    """Have the driver's JVM collect its garbage: only then does Spark delete the shuffle and checkpoint files of plans that are gone."""
+    spark.sparkContext._jvm.System.gc()
+
+
 def small_batches(spark: SparkSession) -> None:
     """Keep Arrow batches small where the session would make them large: whole texts travel in them, and an executor holds several at once."""
     for key, most in (("spark.sql.execution.arrow.maxRecordsPerBatch", BATCH_ROWS), ("spark.sql.execution.arrow.maxBytesPerBatch", BATCH_BYTES)):
@@ -111,11 +119,17 @@ def components(edges: DataFrame) -> DataFrame:
     Contraction: each node takes the smallest id among itself and its neighbours, parents are followed, doubling the way each time, to the node that is its
     own parent, edges are renamed and those inside a component vanish. Such a node has another below it, so the nodes left at least halve each round,
     also on a chain; each round cuts its lineage.
-    Null ends and loops are left out.
+    Null ends and loops are left out. Graphs, also contracted ones, of DRIVER_EDGES at most come to the driver: a round takes some ten stages, whose tasks, files and
+    events would outweigh so small a graph.
     """
     live = checkpointed(edges.select("a", "b").filter("a is not null and b is not null and a != b").distinct())
     roots = None
     while total := live.count():
+        if total <= DRIVER_EDGES:
+            ends = live.toArrow()
+            table = pa.table(_smallest_reachable(ends["a"].to_numpy(), ends["b"].to_numpy()), names=["node", "root"])
+            found = edges.sparkSession.createDataFrame(table)
+            return found if roots is None else _followed(roots, found.toDF("root", "up"))
         ends = live.union(live.select("b", "a")).toDF("node", "other")
         parent = checkpointed(ends.groupBy("node").agg(F.least(F.col("node"), F.min("other")).alias("up")))
         moving = True
@@ -128,8 +142,7 @@ def components(edges: DataFrame) -> DataFrame:
         if roots is None:
             roots = parent.select("node", F.col("up").alias("root"))
         else:
-            step = parent.select(F.col("node").alias("root"), "up")
-            roots = checkpointed(salted_join(roots, step, "root", hot_keys(roots, "root", roots.count()), "node").select("node", F.coalesce("up", "root").alias("root")))
+            roots = _followed(roots, parent.select(F.col("node").alias("root"), "up"))
         left = parent.select(F.col("node").alias("a"), F.col("up").alias("ua"))
         right = parent.select(F.col("node").alias("b"), F.col("up").alias("ub"))
         named = salted_join(live, left, "a", hot_keys(live, "a", total), "b")
@@ -138,3 +151,24 @@ def components(edges: DataFrame) -> DataFrame:
     if roots is None:
         return edges.select(F.col("a").alias("node"), F.col("b").alias("root")).limit(0)
     return roots
+
+
+def _followed(roots: DataFrame, step: DataFrame) -> DataFrame:
+    """roots (node, root) after the step (root, up) that some of the roots take."""
+    return checkpointed(salted_join(roots, step, "root", hot_keys(roots, "root", roots.count()), "node").select("node", F.coalesce("up", "root").alias("root")))
+
+
+def _smallest_reachable(a: np.ndarray, b: np.ndarray) -> list[np.ndarray]:
+    """The nodes of the edges, and the smallest node that each reaches."""
+    nodes, at = np.unique(np.concatenate([a, b]), return_inverse=True)
+    a, b = at[: len(a)], at[len(a) :]
+    up = np.arange(len(nodes))
+    while len(a):
+        least = np.minimum(up[a], up[b])
+        np.minimum.at(up, up[a], least)
+        np.minimum.at(up, up[b], least)
+        while not np.array_equal(up, top := up[up]):
+            up = top
+        apart = up[a] != up[b]
+        a, b = a[apart], b[apart]
+    return [nodes, nodes[up]]

@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from stratafit.llm.common import checkpointed, components, frugal, hot_keys, hot_safe_lookup, salted_join, small_batches
+from stratafit.llm.common import checkpointed, collect_garbage, components, frugal, hot_keys, hot_safe_lookup, salted_join, small_batches
 from stratafit.llm.text_arrays import document_shingles, scramble, text_chunks
 
 SLOTS = 16
@@ -154,6 +154,7 @@ def prefix_candidates(sets: DataFrame, percent: int = PERCENT) -> DataFrame:
     found = sets.select("node", "root", "shingles").mapInArrow(frugal(places), "key long, probe boolean, node long, root long, n int, place int")
     met = found.groupBy("key", "root").agg(F.count(F.lit(1)).alias("c")).groupBy("key").agg(F.max_by("root", F.struct("c", "root")).alias("crowd"), F.count(F.lit(1)).alias("groups")).filter("groups > 1").select("key", "crowd")
     rows = checkpointed(found.join(met, "key").withColumn("few", F.col("root") != F.col("crowd")))
+    collect_garbage(sets.sparkSession)
     larger = rows.filter("probe").select("key", F.col("node").alias("x"), F.col("root").alias("rx"), F.col("n").alias("nx"), F.col("place").alias("px"), F.col("few").alias("fx"))
     smaller = rows.filter("not probe").select("key", F.col("node").alias("y"), F.col("root").alias("ry"), F.col("n").alias("ny"), F.col("place").alias("py"), F.col("few").alias("fy"))
     enough = (F.col("nx") >= F.col("ny")) & (F.lit(100 + percent) * F.least(F.col("nx") - F.col("px"), F.col("ny") - F.col("py")) >= F.lit(percent) * (F.col("nx") + F.col("ny"))) & (F.col("rx") != F.col("ry"))
@@ -186,6 +187,7 @@ def near_duplicate_components(docs: DataFrame, percent: int = PERCENT, slots: in
     keyed = checkpointed(keys.join(leaders, "key").select("key", "node", "n", "leader", "c"))
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(keyed.select(F.col("node").alias("doc_id")).distinct(), "doc_id", "left_semi").dropDuplicates(["doc_id"])
     sets = checkpointed(shingle_sets(texts))
+    collect_garbage(docs.sparkSession)
 
     sized = keyed.filter("node != leader").select(F.col("leader").alias("a"), F.col("node").alias("b"), "n").distinct()
     of = keyed.filter("node = leader").select(F.col("node").alias("a"), F.col("n").alias("na")).distinct()
@@ -193,6 +195,7 @@ def near_duplicate_components(docs: DataFrame, percent: int = PERCENT, slots: in
     star = checkpointed(sized.join(of, "a").filter(able).select("a", "b"))
     links = checkpointed(_confirmed(star, sets, percent))
     roots = components(links)
+    collect_garbage(docs.sparkSession)
 
     # Keys whose classes are still in several components: one row per key and component; a crowd of a component comes in by its root, not by each member's keys.
     tied = checkpointed(keyed.filter("c > 2").select("key", "node"))
@@ -205,10 +208,12 @@ def near_duplicate_components(docs: DataFrame, percent: int = PERCENT, slots: in
     few = meeting.filter("n <= 2").select(F.explode(F.array("first", "last")).alias("node"), "root")
     members = salted_join(linked.select("node", "root"), crowds, "root", hot_keys(linked, "root", max(1, linked.count())), "node", "inner").select("node", "root")
     rest = checkpointed(few.union(members).distinct())
+    collect_garbage(docs.sparkSession)
     across = prefix_candidates(sets.join(rest, "node"), percent)
     more = checkpointed(_confirmed(checkpointed(across.join(star, ["a", "b"], "left_anti")), sets, percent))
     if not more.isEmpty():
         roots = components(links.union(more))
+    collect_garbage(docs.sparkSession)
 
     named = classes.join(roots.filter("root is not null"), "node", "left").select("digest", "members", F.coalesce("root", "node").alias("component"))
     found = hot_safe_lookup(signed.select("doc_id", "n_shingles", "digest"), named, "digest", "members", total)

@@ -127,6 +127,20 @@ def test_components_of_paths_stars_and_loops(spark):
     assert components(spark.createDataFrame([], "a long, b long")).count() == 0
 
 
+def test_small_graphs_take_few_jobs_and_large_ones_the_same_components(spark, monkeypatch):
+    rng = random.Random(6)
+    pairs = [(rng.randrange(-600, 600), rng.randrange(-600, 600)) for _ in range(500)] + [(k, k + 1) for k in range(1000, 1060)] + [(None, 3), (7, 7)]
+    edges = spark.createDataFrame(pairs, "a long, b long")
+    context = spark.sparkContext
+    context.setJobGroup("small-graph", "components")
+    small = {tuple(r) for r in components(edges).collect()}
+    context.setJobGroup("other", "")
+    assert len(context.statusTracker().getJobIdsForGroup("small-graph")) <= 8
+    for most in (0, 40):
+        monkeypatch.setattr("stratafit.llm.common.DRIVER_EDGES", most)
+        assert {tuple(r) for r in components(edges).collect()} == small
+
+
 def test_lookup_spreads_hot_keys(spark):
     rows = spark.range(5000).select(F.col("id").alias("doc_id"), F.when(F.col("id") < 3000, 1).otherwise(F.col("id")).alias("k"))
     groups = rows.groupBy("k").agg(F.count(F.lit(1)).alias("n"))
