@@ -1,27 +1,28 @@
-"""Adaptive context-mixing range coder for token ids, many blocks at a time.
+"""Adaptive context-mixing coder for token ids, many lanes at a time.
 
-A block is coded on its own from a fresh state. Two predictors, of order 1 and 2, name the id that last followed the context; how often each was
-right at its present confidence, counted in both and added up, mixes them into one distribution over {order-2 id, order-1 id, other}.
-Other ids are predicted at order 0, by rank among the segment's ids: each of the most frequent ids, and each quarter of an octave of the others, has a count
-of its own, which starts from the segment's shares (stored once) and adapts inside the block; where in its quarter a rank lies is coded evenly. Blocks are lanes of
-numpy arrays: one step codes one id of every block. A 32-bit carry-less range coder does the arithmetic.
+Two predictors, of order 1 and 2, name the id that last followed the context; how often each was right at its present confidence, counted in both and added up,
+mixes them with order 0 into one distribution over {order-2 id, order-1 id, spans of other ids}. Order 0 knows ids by rank among the segment's ids: each of the most
+frequent ids, and each quarter of an octave of the others, has a count, taken from the segment (stored once); where in its quarter a rank lies is coded evenly.
+A segment's ids are lanes of BLOCK ids that advance together: one step codes one id of every lane. All lanes share one model, which learns from a step's ids when
+they are known, the ones of the last lane last, and one asymmetric-numeral-system stream of 16-bit words. Shares of the outcomes are counted anew at the steps of _stretches().
 """
 
 from __future__ import annotations
 
 import struct
 import zlib
+from collections.abc import Iterator
 
 import numpy as np
 
-#: Ids in a block. Counts grow by GAIN a step and must stay below 2**16 in sum.
-BLOCK = 1024
-GAIN = 12
-MAGIC = b"TOKSEG02"
-_SLOTS = 1024
+#: Ids in a lane.
+BLOCK = 512
+MAGIC = b"TOKSEG03"
 _U = np.uint32
-_TOP, _BOTTOM, _MASK, _EIGHT = _U(1 << 24), _U(1 << 16), _U(0xFFFFFFFF), _U(8)
-#: Sum of the order-0 counts that a block starts from, beside the 1 that each span's count has at least.
+#: Shares of a distribution add up to 2**_BITS; contexts have so many bits; confidences are 0 to _SURE - 1.
+_BITS, _CONTEXT, _SURE = 12, 17, 5
+_LEAST, _WORD = _U(1 << 16), _U(16)
+#: Sum of the order-0 counts of a segment, beside the 1 that each span's count has at least.
 _PRIOR = 2048
 
 
@@ -45,212 +46,180 @@ class _Spans:
         return (1 + np.bincount(self.of(ranks), minlength=self.n) * _PRIOR // max(1, len(ranks))).astype(np.uint16)
 
 
+def _stretches(steps: int) -> Iterator[tuple[int, int]]:
+    """First and next step of the stretches that have the same shares: they double up to 32 steps."""
+    lo = 0
+    while lo < steps:
+        hi = min(steps, lo + min(max(lo, 1), 32))
+        yield lo, hi
+        lo = hi
+
+
 class _Model:
     def __init__(self, lanes: int, prior: np.ndarray) -> None:
-        self.at = np.arange(lanes)
-        self.slots, self.rows = self.at * _SLOTS, self.at * 5
-        self.guess = np.full((2, lanes * _SLOTS), -1, np.int32)
-        self.trust = np.zeros((2, lanes * _SLOTS), np.int8)
-        self.right = np.ones((2, lanes * 5, 3), np.uint32)
-        self.spans = len(prior)
-        self.ends = np.tile(prior.cumsum().astype(np.uint16), (lanes, 1))
-        self.gains = np.vstack([np.triu(np.full((len(prior), len(prior)), GAIN, np.uint16)), np.zeros((1, len(prior)), np.uint16)])
-        self.last, self.before = np.zeros(lanes, np.uint32), np.zeros(lanes, np.uint32)
+        self.guess = [np.full(1 << _CONTEXT, -1, np.int32) for _ in (0, 1)]
+        self.trust = [np.zeros(1 << _CONTEXT, np.uint8) for _ in (0, 1)]
+        self.right = np.tile(np.array([1, 1, 2]), (2, _SURE, 1))
+        self.prior, self.kinds = np.array(prior, np.int64), len(prior) + 2
+        self.last, self.before = np.zeros(lanes, _U), np.zeros(lanes, _U)
+
+    def share(self) -> None:
+        """From now on: starts and sizes (one number each: start << 16 | size) of the outcomes by both confidences, and the outcome at each of the 2**_BITS places."""
+        counts = (self.right[0][:, None] + self.right[1][None, :]).reshape(-1, 3)
+        room = (1 << _BITS) - self.kinds
+        sizes = np.ones((len(counts), self.kinds), np.int64)
+        sizes[:, :2] += counts[:, :2] * room // counts.sum(axis=1, keepdims=True)
+        left = (1 << _BITS) - sizes.sum(axis=1)
+        sizes[:, 2:] += self.prior * left[:, None] // self.prior.sum()
+        sizes[np.arange(len(sizes)), 2 + int(self.prior.argmax())] += (1 << _BITS) - sizes.sum(axis=1)
+        self.parts = ((sizes.cumsum(axis=1) - sizes) << 16 | sizes).astype(_U).reshape(-1)
+        self.places = np.repeat(np.tile(np.arange(self.kinds, dtype=np.uint8), len(sizes)), sizes.reshape(-1))
 
     def predict(self) -> None:
-        """ids and trust of both predictors, and where the counts of the three outcomes end."""
-        last = self.last * _U(2654435761)
-        self.slot = (self.slots + ((last + self.before * _U(40503 * 65537)) >> 9 & (_SLOTS - 1)), self.slots + (last >> 7 & (_SLOTS - 1)))
+        """ids and confidences of both predictors, and the row of their distribution."""
+        self.slot = (((self.last * _U(2654435761) + self.before * _U(40503 * 65537)) >> _U(32 - _CONTEXT)).astype(np.int64), (self.last & _U((1 << _CONTEXT) - 1)).astype(np.int64))
         self.ids = [self.guess[k].take(self.slot[k]) for k in (0, 1)]
         self.sure = [self.trust[k].take(self.slot[k]) for k in (0, 1)]
-        self.row = [self.rows + self.sure[k] for k in (0, 1)]
-        weights = self.right[0].take(self.row[0], axis=0) + self.right[1].take(self.row[1], axis=0)
-        self.first = weights[:, 0].copy()
-        self.second = self.first + weights[:, 1]
-        self.total = self.second + weights[:, 2]
-
-    def outcome(self, outcome: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Where the outcome's counts start, and how many they are."""
-        start = np.where(outcome == 0, _U(0), np.where(outcome == 1, self.first, self.second))
-        return start, np.where(outcome == 0, self.first, np.where(outcome == 1, self.second, self.total)) - start
-
-    def span(self, lanes: np.ndarray, span: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Where the span's order-0 counts start in these lanes, and how many they are."""
-        flat, place = self.ends.reshape(-1), lanes * self.spans + span
-        start = np.where(span > 0, flat.take(np.maximum(place - 1, 0)), 0).astype(_U)
-        return start, flat.take(place) - start
-
-    def update(self, ids: np.ndarray, outcome: np.ndarray, span: np.ndarray) -> None:
-        """span: of the lanes with outcome 2; of the others their number, for which no count grows."""
-        self.ends += self.gains.take(span, axis=0)
+        self.row = self.sure[0] * np.uint8(_SURE) + self.sure[1]
+
+    def learn(self, ids: np.ndarray) -> None:
         for k in (0, 1):
-            self.right[k].reshape(-1)[self.row[k] * 3 + outcome] += _U(GAIN)
-            self.trust[k][self.slot[k]] = np.where(self.ids[k] == ids, np.minimum(self.sure[k] + 1, 4), 1)
+            self.trust[k][self.slot[k]] = np.minimum(self.sure[k], np.uint8(_SURE - 2)) * (self.ids[k] == ids) + np.uint8(1)
             self.guess[k][self.slot[k]] = ids
-        self.before, self.last = self.last, ids.astype(_U)
+        self.before, self.last = self.last, ids.view(_U)
 
+    def count(self, rows: np.ndarray, outcomes: np.ndarray) -> None:
+        """Outcomes that came up in rows; order 0 counts the ids that neither predictor named."""
+        self.prior += np.bincount(outcomes.reshape(-1), minlength=self.kinds)[2:]
+        seen = np.bincount(rows.reshape(-1).astype(np.int64) * 3 + np.minimum(outcomes, 2).reshape(-1), minlength=3 * _SURE * _SURE).reshape(_SURE, _SURE, 3)
+        self.right[0] += seen.sum(axis=1)
+        self.right[1] += seen.sum(axis=0)
 
-def _ready(low: np.ndarray, size: np.ndarray) -> np.ndarray:
-    """Whose first byte is settled, or whose range is too small."""
-    return ((low ^ (low + size)) < _TOP) | (size < _BOTTOM)
 
+class _Writer:
+    """Coder of one state a lane; what is put last is got first."""
 
-def _cut(low: np.ndarray, size: np.ndarray) -> np.ndarray:
-    """The ranges of those that are ready, cut where the first byte is not settled."""
-    return np.where((low ^ (low + size)) < _TOP, size, (~low + _U(1)) & (_BOTTOM - _U(1)))
+    def __init__(self, lanes: int) -> None:
+        self.state, self.words = np.full(lanes, _LEAST), []
 
+    def _shed(self, over: np.ndarray) -> None:
+        go = np.flatnonzero(over)
+        some = self.state.take(go)
+        self.words.append(some.astype(np.uint16))
+        self.state[go] = some >> _WORD
 
-class _Encoder:
-    def __init__(self, lanes: int) -> None:
-        self.low, self.range = np.zeros(lanes, _U), np.full(lanes, _MASK)
-        self.out = np.zeros((lanes, BLOCK * 6 + 16), np.uint8)
-        self.pos = np.arange(lanes) * self.out.shape[1]
-
-    def step(self, start: np.ndarray, size: np.ndarray, total: np.ndarray, lanes: np.ndarray | None = None) -> None:
-        """Narrow the ranges of lanes, all if not given, to size after start of total."""
-        low, rng = (self.low, self.range) if lanes is None else (self.low.take(lanes), self.range.take(lanes))
-        part = rng // total
-        low = low + start * part
-        rng = size * part
-        go, out = np.flatnonzero(_ready(low, rng)), self.out.reshape(-1)
-        while len(go):
-            some, cut = low.take(go), rng.take(go)
-            cut = _cut(some, cut) << _EIGHT
-            who = go if lanes is None else lanes.take(go)
-            place = self.pos.take(who)
-            out[place] = some >> _U(24)
-            self.pos[who] = place + 1
-            some = some << _EIGHT
-            low[go], rng[go] = some, cut
-            go = go[_ready(some, cut)]
-        if lanes is None:
-            self.low, self.range = low, rng
-        else:
-            self.low[lanes], self.range[lanes] = low, rng
+    def put_bits(self, value: np.ndarray, bits: np.ndarray) -> None:
+        """Values of 0 to 16 bits."""
+        self._shed(self.state >> (_U(32) - bits))
+        self.state = self.state << bits | value
+
+    def put(self, part: np.ndarray) -> None:
+        size = part & _U(0xFFFF)
+        self._shed(self.state >> _U(32 - _BITS) >= size)
+        times = self.state // size
+        self.state = (times << _U(_BITS)) + (self.state - times * size) + (part >> _WORD)
 
     def finish(self) -> list[bytes]:
-        for _ in range(4):
-            self.out.reshape(-1)[self.pos] = self.low >> _U(24)
-            self.pos += 1
-            self.low = self.low << _EIGHT
-        return [self.out[i, :n].tobytes() for i, n in enumerate((self.pos - np.arange(len(self.pos)) * self.out.shape[1]).tolist())]
-
-
-class _Decoder:
-    def __init__(self, payloads: list[bytes]) -> None:
-        lanes = len(payloads)
-        self.data = np.zeros((lanes, max(map(len, payloads)) + 8), np.uint8)
-        for i, p in enumerate(payloads):
-            self.data[i, : len(p)] = np.frombuffer(p, np.uint8)
-        self.low, self.range, self.code = np.zeros(lanes, _U), np.full(lanes, _MASK), np.zeros(lanes, _U)
-        for k in range(4):
-            self.code = (self.code << _EIGHT) | self.data[:, k]
-        self.pos = np.arange(lanes) * self.data.shape[1] + 4
-        self.most = np.arange(1, lanes + 1) * self.data.shape[1] - 1
-
-    def target(self, total: np.ndarray, lanes: np.ndarray | None = None) -> np.ndarray:
-        """Where in 0 .. total - 1 the code of lanes, all if not given, points; step() of the same lanes must follow."""
-        self.at = (self.low, self.range, self.code) if lanes is None else (self.low.take(lanes), self.range.take(lanes), self.code.take(lanes))
-        self.part = self.at[1] // total
-        return np.minimum((self.at[2] - self.at[0]) // self.part, total - _U(1))
-
-    def step(self, start: np.ndarray, size: np.ndarray, lanes: np.ndarray | None = None) -> None:
-        low = self.at[0] + start * self.part
-        rng = size * self.part
-        code = self.at[2]
-        go, data = np.flatnonzero(_ready(low, rng)), self.data.reshape(-1)
-        while len(go):
-            some, cut = low.take(go), rng.take(go)
-            cut = _cut(some, cut) << _EIGHT
-            who = go if lanes is None else lanes.take(go)
-            place = self.pos.take(who)
-            code[go] = (code.take(go) << _EIGHT) | data.take(np.minimum(place, self.most.take(who)))
-            self.pos[who] = place + 1
-            some = some << _EIGHT
-            low[go], rng[go] = some, cut
-            go = go[_ready(some, cut)]
-        if lanes is None:
-            self.low, self.range = low, rng
-        else:
-            self.low[lanes], self.range[lanes], self.code[lanes] = low, rng, code
-
-
-def _blocks(ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    lanes = max(1, -(-len(ids) // BLOCK))
-    padded = np.zeros(lanes * BLOCK, np.uint32)
-    padded[: len(ids)] = ids
-    return padded.reshape(lanes, BLOCK), np.minimum(BLOCK, np.maximum(0, len(ids) - np.arange(lanes) * BLOCK))
+        return [self.state.astype("<u4").tobytes(), np.concatenate([np.zeros(0, np.uint16), *self.words[::-1]]).astype("<u2").tobytes()]
+
+
+class _Reader:
+    def __init__(self, state: bytes, words: bytes, lanes: int) -> None:
+        self.state = np.frombuffer(state, "<u4").astype(_U)
+        self.words, self.at = np.concatenate([np.frombuffer(words, "<u2"), np.zeros(4 * lanes, np.uint16)]).astype(_U), 0
+
+    def _fill(self) -> None:
+        go = np.flatnonzero(self.state < _LEAST)
+        self.state[go] = self.state.take(go) << _WORD | self.words[self.at : self.at + len(go)]
+        self.at += len(go)
+
+    def get_bits(self, bits: np.ndarray) -> np.ndarray:
+        value = self.state & ((_U(1) << bits) - _U(1))
+        self.state = self.state >> bits
+        self._fill()
+        return value
+
+    def get(self, model: _Model) -> np.ndarray:
+        place = self.state & _U((1 << _BITS) - 1)
+        row = model.row.astype(np.int64)
+        outcome = model.places.take((row << _BITS) | place)
+        part = model.parts.take(row * model.kinds + outcome)
+        self.state = (part & _U(0xFFFF)) * (self.state >> _U(_BITS)) + place - (part >> _WORD)
+        self._fill()
+        return outcome
+
+
+def _outcomes(spans: _Spans) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """By outcome: the first rank of its span, and how many bits, 16 and then those above, tell where in it a rank lies."""
+    bits = np.concatenate([[0, 0], np.log2(spans.width).round()]).astype(_U)
+    return np.concatenate([[0, 0], spans.base]).astype(_U), np.minimum(bits, _WORD), bits - np.minimum(bits, _WORD)
 
 
 def encode_blocks(ranks: np.ndarray, wide: bool = False, prior: np.ndarray | None = None) -> list[bytes]:
-    """One payload for each BLOCK values of ranks: 0 to 65535, or with wide any 32-bit ones, whose bits above 16 are a step of their own. Order 0 starts from prior, else from equal counts.
+    """The lanes' last states and the words of ranks: 0 to 65535, or with wide any 32-bit ones. Order 0 starts from prior, else from equal counts.
 
-    A short last block is filled with zeros, which its reader drops.
+    A short last lane is filled with zeros, which its reader drops.
     """
-    lanes, lengths = _blocks(ranks)
+    steps, lanes = min(BLOCK, len(ranks)), max(1, -(-len(ranks) // BLOCK))
+    padded = np.zeros(lanes * steps, _U)
+    padded[: len(ranks)] = ranks
+    columns = np.ascontiguousarray(padded.reshape(lanes, steps).T)
     spans = _Spans(wide)
-    every = np.ascontiguousarray(spans.of(lanes).T)
-    columns = np.ascontiguousarray(lanes.T)
-    model, coder = _Model(len(lanes), np.ones(spans.n, np.uint16) if prior is None else prior), _Encoder(len(lanes))
-    for t in range(int(lengths.max(initial=0))):
-        ids = columns[t].view(np.int32)
-        model.predict()
-        outcome = np.where(model.ids[0] == ids, 0, np.where(model.ids[1] == ids, 1, 2))
-        coder.step(*model.outcome(outcome), model.total)
-        literal = np.flatnonzero(outcome == 2)
-        span = every[t].take(literal).astype(np.int64)
-        coder.step(*model.span(literal, span), model.ends[:, -1].take(literal), literal)
-        width, low = spans.width.take(span), columns[t].take(literal) - spans.base.take(span).astype(_U)
-        one = np.ones(len(literal), _U)
+    base, bits, above = _outcomes(spans)
+    literal = spans.of(columns) + np.uint8(2)
+    model = _Model(lanes, np.ones(spans.n) if prior is None else prior)
+    outcomes, rows, parts = np.empty(columns.shape, np.uint8), np.empty(columns.shape, np.uint8), np.empty(columns.shape, _U)
+    for lo, hi in _stretches(steps):
+        model.share()
+        for t in range(lo, hi):
+            ids = columns[t].view(np.int32)
+            model.predict()
+            outcomes[t] = np.where(model.ids[0] == ids, 0, np.where(model.ids[1] == ids, 1, literal[t]))
+            rows[t] = model.row
+            model.learn(ids)
+        model.count(rows[lo:hi], outcomes[lo:hi])
+        parts[lo:hi] = model.parts.take(rows[lo:hi].astype(np.int64) * model.kinds + outcomes[lo:hi])
+    coder = _Writer(lanes)
+    for t in range(steps - 1, -1, -1):
+        low = np.where(outcomes[t] < 2, _U(0), columns[t] - base.take(outcomes[t]))
         if wide:
-            coder.step(low >> _U(16), one, np.maximum(width >> 16, 1).astype(_U), literal)
-            low, width = low & _U(0xFFFF), np.minimum(width, 1 << 16)
-        coder.step(low, one, width.astype(_U), literal)
-        counted = np.full(len(lanes), spans.n)
-        counted[literal] = span
-        model.update(ids, outcome, counted)
+            coder.put_bits(low >> _WORD, above.take(outcomes[t]))
+            low = low & _U(0xFFFF)
+        coder.put_bits(low, bits.take(outcomes[t]))
+        coder.put(parts[t])
     return coder.finish()
 
 
 def decode_blocks(payloads: list[bytes], count: int, wide: bool = False, prior: np.ndarray | None = None) -> np.ndarray:
     """The count values that encode_blocks was given."""
-    blocks, steps = max(1, -(-count // BLOCK)), min(BLOCK, count)
-    columns = np.zeros((steps, blocks), np.uint32)
+    steps, lanes = min(BLOCK, count), max(1, -(-count // BLOCK))
+    columns = np.empty((steps, lanes), _U)
     spans = _Spans(wide)
-    model, coder = _Model(blocks, np.ones(spans.n, np.uint16) if prior is None else prior), _Decoder(payloads)
-    for t in range(steps):
-        model.predict()
-        target = coder.target(model.total)
-        outcome = (target >= model.first).astype(np.int64) + (target >= model.second)
-        coder.step(*model.outcome(outcome))
-        literal = np.flatnonzero(outcome == 2)
-        ends = model.ends.take(literal, axis=0)
-        target = coder.target(ends[:, -1].astype(_U), literal)
-        span = (ends <= target.astype(np.uint16)[:, None]).sum(axis=1)
-        coder.step(*model.span(literal, span), literal)
-        width = spans.width.take(span)
-        one, high = np.ones(len(literal), _U), 0
-        if wide:
-            high = coder.target(np.maximum(width >> 16, 1).astype(_U), literal)
-            coder.step(high, one, literal)
-            high = high << _U(16)
-        low = coder.target(np.minimum(width, 1 << 16).astype(_U), literal)
-        coder.step(low, one, literal)
-        ids = np.where(outcome == 0, model.ids[0], model.ids[1]).view(_U)
-        ids[literal] = spans.base.take(span).astype(_U) + low + high
-        columns[t] = ids
-        counted = np.full(blocks, spans.n)
-        counted[literal] = span
-        model.update(ids.view(np.int32), outcome, counted)
+    base, bits, above = _outcomes(spans)
+    model, coder = _Model(lanes, np.ones(spans.n) if prior is None else prior), _Reader(*payloads, lanes)
+    outcomes, rows = np.empty(columns.shape, np.uint8), np.empty(columns.shape, np.uint8)
+    for lo, hi in _stretches(steps):
+        model.share()
+        for t in range(lo, hi):
+            model.predict()
+            outcome = coder.get(model)
+            ids = base.take(outcome) + coder.get_bits(bits.take(outcome))
+            if wide:
+                ids = ids + (coder.get_bits(above.take(outcome)) << _WORD)
+            for k in (1, 0):
+                ids = np.where(outcome == k, model.ids[k].view(_U), ids)
+            outcomes[t], rows[t], columns[t] = outcome, model.row, ids
+            model.learn(ids.view(np.int32))
+        model.count(rows[lo:hi], outcomes[lo:hi])
     return columns.T.reshape(-1)[:count]
 
 
 def pack_segment(doc_ids: list[int | None], lengths: np.ndarray, ids: np.ndarray) -> bytes:
     """A self-contained segment of whole documents.
 
-    MAGIC, then little-endian: documents n, ids, distinct ids, blocks (4 x u32); n signed 64-bit doc ids; n bytes that are 1 for a null
-    doc id; n u32 lengths; the distinct ids, most frequent first (u32 each); the order-0 counts that blocks start from (u16 each); for each block the size of its payload and the crc32 of its ids as u32 (2 x u32);
-    the payloads; last the crc32 of all before.
+    MAGIC, then little-endian: documents n, ids, distinct ids, lanes, bytes of words, crc32 of the ids (6 x u32); n signed 64-bit doc ids; n bytes that are 1 for a null
+    doc id; n u32 lengths; the distinct ids, most frequent first (u32 each); the order-0 counts (u16 each); the lanes' states (u32 each); the words; last the crc32
+    of all before.
     """
     if int(ids.max(initial=0)) < 1 << 20:
         every = np.bincount(ids)
@@ -264,11 +233,10 @@ def pack_segment(doc_ids: list[int | None], lengths: np.ndarray, ids: np.ndarray
     rank[used[order] if every is not used else order] = np.arange(len(used), dtype=np.uint32)
     wide, ranks = len(used) > 65535, rank[at]
     prior = _Spans(wide).prior(ranks)
-    payloads = encode_blocks(ranks, wide, prior) if len(ids) else []
-    raw = ids.astype("<u4")
-    table = np.array([(len(p), zlib.crc32(raw[i * BLOCK : (i + 1) * BLOCK].tobytes())) for i, p in enumerate(payloads)], "<u4")
+    states, words = encode_blocks(ranks, wide, prior) if len(ids) else (b"", b"")
+    sizes = struct.pack("<6I", len(doc_ids), len(ids), len(used), len(states) // 4, len(words), zlib.crc32(ids.astype("<u4").tobytes()))
     body = b"".join(
-        [MAGIC, struct.pack("<4I", len(doc_ids), len(ids), len(used), len(payloads)), np.array([d or 0 for d in doc_ids], "<i8").tobytes(), bytes(d is None for d in doc_ids), lengths.astype("<u4").tobytes(), used[order].astype("<u4").tobytes(), prior.astype("<u2").tobytes(), table.tobytes(), *payloads]
+        [MAGIC, sizes, np.array([d or 0 for d in doc_ids], "<i8").tobytes(), bytes(d is None for d in doc_ids), lengths.astype("<u4").tobytes(), used[order].astype("<u4").tobytes(), prior.astype("<u2").tobytes(), states, words]
     )
     return body + struct.pack("<I", zlib.crc32(body))
 
@@ -277,22 +245,17 @@ def unpack_segment(data: bytes) -> tuple[list[int | None], np.ndarray, np.ndarra
     """doc ids, lengths and ids of a segment; ValueError where a checksum or the form is wrong."""
     if data[:8] != MAGIC or zlib.crc32(data[:-4]) != struct.unpack("<I", data[-4:])[0]:
         raise ValueError("not a token segment, or damaged")
-    n, total, distinct, blocks = struct.unpack_from("<4I", data, 8)
-    at = 24
+    n, total, distinct, lanes, size, check = struct.unpack_from("<6I", data, 8)
+    at = 32
     doc_ids = np.frombuffer(data, "<i8", n, at)
     nulls = np.frombuffer(data, np.uint8, n, at := at + 8 * n)
     lengths = np.frombuffer(data, "<u4", n, at := at + n)
     used = np.frombuffer(data, "<u4", distinct, at := at + 4 * n)
     wide = distinct > 65535
     prior = np.frombuffer(data, "<u2", _Spans(wide).n, at := at + 4 * distinct)
-    table = np.frombuffer(data, "<u4", 2 * blocks, at := at + prior.nbytes).reshape(blocks, 2)
-    at += 8 * blocks
-    payloads = []
-    for size in table[:, 0].tolist():
-        payloads.append(data[at : at + size])
-        at += size
-    ids = used[decode_blocks(payloads, total, wide, prior)] if total else np.zeros(0, "<u4")
-    for i in range(blocks):
-        if zlib.crc32(ids[i * BLOCK : (i + 1) * BLOCK].astype("<u4").tobytes()) != int(table[i, 1]):
-            raise ValueError(f"block {i} does not match its checksum")
+    at += prior.nbytes
+    states, words = data[at : at + 4 * lanes], data[at + 4 * lanes : at + 4 * lanes + size]
+    ids = used[decode_blocks([states, words], total, wide, prior)] if total else np.zeros(0, "<u4")
+    if zlib.crc32(ids.astype("<u4").tobytes()) != check:
+        raise ValueError("the ids do not match their checksum")
     return [None if z else d for d, z in zip(doc_ids.tolist(), nulls.tolist(), strict=True)], lengths.astype(np.int64), ids

@@ -15,7 +15,7 @@ from pyspark.sql import window as W
 
 from stratafit.llm.common import frugal, release_memory, shared_folder, small_batches
 from stratafit.llm.token_codec import pack_segment, unpack_segment
-from stratafit.llm.token_pieces import PieceEncoder
+from stratafit.llm.token_pieces import worker_encoder
 
 END_ID = 2
 #: Ids in a segment, about: whole documents, as many blocks side by side as this holds.
@@ -35,7 +35,7 @@ def write_tokens(docs: DataFrame, path: str, tokenizer: str, end_id: int = END_I
         import os
 
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
-        encoder = PieceEncoder(tokenizer)
+        encoder = worker_encoder(tokenizer)
         part, start = TaskContext.get().partitionId(), 0
         names: list[int | None] = []
         held: list[np.ndarray] = []

@@ -72,3 +72,34 @@ def test_pieces_are_forgotten_at_the_bound_and_other_tokenizers_get_whole_texts(
 def test_large_ids_round_trip():
     ids = np.array([0, 2**32 - 1, 7, 2**20, 7, 2**31], np.uint32)
     assert np.array_equal(unpack_segment(pack_segment([1], np.array([6]), ids))[2], ids)
+
+
+def test_new_pieces_are_joined_and_those_that_came_again_stay_known(sf, tokenizer, monkeypatch):
+    encoder = token_pieces.worker_encoder(tokenizer)
+    assert token_pieces.worker_encoder(tokenizer) is encoder
+    library = encoder.encoder
+    monkeypatch.setattr(encoder, "encoder", counting := _Counting(library))
+    encoder._forget()
+    parts = pq.read_table(f"{sf}/documents.parquet", columns=["text"])["text"].to_pylist()
+    joints = ["<|endoftext", "|>", "a", " b", "c", "'s", "1", "2", " <|endoftext", "|>."]
+    for some in (joints, parts[:200], parts[100:300]):
+        want = [i for e in library.encode_batch_fast(some, add_special_tokens=False) for i in e.ids]
+        assert encoder.encode(pa.array(some))[1].tolist() == want
+    assert len(counting.given) < 0.5 * len(encoder.known)
+    monkeypatch.setattr(token_pieces, "KNOWN_PIECES", len(encoder.known) - 1)
+    encoder._forget()
+    encoder.encode(pa.array(["one two"])), encoder.encode(pa.array(["two three"]))
+    monkeypatch.setattr(token_pieces, "KNOWN_PIECES", 2)
+    counting.given.clear()
+    assert encoder.encode(pa.array(["two six two"]))[1].tolist() == library.encode("two six two", add_special_tokens=False).ids
+    assert b" two" not in [g.encode() for g in counting.given]
+
+
+def test_lanes_of_a_segment_learn_from_each_other():
+    """What one lane has seen the others predict: sequences that come once in each lane cost little."""
+    sequence = np.random.default_rng(5).integers(0, 40_000, 256)
+    rng = np.random.default_rng(6)
+    ids = np.concatenate([np.concatenate([rng.integers(0, 40_000, 256), np.roll(sequence, -8 * k)]) for k in range(200)]).astype(np.uint32)
+    data = pack_segment([1], np.array([len(ids)]), ids)
+    assert np.array_equal(unpack_segment(data)[2], ids)
+    assert len(data) - 4 * len(np.unique(ids)) < 0.75 * 2 * len(ids)
